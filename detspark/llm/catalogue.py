@@ -2,14 +2,22 @@
 
 from __future__ import annotations
 
+from detspark.llm import licences
+from detspark.llm.mixture import op9_mixture
+from detspark.llm.packing import op7_packing
 from detspark.llm.quality import op1_quality
 from detspark.llm.shards import op5_shards
 from detspark.llm.simhash import op10_simhash
+from detspark.llm.warc import op2_warc
 
 QUERIES = {
     "op1_quality": op1_quality,
+    "op2_warc": op2_warc,
     "op5_shards": op5_shards,
+    "op7_packing": op7_packing,
+    "op8_licences": licences.op8_licences,
+    "op9_mixture": op9_mixture,
     "op10_simhash": op10_simhash,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op8_licences": licences.ORACLE}

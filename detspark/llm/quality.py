@@ -30,6 +30,8 @@ class QualityConfig:
 
 
 _SEPARATORS = (tx.CLASSES == 0).astype(np.uint8)
+#: the pair of a word with itself is one feature, whatever the word
+_TWICE = np.uint64(0x5DEECE66D)
 
 
 def _grams(column: pa.Array, bits: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -50,6 +52,7 @@ def _grams(column: pa.Array, bits: int) -> Iterator[tuple[np.ndarray, np.ndarray
         paired = before_row == row
         with np.errstate(over="ignore"):
             pairs = tx.mix(before[paired] * np.uint64(3) + hashes[paired])
+        pairs[before[paired] == hashes[paired]] = _TWICE
         yield np.concatenate([row, row[paired]]), (np.concatenate([hashes, pairs]) & mask).astype(np.int64)
 
 
