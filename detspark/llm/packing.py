@@ -8,6 +8,7 @@ left is packed best fit, longest first, in groups of equal sequences.  The plan
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -24,36 +25,45 @@ from detspark.plans.scratch import staged
 LIMIT = 4096
 END = 1
 _BUCKETS = 256
-_YOUNG = 150_000
+_YOUNG = 400_000
+_STOPS = b".,!?;:"
 
 
-class WordCache:
-    """Token ids of white-space separated runs, as bytes.  The tokenizer drops white space and no match spans it, so the
-    ids of a text are those of its runs in order.  Two generations bound the memory."""
+class WordCache(dict):
+    """Token ids of white-space separated runs, as bytes, found on demand.
+
+    The tokenizer drops white space and no match spans it, so the ids of a text are those of its runs in order.  It also
+    lower-cases character by character and takes letters apart from punctuation, so a run is looked up in ASCII lower case,
+    and stops after a letter or digit are looked up on their own.  Two generations bound the memory.
+    """
 
     def __init__(self, path: str) -> None:
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # tasks are the parallelism
         from tokenizers import Tokenizer
 
+        super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
-        self.young: dict[bytes, bytes] = {}
         self.old: dict[bytes, bytes] = {}
 
-    def ids(self, text: bytes) -> bytes:
-        runs = text.split()
-        young, old = self.young, self.old
-        missing = [r for r in set(runs) if r not in young]
-        fresh = []
-        for r in missing:
-            if (known := old.get(r)) is None:
-                fresh.append(r)
+    def __missing__(self, run: bytes) -> bytes:
+        found = self.old.get(run)
+        if found is None:
+            core = run.rstrip(_STOPS)
+            if core and len(core) < len(run) and core.decode("utf-8", "replace")[-1].isalnum():
+                found = self[core] + self[run[len(core) :]]
             else:
-                young[r] = known
-        if fresh:
-            coded = self.tokenizer.encode_batch_fast([r.decode("utf-8", "replace") for r in fresh], add_special_tokens=False)
-            young.update((r, np.array(c.ids, "<u4").tobytes()) for r, c in zip(fresh, coded, strict=True))
-        out = b"".join([young[r] for r in runs])
-        if len(young) > _YOUNG:
-            self.young, self.old = {}, young
+                coded = self.tokenizer.encode(run.decode("utf-8", "replace"), add_special_tokens=False)
+                found = np.array(coded.ids, "<u4").tobytes()
+        self[run] = found
+        return found
+
+    def ids(self, text: bytes) -> bytes:
+        if b"<|" not in text:  # names of special tokens count in lower case only
+            text = text.lower()
+        out = b"".join(map(self.__getitem__, text.split()))
+        if len(self) > _YOUNG:
+            self.old = dict(self)
+            self.clear()
         return out
 
 
