@@ -129,7 +129,7 @@ def _inside(frame: pd.DataFrame, width: int) -> pd.DataFrame:
 def _reached(key: tuple, frame: pd.DataFrame, entries: pd.DataFrame) -> pd.DataFrame:
     """Mark what the block's entry points reach, and name the record that each piece belongs to."""
     if not len(frame):
-        return pd.DataFrame({"file": [], "off": [], "record": []}).astype({"off": "int64", "record": "int64"})
+        return pd.DataFrame({"file": np.array([], object), "off": np.array([], np.int64), "record": np.array([], np.int64)})
     frame = frame.sort_values("off")
     off, succ = frame["off"].to_numpy(), frame["succ"].to_numpy()
     at = np.searchsorted(off, succ)
