@@ -103,6 +103,8 @@ def block_counts(sources: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     drawn = drawn.withColumn("_count", (F.ceil(F.col("_high") * share - F.col("_u")) - F.ceil(F.col("_low") * share - F.col("_u"))).cast("long"))
     by_source = Window.partitionBy("_src").orderBy("_shard").rowsBetween(Window.unboundedPreceding, -1)
     drawn = drawn.withColumn("_base", F.coalesce(F.sum("_count").over(by_source), F.lit(0))).where("_count > 0")
+    # dealt anew: a few rows become very many, and their number is not known to the planner
+    drawn = drawn.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "_src", "_shard")
     one = drawn.withColumn("_i", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_count") - 1)))
     one = one.withColumn("_slot", F.col("_base") + F.col("_i")).where(F.col("_slot") < F.col("_blocks") * PASSES)
     one = one.withColumn("_pass", F.floor(F.col("_slot") / F.col("_blocks")))
@@ -131,14 +133,15 @@ def mixed(docs: DataFrame, cfg: MixConfig = MixConfig()) -> tuple[DataFrame, Dat
     sources = staged(targets(rows.groupBy("_src").agg(F.sum("_size").alias("source_size"))), "mix-targets")
     counts = block_counts(sources, cfg).select(F.col("_src").alias("_cs"), F.col("_block").alias("_cb"), "_times")
     cut = cut_blocks(rows.select("_src", "_size", "_start"), cfg)
-    taken = cut.join(counts, F.col("_src").eqNullSafe(F.col("_cs")) & (F.col("_block") == F.col("_cb")), "left")
+    # merge hints: sizes after an explode are underestimated, and neither side may be broadcast
+    taken = cut.join(counts.hint("merge"), F.col("_src").eqNullSafe(F.col("_cs")) & (F.col("_block") == F.col("_cb")), "left")
     return rows, sources, taken.select("_src", "_start", "_block", "_from", "_len", F.coalesce("_times", F.lit(0)).alias("_times"))
 
 
 def op9_mixture(spark, sf_dir: str) -> DataFrame:
     rows, sources, taken = mixed(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     sums = taken.groupBy("_src", "_start").agg(F.sum(F.col("_len") * F.col("_times")).alias("_taken")).select(F.col("_src").alias("_ts"), F.col("_start").alias("_tt"), "_taken")
-    with_words = rows.join(sums, F.col("_src").eqNullSafe(F.col("_ts")) & (F.col("_start") == F.col("_tt")) & (F.col("_size") > 0), "left")
+    with_words = rows.join(sums.hint("merge"), F.col("_src").eqNullSafe(F.col("_ts")) & (F.col("_start") == F.col("_tt")) & (F.col("_size") > 0), "left")
     marks = sources.select(F.col("_src").alias("_ms"), "source_size", "target")
     out = with_words.join(marks, F.col("_src").eqNullSafe(F.col("_ms")))
     return out.select("doc_id", F.col("_size").alias("size"), F.col("source_size").cast("long").alias("source_size"), "target", F.coalesce("_taken", F.lit(0)).cast("long").alias("taken"))
@@ -157,7 +160,7 @@ def mix_documents(docs: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     runs = taken.groupBy("_src", "_start").agg(
         F.sort_array(F.collect_list(F.struct("_from", "_len", "_times"))).alias("_runs"), F.min("_times").alias("_least"), F.max("_times").alias("_most")
     ).where("_most > 0").select(F.col("_src").alias("_ts"), F.col("_start").alias("_tt"), "_runs", "_least", "_most")
-    joined = whole.where("_size > 0").join(runs, F.col("_src").eqNullSafe(F.col("_ts")) & (F.col("_start") == F.col("_tt")))
+    joined = whole.where("_size > 0").join(runs.hint("merge"), F.col("_src").eqNullSafe(F.col("_ts")) & (F.col("_start") == F.col("_tt")))
     words = F.regexp_extract_all("text", F.lit(f"({WORD})"), F.lit(1))
 
     def one_pass(k: Column) -> Column:
