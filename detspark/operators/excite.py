@@ -42,14 +42,11 @@ class Tables:
         out = {c: table[c] for c in columns}
         for k, w in enumerate(self.spec.names):
             out[f"flip_{w}"], out[f"par_{w}"] = table["flip"][:, k], table["parity"][:, k]
-        kinds = ", ".join(f"{c} {self.value_type if c == 'h' else 'int'}" for c in columns) + "".join(f", flip_{w} long, par_{w} long" for w in self.spec.names)
+        kinds = ", ".join(f"{c} { {'h': self.value_type, 'ctx': f'array<{self.value_type}>'}.get(c, 'int')}" for c in columns) + "".join(f", flip_{w} long, par_{w} long" for w in self.spec.names)
         return spark.createDataFrame(pd.DataFrame(out), kinds)
 
     def single_frame(self, spark: SparkSession) -> DataFrame:
-        frame = self._frame(spark, self.single, ["p", "a", "h"])
-        kind = self.value_type
-        ctx = pd.DataFrame({"p": self.single["p"], "a": self.single["a"], "ctx": [x.tolist() for x in self.single["ctx"]]})
-        return frame.join(spark.createDataFrame(ctx, f"p int, a int, ctx array<{kind}>"), ["p", "a"])
+        return self._frame(spark, self.single | {"ctx": [x.tolist() for x in self.single["ctx"]]}, ["p", "a", "h", "ctx"])
 
     def double_frame(self, spark: SparkSession) -> DataFrame:
         return self._frame(spark, self.double, ["p", "q", "a", "b", "h", "sgn0"])
