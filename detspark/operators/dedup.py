@@ -311,3 +311,13 @@ def report(frame: DataFrame, parts: int, s: int | None = None, levels: int = 1)
     ids = frame.sparkSession.range(parts).select(F.col("id").cast("int").alias("part"))
     counts = ids.join(sent, "part", "left").join(left, "part", "left").na.fill(0)
     return DedupReport(generated, generated - rows, rows, unique.count(), samples.count(), boundary_duplicates(unique), counts)
+
+
+def regular_sample_by(frame: DataFrame, group: str, s: int) -> DataFrame:
+    """Regular sampling inside the groups of a column, in the JVM: ``group, words, weight``."""
+    names = key_names(frame)
+    ranked = frame.select(group, *names).withColumn("_r", F.row_number().over(Window.partitionBy(group).orderBy(*names[::-1])) - 1)
+    ranked = ranked.withColumn("_d", F.count("*").over(Window.partitionBy(group)))
+    k = F.ceil(F.col("_r") * s / F.col("_d"))  # the first k whose place is not before this row
+    chosen = ranked.where((F.col("_d") < s) | ((k < s) & (F.floor(k * F.col("_d") / s) == F.col("_r"))))
+    return chosen.select(group, *names, (F.col("_d") / F.least(F.col("_d"), F.lit(s))).alias("weight"))
