@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -35,3 +36,28 @@ def discard(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def release(spark: SparkSession) -> None:
+    """Let the context cleaner drop the shuffle files of finished jobs now, not when the driver next collects garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+class Workspace:
+    """Staged tables of one computation, which can be deleted as soon as what was made from them is staged itself."""
+
+    def __init__(self, spark: SparkSession) -> None:
+        self.spark, self.paths = spark, {}
+
+    def staged(self, frame: DataFrame, tag: str) -> DataFrame:
+        path = fresh_path(self.spark, tag)
+        frame.write.parquet(path)
+        self.paths.setdefault(tag, []).append(path)
+        return self.spark.read.schema(frame.schema).parquet(path)
+
+    def drop(self, *tags: str) -> None:
+        for tag in tags:
+            for path in self.paths.pop(tag, []):
+                discard(self.spark, path)
+        release(self.spark)
