@@ -1,7 +1,7 @@
 """Every query with a DuckDB twin gives the same rows; the others run."""
 
 import pytest
-from conftest import same
+from comparing import same
 
 from detspark import catalogue
 
