@@ -4,8 +4,8 @@ Line b goes if an earlier line a (by document, then line number) has a word set
 Lines without words stay.  Equal word sets are one class, so a line that millions of documents share is one row of the join.
 
 Words are ordered by rarity.  A similar pair shares a word among the first ``n - ceil(t n) + 1`` of both sets (prefix), sizes
-are within the factor t (length), and the places of the shared words leave room for the needed overlap (position).  A 64-bit
-bitmap of the words bounds the overlap once more.  Pairs that pass are verified on the whole word sets.
+are within the factor t (length), and the places of the shared words leave room for the needed overlap (position).  A
+parity bitmap of the words bounds their difference once more.  Pairs that pass are verified on the whole word sets.
 
 Rarity comes from counts of all words in a table of fixed size.  Words that share a counter are ordered by their hash; any
 fixed order gives the same result, rarity only makes the join small.  Words are compared as 64-bit hashes.
@@ -22,11 +22,16 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from detspark.llm import text as tx
-from detspark.plans.scratch import staged
+from detspark.plans.scratch import Workspace, release, staged
 
 SIMILARITY = 0.8
-COUNTERS = 1 << 20
+COUNTERS = 1 << 18
 _SLICE = 1 << 14
+#: widths of a posting's fields: 20 bits of size, 11 of position; larger sizes and positions are cut, which only weakens the
+#: filters
+_SIZES, _PLACES = (1 << 20) - 1, (1 << 11) - 1
+#: larger sets have bitmaps of 256 bits, smaller ones of 64
+_LONG = 80
 _BREAKS = np.zeros(256, np.uint8)
 _BREAKS[10] = 1
 
@@ -67,13 +72,13 @@ def rarity(docs: DataFrame, counters: int = COUNTERS) -> np.ndarray:
                 total += np.bincount((word & np.uint64(counters - 1)).astype(np.int64), minlength=counters)
         if total.any():
             parts = total.reshape(slices, -1)
-            yield pa.RecordBatch.from_arrays([pa.array(range(slices), pa.int32()), pa.array([p.tobytes() for p in parts], pa.binary())], ["part", "counts"])
+            yield pa.RecordBatch.from_arrays([pa.array(range(slices), pa.int32()), pa.array([np.minimum(p, 0x7FFFFFFF).astype(np.int32).tobytes() for p in parts], pa.binary())], ["part", "counts"])
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
             for part, counts in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                got = np.frombuffer(counts.as_buffer(), np.int64)
+                got = np.frombuffer(counts.as_buffer(), np.int32).astype(np.int64)
                 sums[part] = sums[part] + got if part in sums else got
         # 32 bits are enough to order by; larger counts are all the same
         rows = [(k, np.minimum(v, 0x7FFFFFFF).astype(np.int32).tobytes()) for k, v in sums.items()]
@@ -90,13 +95,25 @@ def prefix_length(n: np.ndarray, t: float = SIMILARITY) -> np.ndarray:
     return n - np.ceil(t * n - 1e-9).astype(np.int64) + 1
 
 
-_LINE = T.StructType([T.StructField(n, t) for n, t in (("doc", T.LongType()), ("line", T.LongType()), ("n", T.IntegerType()), ("h1", T.LongType()), ("h2", T.LongType()), ("bits", T.LongType()), ("prefix", T.ArrayType(T.IntegerType())))])
+_LINE = T.StructType([T.StructField(n, t) for n, t in (("kind", T.IntegerType()), ("h1", T.LongType()), ("h2", T.LongType()), ("doc", T.LongType()), ("line", T.LongType()), ("n", T.IntegerType()), ("b0", T.LongType()), ("b1", T.LongType()), ("b2", T.LongType()), ("b3", T.LongType()), ("prefix", T.ArrayType(T.IntegerType())))])
+#: kinds of rows: the first line of a word set so far, and a line that an equal one precedes
+_FIRST, _REPEAT = 0, 1
 
 
-def _sets(row: np.ndarray, line: np.ndarray, word: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Distinct words of each line in the order of ``key``, then hash: (start of each line, words, their line's row and number)."""
+def _sets(row: np.ndarray, line: np.ndarray, word: np.ndarray, rank: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Distinct words of each line by rank (below 1024), then hash: (start of each line, words, their line's row and number).
+
+    Line, rank and the upper bits of the hash are sorted as one number; where these can't tell words apart, by all of it.
+    """
     unit = np.concatenate([[0], np.cumsum((np.diff(row) != 0) | (np.diff(line) != 0))])
-    order = np.lexsort((word, key, unit))
+    if unit[-1] < 1 << 20:
+        key = (unit.astype(np.uint64) << np.uint64(44)) | (rank.astype(np.uint64) << np.uint64(34)) | (word >> np.uint64(30))
+        order = np.argsort(key)
+        key, sorted_words = key[order], word[order]
+        if ((key[1:] == key[:-1]) & (sorted_words[1:] != sorted_words[:-1])).any():
+            order = np.lexsort((word, rank, unit))
+    else:
+        order = np.lexsort((word, rank, unit))
     unit, word = unit[order], word[order]
     fresh = np.concatenate([[True], (np.diff(unit) != 0) | (word[1:] != word[:-1])])
     unit, word, at = unit[fresh], word[fresh], order[fresh]
@@ -104,9 +121,41 @@ def _sets(row: np.ndarray, line: np.ndarray, word: np.ndarray, key: np.ndarray)
     return starts, word, row[at][starts], line[at][starts]
 
 
+def _bitmaps(word: np.ndarray, starts: np.ndarray, n: np.ndarray) -> list[np.ndarray]:
+    """Parity bitmaps: every word flips one bit of 256; sets of up to ``_LONG`` words have them folded into the first 64."""
+    flips, half = np.uint64(1) << (word >> np.uint64(58)), (word >> np.uint64(40)) & np.uint64(3)
+    parts = [np.bitwise_xor.reduceat(np.where(half == k, flips, np.uint64(0)), starts) for k in range(4)]
+    short = n <= _LONG
+    parts[0] = np.where(short, parts[0] ^ parts[1] ^ parts[2] ^ parts[3], parts[0])
+    return [parts[0], *(np.where(short, np.uint64(0), b) for b in parts[1:])]
+
+
+def ranks(counts: np.ndarray) -> np.ndarray:
+    """Rarity ranks below 1024 from counts: rare words first, in steps of a few per cent."""
+    return np.minimum(np.log2(counts.astype(float) + 1) * 32, 1023).astype(np.int64)
+
+
+def _ragged(starts: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """starts[0] .. starts[0]+n[0]-1, then starts[1] .. and so on."""
+    ends = np.cumsum(n)
+    return np.repeat(starts - (ends - n), n) + np.arange(int(ends[-1]) if len(ends) else 0)
+
+
+def _lists(n: np.ndarray, values: pa.Array) -> pa.ListArray:
+    return pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(n)).astype(np.int32)), values)
+
+
+def _repeats(doc: np.ndarray, line: np.ndarray) -> pa.RecordBatch:
+    zero, n = np.zeros(len(doc), np.int64), np.zeros(len(doc), np.int32)
+    return pa.RecordBatch.from_arrays([pa.array(n + _REPEAT), pa.array(zero), pa.array(zero), pa.array(doc), pa.array(line), pa.array(n), *[pa.array(zero)] * 4, _lists(n, pa.array([], pa.int32()))], _LINE.names)
+
+
 def line_sets(docs: DataFrame, counts: np.ndarray, t: float = SIMILARITY) -> DataFrame:
-    """One row per line with words: its place, size, two hashes and a bitmap of its word set, and its prefix."""
-    held = docs.sparkSession.sparkContext.broadcast(counts)
+    """Lines with words: two hashes, size, bitmap and prefix of the word set.
+
+    Of equal sets in a chunk of text only the first line is passed on; the others are marked as repeats at once.
+    """
+    held = docs.sparkSession.sparkContext.broadcast(ranks(counts))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = held.value
@@ -117,20 +166,178 @@ def line_sets(docs: DataFrame, counts: np.ndarray, t: float = SIMILARITY) -> Dat
                 starts, word, r, l = _sets(row, line, word, table[(word & mask).astype(np.int64)])
                 n = np.diff(np.append(starts, len(word)))
                 with np.errstate(over="ignore"):
-                    h1 = np.add.reduceat(tx.mix(word), starts)
-                    h2 = np.bitwise_xor.reduceat(tx.mix(word ^ np.uint64(0xA5A5A5A5A5A5A5A5)), starts)
-                bits = np.bitwise_or.reduceat(np.uint64(1) << (word >> np.uint64(58)), starts)
-                p = prefix_length(n, t)
-                ends = np.cumsum(p)
-                take = np.repeat(starts, p) + np.arange(int(ends[-1])) - np.repeat(ends - p, p)
-                short = (word[take] >> np.uint64(20)).astype(np.uint32).view(np.int32)
-                prefix = pa.ListArray.from_arrays(pa.array(np.append(0, ends).astype(np.int32)), pa.array(short))
-                columns = [pa.array(ids[r], pa.int64()), pa.array(l, pa.int64()), pa.array(n.astype(np.int32)), *(pa.array(x.view(np.int64)) for x in (h1, h2, bits)), prefix]
+                    h1 = np.add.reduceat(tx.mix(word), starts).view(np.int64)
+                    h2 = np.bitwise_xor.reduceat(tx.mix(word ^ np.uint64(0xA5A5A5A5A5A5A5A5)), starts).view(np.int64)
+                bitmaps = _bitmaps(word, starts, n)
+                doc = ids[r].astype(np.int64)
+                order = np.lexsort((l, doc, h2, h1))
+                again = np.zeros(len(order), bool)
+                again[1:] = (h1[order][1:] == h1[order][:-1]) & (h2[order][1:] == h2[order][:-1])
+                if again.any():
+                    yield _repeats(doc[order[again]], l[order[again]])
+                keep = order[~again]
+                p = prefix_length(n[keep], t)
+                short = (word[_ragged(starts[keep], p)] >> np.uint64(20)).astype(np.uint32).view(np.int32)
+                columns = [pa.array(np.zeros(len(keep), np.int32)), *(pa.array(x[keep]) for x in (h1, h2, doc, l)), pa.array(n[keep].astype(np.int32)), *(pa.array(b[keep].view(np.int64)) for b in bitmaps), _lists(p, pa.array(short))]
                 yield pa.RecordBatch.from_arrays(columns, _LINE.names)
 
     return docs.select("_key", "text").mapInArrow(run, _LINE)
 
 
+def _firsts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by set, document and line: the first of each set stays, the others are repeats."""
+    last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        h1, h2, doc, line = (batch.column(c).to_numpy() for c in ("h1", "h2", "doc", "line"))
+        again = np.zeros(len(h1), bool)
+        again[1:] = (h1[1:] == h1[:-1]) & (h2[1:] == h2[:-1])
+        again[0] = last == (h1[0], h2[0])
+        last = h1[-1], h2[-1]
+        if again.any():
+            yield _repeats(doc[again], line[again])
+        kept = batch.filter(pa.array(~again))
+        yield pa.RecordBatch.from_arrays([*kept.columns[:-1], kept.column("prefix").cast(pa.list_(pa.int32()))], _LINE.names)
+
+
+_PAIR = "b_doc long, b_line long, a_doc long, a_line long"
+_POST = "key long, doc long, line long, b0 long, b1 long, b2 long, b3 long"
+_NAMES = ["key", "doc", "line", "b0", "b1", "b2", "b3"]
+
+
+def _postings(words: np.ndarray | None):
+    """Lines with their prefixes → one row per prefix word: key = word, size, mark and position in one number, so that postings sort by word.
+
+    ``words``: a membership filter; postings of words that it rules out are left out.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1 << 14):
+                part = batch.slice(at, 1 << 14)
+                prefix = part.column("prefix")
+                n = np.diff(prefix.offsets.to_numpy())
+                word = prefix.flatten().to_numpy().astype(np.int64)
+                pos = np.arange(len(word)) - np.repeat(np.cumsum(n) - n, n)
+                row = np.repeat(np.arange(len(n)), n)
+                keep = np.ones(len(word), bool)
+                if words is not None:
+                    for where in _bloom(word, len(words)):
+                        keep &= words[where]
+                word, pos, row = word[keep], pos[keep], row[keep]
+                size = np.minimum(part.column("n").to_numpy().astype(np.int64), _SIZES)[row]
+                mark = part.column("open").to_numpy().astype(np.int64)[row]
+                key = (word << 32) | (size << 12) | (mark << 11) | np.minimum(pos, _PLACES)
+                yield pa.RecordBatch.from_arrays([pa.array(key), *(pa.array(part.column(c).to_numpy()[row]) for c in _NAMES[1:])], _NAMES)
+
+    return run
+
+
+def _fits(x: tuple, a: np.ndarray, b: np.ndarray, t: float) -> np.ndarray:
+    """Length, position and bitmap filters on pairs of postings of one word."""
+    n, pos, (folded, wide) = x[2], x[3], x[4]
+    na, nb = n[a], n[b]
+    # every word flips one bit, so bitmaps differ in no more bits than the sets differ in words
+    far = np.bitwise_count(folded[a] ^ folded[b]).astype(np.int64)
+    long = np.flatnonzero((na > _LONG) & (nb > _LONG))
+    if len(long):
+        far[long] = np.bitwise_count(wide[a[long]] ^ wide[b[long]]).sum(1)
+    need = np.ceil((na + nb) * (t / (1 + t)) - 1e-9)
+    ok = (far <= na + nb - 2 * need) & (np.minimum(na, nb) >= np.maximum(na, nb) * t - 1e-9)
+    ok &= 1 + np.minimum(na - pos[a] - 1, nb - pos[b] - 1) + np.minimum(pos[a], pos[b]) >= need
+    return ok | (na >= _SIZES) | (nb >= _SIZES)
+
+
+def _candidates(t: float, every: bool):
+    """Pairs (later line b, earlier line a) among the postings of each word, which come sorted by word.
+
+    ``every`` false: for each b one a that passes the filters; a b is held against further blocks of lines only until one
+    passes, so a large group of near copies costs little more than its size.  ``every`` true: all of them, for the lines
+    whose posting is marked as open.  Postings of the word at hand are kept across batches.
+    """
+
+    def ordered(x: tuple, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(earlier, later) of each pair."""
+        later = (x[0][i] < x[0][j]) | ((x[0][i] == x[0][j]) & (x[1][i] < x[1][j]))
+        return np.where(later, i, j), np.where(later, j, i)
+
+    def emit(x: tuple, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
+        if every:
+            good = x[5][b] > 0
+            a, b = a[good], b[good]
+        elif len(b):
+            b, first = np.unique(b, return_index=True)
+            a = a[first]
+        if len(b):
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in (x[0][b], x[1][b], x[0][a], x[1][a])], ["b_doc", "b_line", "a_doc", "a_line"])
+
+    def word_list(x: tuple) -> Iterator[pa.RecordBatch]:
+        size = len(x[0])
+        for low in range(0, size, 512):
+            b = np.arange(low, min(size, low + 512))
+            if every:
+                b = b[x[5][b] > 0]
+            for start in range(0, size, 512):
+                if not len(b):
+                    break
+                a = np.arange(start, min(size, start + 512))
+                bb, aa = np.repeat(b, len(a)), np.tile(a, len(b))
+                good = (x[0][aa] < x[0][bb]) | ((x[0][aa] == x[0][bb]) & (x[1][aa] < x[1][bb]))
+                good[good] = _fits(x, aa[good], bb[good], t)
+                yield from emit(x, aa[good], bb[good])
+                if not every:
+                    b = np.setdiff1d(b, bb[good])
+
+    def small_lists(x: tuple, place: np.ndarray, small: np.ndarray) -> Iterator[pa.RecordBatch]:
+        """All short lists of a batch at once.  ``place`` = word and size, rising: the shorter set of a pair stands before the other,
+        has 0.8 of its size at least, and shares one of its first ``n - ceil(2 t / (1 + t) n) + 1`` words."""
+        n, pos = x[2], x[3]
+        index = np.flatnonzero(small & (pos < n - np.ceil(2 * t / (1 + t) * n - 1e-9) + 1))
+        probe = np.flatnonzero(small)
+        low = np.searchsorted(place[index], (place[probe] & ~_SIZES) | np.ceil(t * n[probe] - 1e-9).astype(np.int64))
+        many = np.maximum(np.searchsorted(index, probe) - low, 0)
+        total = np.cumsum(many)
+        at = 0
+        while at < len(probe):
+            to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + (1 << 20), side="right")))
+            i = index[_ragged(low[at:to], many[at:to])]
+            j = np.repeat(probe[at:to], many[at:to])
+            good = _fits(x, i, j, t)
+            yield from emit(x, *ordered(x, i[good], j[good]))
+            at = to
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] | None = None
+
+        def process(c: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+            key, doc, line = c[:3]
+            wide = np.stack(c[3:], 1).view(np.uint64)
+            x = (doc, line, (key >> 12) & _SIZES, key & _PLACES, (np.bitwise_xor.reduce(wide, 1), wide), (key >> 11) & 1)
+            word = key >> 32
+            start = np.flatnonzero(np.concatenate([[True], word[1:] != word[:-1]]))
+            n = np.diff(np.append(start, len(word)))
+            yield from small_lists(x, key >> 12, np.repeat((n > 1) & (n <= 256), n))
+            for s, k in zip(start[n > 256].tolist(), n[n > 256].tolist(), strict=True):
+                cut = slice(s, s + k)
+                yield from word_list((doc[cut], line[cut], x[2][cut], x[3][cut], (x[4][0][cut], wide[cut]), x[5][cut]))
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            now = [c.to_numpy() for c in batch.columns]
+            if held is not None:
+                now = [np.concatenate([h, c]) for h, c in zip(held, now, strict=True)]
+            cut = int(np.searchsorted(now[0] >> 32, now[0][-1] >> 32))
+            held = [c[cut:] for c in now]
+            if cut:
+                yield from process([c[:cut] for c in now])
+        if held is not None:
+            yield from process(held)
+
+    return run
+
+
 def _bloom(keys: np.ndarray, bits: int) -> list[np.ndarray]:
     k = tx.mix(keys.view(np.uint64))
     return [((k >> np.uint64(s)) & np.uint64(bits - 1)).astype(np.int64) for s in (0, 20, 40)]
@@ -166,25 +373,48 @@ def _line_key(doc: np.ndarray, line: np.ndarray) -> np.ndarray:
         return tx.mix(doc.astype(np.int64).view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + line.astype(np.uint64)).view(np.int64)
 
 
+def _wanted_lines(column: pa.Array, ids: np.ndarray, field: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, bytes]]:
+    """Lines that the filter lets through: (rows, line numbers, their bytes joined by line ends)."""
+    offsets, data = tx.column_bytes(column)
+    for low in range(0, len(offsets) - 1, 256):
+        high = min(len(offsets) - 1, low + 256)
+        part = data[offsets[low] : offsets[high]]
+        bounds = offsets[low : high + 1] - offsets[low]
+        # every text ends a line, also where no line end stands
+        breaks = np.flatnonzero(part == 10)
+        starts = np.sort(np.concatenate([bounds[:-1], breaks + 1]), kind="stable")
+        ends = np.sort(np.concatenate([breaks, bounds[1:]]), kind="stable")
+        row = np.searchsorted(bounds, starts, side="right") - 1
+        first = np.searchsorted(starts, bounds[:-1], side="left")
+        row = np.repeat(np.arange(high - low), np.diff(np.append(first, len(starts)))) if (np.diff(bounds) > 0).all() else _line_rows(part, bounds)
+        line = np.arange(len(starts)) - np.searchsorted(row, row, side="left")
+        ok = np.ones(len(starts), bool)
+        for at in _bloom(_line_key(ids[low + row], line), len(field)):
+            ok &= field[at]
+        if ok.any():
+            text = b"\n".join(part[a:b].tobytes() for a, b in zip(starts[ok].tolist(), ends[ok].tolist(), strict=True))
+            yield low + row[ok], line[ok], text
+
+
+def _line_rows(part: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    """Row of each line where some texts are empty (an empty text is one line)."""
+    counts = [int((part[a:b] == 10).sum()) + 1 for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
+    return np.repeat(np.arange(len(counts)), counts)
+
+
 def _some_sets(docs: DataFrame, wanted: np.ndarray) -> DataFrame:
     """Whole word sets of the lines that the filter lets through: ``doc, line, words``."""
     held = docs.sparkSession.sparkContext.broadcast(np.packbits(wanted))
-    bits = len(wanted)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         field = np.unpackbits(held.value).astype(bool)
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
-            for row, line, word in _tokens(batch.column(1)):
-                ok = np.ones(len(row), bool)
-                for at in _bloom(_line_key(ids[row], line), bits):
-                    ok &= field[at]
-                if not ok.any():
-                    continue
-                row, line, word = row[ok], line[ok], word[ok]
-                starts, word, r, l = _sets(row, line, word, np.zeros(len(word), np.int64))
-                words = pa.ListArray.from_arrays(pa.array(np.append(starts, len(word)).astype(np.int32)), pa.array(word.view(np.int64)))
-                yield pa.RecordBatch.from_arrays([pa.array(ids[r], pa.int64()), pa.array(l, pa.int64()), words], ["doc", "line", "words"])
+            for rows, lines, text in _wanted_lines(batch.column(1), ids, field):
+                for _, place, word in _tokens(pa.array([text], pa.binary())):
+                    starts, word, _, at = _sets(np.zeros(len(place), np.int64), place, word, np.zeros(len(place), np.int64))
+                    words = pa.ListArray.from_arrays(pa.array(np.append(starts, len(word)).astype(np.int32)), pa.array(word.view(np.int64)))
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[rows[at]], pa.int64()), pa.array(lines[at], pa.int64()), words], ["doc", "line", "words"])
 
     return docs.select("_key", "text").mapInArrow(run, "doc long, line long, words array<long>")
 
@@ -194,29 +424,11 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.withColumn("_key", F.coalesce(F.col("doc_id"), F.pmod(F.xxhash64("text"), F.lit(1 << 40)) + F.lit((1 << 62))))
 
 
-def removed_lines(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
-    """``docs(_key, text)`` → ``(doc, line)``, lines from 0, of every line that an earlier one matches.
+def _verified(docs: DataFrame, pairs: DataFrame, t: float, work: Workspace) -> DataFrame:
+    """``(doc, line)`` of the later lines of those pairs whose whole word sets are similar.
 
-    Rows that repeat an id are one document whose equal line numbers are the same place: a line matches only other places.
+    Only sets of lines in pairs are formed: a membership filter of fixed size says which, inside the scan.
     """
-    counts = rarity(docs)
-    lines = staged(line_sets(docs, counts, t), "lines")
-    # classes of equal word sets; the first line of a class stands for it
-    classes = staged(lines.groupBy("h1", "h2").agg(F.min(F.struct("doc", "line")).alias("first"), F.first("n").alias("n"), F.first("bits").alias("bits"), F.first("prefix").alias("prefix")), "line-classes")
-    flat = classes.select("h1", "h2", F.col("first.doc").alias("doc"), F.col("first.line").alias("line"), "n", "bits", "prefix")
-    posts = flat.select("doc", "line", "n", "bits", F.posexplode("prefix").alias("pos", "word"))
-    posts = posts.select("word", "doc", "line", "n", "bits", "pos")
-    a = posts.select("word", *(F.col(c).alias(f"a_{c}") for c in ("doc", "line", "n", "bits", "pos")))
-    b = posts.select("word", *(F.col(c).alias(f"b_{c}") for c in ("doc", "line", "n", "bits", "pos")))
-    need = F.ceil((F.col("a_n") + F.col("b_n")) * (t / (1 + t)) - 1e-9)  # overlap that the similarity asks for
-    small, large = F.least("a_n", "b_n"), F.greatest("a_n", "b_n")
-    earlier = (F.col("a_doc") < F.col("b_doc")) | ((F.col("a_doc") == F.col("b_doc")) & (F.col("a_line") < F.col("b_line")))
-    room = 1 + F.least(F.col("a_n") - F.col("a_pos") - 1, F.col("b_n") - F.col("b_pos") - 1) + F.least("a_pos", "b_pos")
-    # each bit that only one bitmap has is a word that the other set lacks
-    only_a = F.bit_count(F.col("a_bits").bitwiseAND(F.bitwise_not("b_bits")))
-    only_b = F.bit_count(F.col("b_bits").bitwiseAND(F.bitwise_not("a_bits")))
-    fits = (small >= large * t - 1e-9) & (room >= need) & (F.col("a_n") - only_a >= need) & (F.col("b_n") - only_b >= need)
-    pairs = staged(a.join(b, (a["word"] == b["word"]) & earlier & fits).select("a_doc", "a_line", "b_doc", "b_line").distinct(), "line-pairs")
     sides = pairs.select(F.col("a_doc").alias("doc"), F.col("a_line").alias("line")).unionByName(pairs.select(F.col("b_doc").alias("doc"), F.col("b_line").alias("line"))).distinct()
 
     def to_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -224,16 +436,57 @@ def removed_lines(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(_line_key(batch.column(0).to_numpy(), batch.column(1).to_numpy()))], ["key"])
 
     wanted = _member(sides.mapInArrow(to_key, "key long"))
-    sets = _some_sets(docs, wanted).join(sides, ["doc", "line"], "left_semi").dropDuplicates(["doc", "line"])
+    sets = work.staged(_some_sets(docs, wanted).dropDuplicates(["doc", "line"]), "line-words")
     left = sets.select(F.col("doc").alias("a_doc"), F.col("line").alias("a_line"), F.col("words").alias("a_words"))
     right = sets.select(F.col("doc").alias("b_doc"), F.col("line").alias("b_line"), F.col("words").alias("b_words"))
     both = pairs.join(left, ["a_doc", "a_line"]).join(right, ["b_doc", "b_line"])
     shared = F.size(F.array_intersect("a_words", "b_words"))
     similar = both.where(shared >= t * (F.size("a_words") + F.size("b_words") - shared) - 1e-9)
-    matched = similar.select(F.col("b_doc").alias("doc"), F.col("b_line").alias("line")).distinct()
-    gone = flat.join(matched.withColumn("_m", F.lit(True)), ["doc", "line"], "left").select("h1", "h2", F.col("doc").alias("f_doc"), F.col("line").alias("f_line"), F.coalesce("_m", F.lit(False)).alias("_m"))
-    placed = lines.select("h1", "h2", "doc", "line").join(gone, ["h1", "h2"])
-    return placed.where("_m or doc <> f_doc or line <> f_line").select("doc", "line").distinct()
+    out = work.staged(similar.select(F.col("b_doc").alias("doc"), F.col("b_line").alias("line")).distinct(), "line-matches")
+    work.drop("line-words")
+    return out
+
+
+def removed_lines(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
+    """``docs(_key, text)`` → ``(doc, line)``, lines from 0, of every line that an earlier one matches; staged.
+
+    Lines of equal word sets are found first; the first line of a set stands for it.  Then two rounds of the join: in the
+    first each line gets one candidate for each of its words, which settles the members of groups of near copies; in the
+    second the lines that had a candidate and are still open get all of theirs.  Rows that repeat an id are one document
+    whose equal line numbers are the same place.
+    """
+    spark = docs.sparkSession
+    work = Workspace(spark)
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    lines = work.staged(line_sets(docs, rarity(docs), t), "lines")
+    dealt = lines.where(F.col("kind") == _FIRST).repartition(parts, "h1", "h2").sortWithinPartitions("h1", "h2", "doc", "line")
+    classes = work.staged(dealt.mapInArrow(_firsts, _LINE), "line-classes")
+    repeats = work.staged(lines.where(F.col("kind") == _REPEAT).select("doc", "line").unionByName(classes.where(F.col("kind") == _REPEAT).select("doc", "line")), "line-repeats")
+    work.drop("lines")
+    firsts = classes.where(F.col("kind") == _FIRST).select("doc", "line", "n", "b0", "b1", "b2", "b3", "prefix")
+
+    def candidates(rows: DataFrame, words: np.ndarray | None) -> DataFrame:
+        every = words is not None
+        posts = rows.mapInArrow(_postings(words), _POST)
+        near = posts.repartition(parts, F.shiftright("key", 32)).sortWithinPartitions("key").mapInArrow(_candidates(t, every), _PAIR)
+        if every:
+            return near.distinct()
+        least = near.groupBy("b_doc", "b_line").agg(F.min(F.struct("a_doc", "a_line")).alias("a"))
+        return least.select("b_doc", "b_line", "a.a_doc", "a.a_line")
+
+    first = work.staged(candidates(firsts.withColumn("open", F.lit(1)), None), "line-pairs")
+    release(spark)
+    settled = _verified(docs, first, t, work)
+    left = work.staged(first.select(F.col("b_doc").alias("doc"), F.col("b_line").alias("line")).join(settled, ["doc", "line"], "left_anti").withColumn("open", F.lit(1)), "line-open")
+    marked = firsts.join(left, ["doc", "line"], "left").withColumn("open", F.coalesce("open", F.lit(0)))
+    words = _member(firsts.join(left, ["doc", "line"], "left_semi").select(F.explode(F.col("prefix").cast("array<bigint>")).alias("key")))
+    second = candidates(marked, words).join(first, ["b_doc", "b_line", "a_doc", "a_line"], "left_anti")
+    second = work.staged(second, "line-more")
+    work.drop("line-classes", "line-pairs", "line-open")
+    matched = settled.unionByName(_verified(docs, second, t, work))
+    out = staged(repeats.unionByName(matched).distinct(), "line-removed")
+    work.drop("line-repeats", "line-more", "line-matches")
+    return out
 
 
 def without(docs: DataFrame, removed: DataFrame) -> DataFrame:
@@ -241,8 +494,8 @@ def without(docs: DataFrame, removed: DataFrame) -> DataFrame:
 
     A document whose lines all go keeps an empty text.
     """
-    per_doc = removed.groupBy("doc").agg(F.collect_set("line").alias("_gone"))
-    joined = docs.join(per_doc, docs["_key"] == per_doc["doc"], "left").drop("doc")
+    per_doc = removed.groupBy(F.col("doc").alias("_doc")).agg(F.collect_set("line").alias("_gone"))
+    joined = docs.join(per_doc, docs["_key"] == per_doc["_doc"], "left").drop("_doc")
     kept = F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("_gone", i.cast("long")))
     return joined.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.concat_ws("\n", kept)))
 
