@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from detspark.llm import text as tx
 from detspark.plans.scratch import staged
 
 LIMIT = 4096
@@ -72,6 +73,9 @@ def _cache(path: str) -> WordCache:
     return WordCache(path)
 
 
+tx.HELD.append(_cache.cache_clear)
+
+
 def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool = False) -> DataFrame:
     """``(doc_id, text)`` → ``doc_id, piece, start, length, ids_crc32`` [, ``ids``]; only documents over ``limit`` are cut.
 

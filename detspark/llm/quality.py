@@ -68,7 +68,7 @@ def _features(column: pa.Array, bits: int) -> list[tuple[np.ndarray, np.ndarray]
     out = []
     for parts in found:
         bucket, n = np.unique(np.concatenate(parts) if parts else np.zeros(0, np.int64), return_counts=True)
-        out.append((bucket, n / np.sqrt(max(1, n.sum()))))
+        out.append((bucket.astype(np.int32), (n / np.sqrt(max(1, n.sum()))).astype(np.float32)))
     return out
 
 
@@ -107,6 +107,7 @@ def train(docs: DataFrame, labels: DataFrame, cfg: QualityConfig = QualityConfig
     rows = rows.groupBy("_id", "_text").agg(F.max("_y").alias("_y")).withColumn("_one", F.lit(0))
 
     def fit(frame: pd.DataFrame) -> pd.DataFrame:
+        tx.release()
         order = frame["_id"].map(lambda x: (x * 0x9E3779B97F4A7C15 + 11) % (1 << 64))
         frame = frame.assign(_o=order).sort_values(["_o", "_text"], kind="stable")
         w = ftrl(_features(pa.array(frame["_text"], pa.string()), cfg.bits), frame["_y"].to_numpy(), cfg)
@@ -134,6 +135,7 @@ def score(docs: DataFrame, weights: np.ndarray, text: str = "text", out: str = "
     held = docs.sparkSession.sparkContext.broadcast(weights)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.release()
         for batch in batches:
             got = _scores(batch.column(batch.schema.get_field_index(text)), held.value, cfg.bits)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(got)], [*batch.schema.names, out])
@@ -146,6 +148,7 @@ def accept(docs: DataFrame, weights: np.ndarray, cfg: QualityConfig = QualityCon
     held = docs.sparkSession.sparkContext.broadcast(weights)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.release()
         for batch in batches:
             got = _scores(batch.column(batch.schema.get_field_index("text")), held.value, cfg.bits)
             yield batch.filter(pa.array(got >= cfg.threshold))

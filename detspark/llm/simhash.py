@@ -63,6 +63,7 @@ def with_fingerprint(docs: DataFrame, text: str = "text", out: str = "fp", words
     names = [f.name for f in kept]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.release()
         for batch in batches:
             column = batch.column(batch.schema.get_field_index(text)).cast(pa.large_binary())
             found = np.array([fingerprint(x.as_buffer().to_pybytes() if x.is_valid else None, words) for x in column], np.uint64)

@@ -28,6 +28,15 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
 
+#: frees what operators keep in a Python worker between tasks; a worker serves the tasks of all operators in turn
+HELD: list = []
+
+
+def release() -> None:
+    for free in HELD:
+        free()
+
+
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     global _powers
     if _powers is None or len(_powers[0]) < n:
