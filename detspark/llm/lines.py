@@ -66,6 +66,7 @@ def rarity(docs: DataFrame, counters: int = COUNTERS) -> np.ndarray:
     slices = max(1, counters // _SLICE)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.release()
         total = np.zeros(counters, np.int64)
         for batch in batches:
             for _, _, word in _tokens(batch.column(0)):
@@ -158,6 +159,7 @@ def line_sets(docs: DataFrame, counts: np.ndarray, t: float = SIMILARITY) -> Dat
     held = docs.sparkSession.sparkContext.broadcast(ranks(counts))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.release()
         table = held.value
         mask = np.uint64(len(table) - 1)
         for batch in batches:
@@ -186,6 +188,7 @@ def line_sets(docs: DataFrame, counts: np.ndarray, t: float = SIMILARITY) -> Dat
 
 def _firsts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows sorted by set, document and line: the first of each set stays, the others are repeats."""
+    tx.release()
     last = None
     for batch in batches:
         if not batch.num_rows:
@@ -201,41 +204,56 @@ def _firsts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([*kept.columns[:-1], kept.column("prefix").cast(pa.list_(pa.int32()))], _LINE.names)
 
 
-_PAIR = "b_doc long, b_line long, a_doc long, a_line long"
+_PAIR = "b_doc long, b_line long, a_doc long, a_line long, slack int"
 _POST = "key long, doc long, line long, b0 long, b1 long, b2 long, b3 long"
 _NAMES = ["key", "doc", "line", "b0", "b1", "b2", "b3"]
 
 
-def _postings(words: np.ndarray | None):
+def _lines_in(part: pa.RecordBatch, field: np.ndarray) -> np.ndarray:
+    """Which lines of a batch the membership filter lets through."""
+    return _has(field, _line_key(part.column("doc").to_numpy(), part.column("line").to_numpy()))
+
+
+def _postings(marked: np.ndarray | None, words: np.ndarray | None):
     """Lines with their prefixes → one row per prefix word: key = word, size, mark and position in one number, so that postings sort by word.
 
-    ``words``: a membership filter; postings of words that it rules out are left out.
+    ``marked``: a membership filter of lines, which get the mark.  ``words``: one of words; postings of words that it rules
+    out are left out.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 1 << 14):
-                part = batch.slice(at, 1 << 14)
+            for at in range(0, batch.num_rows, 1 << 13):
+                part = batch.slice(at, 1 << 13)
                 prefix = part.column("prefix")
                 n = np.diff(prefix.offsets.to_numpy())
                 word = prefix.flatten().to_numpy().astype(np.int64)
                 pos = np.arange(len(word)) - np.repeat(np.cumsum(n) - n, n)
                 row = np.repeat(np.arange(len(n)), n)
-                keep = np.ones(len(word), bool)
-                if words is not None:
-                    for where in _bloom(word, len(words)):
-                        keep &= words[where]
+                keep = np.ones(len(word), bool) if words is None else _has(words, word)
                 word, pos, row = word[keep], pos[keep], row[keep]
                 size = np.minimum(part.column("n").to_numpy().astype(np.int64), _SIZES)[row]
-                mark = part.column("open").to_numpy().astype(np.int64)[row]
-                key = (word << 32) | (size << 12) | (mark << 11) | np.minimum(pos, _PLACES)
+                key = (word << 32) | (size << 12) | np.minimum(pos, _PLACES)
+                if marked is not None:
+                    key |= (_lines_in(part, marked).astype(np.int64) << 11)[row]
                 yield pa.RecordBatch.from_arrays([pa.array(key), *(pa.array(part.column(c).to_numpy()[row]) for c in _NAMES[1:])], _NAMES)
 
     return run
 
 
-def _fits(x: tuple, a: np.ndarray, b: np.ndarray, t: float) -> np.ndarray:
-    """Length, position and bitmap filters on pairs of postings of one word."""
+def _words_of(marked: np.ndarray):
+    """Prefix words of the lines that the filter lets through: ``key``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            some = batch.filter(pa.array(_lines_in(batch, marked)))
+            yield pa.RecordBatch.from_arrays([some.column("prefix").flatten().cast(pa.int64())], ["key"])
+
+    return run
+
+
+def _slack(x: tuple, a: np.ndarray, b: np.ndarray, t: float) -> np.ndarray:
+    """Length, position and bitmap filters on pairs of postings of one word: by how many words the bitmaps are nearer than they must be, -1 for pairs that fail."""
     n, pos, (folded, wide) = x[2], x[3], x[4]
     na, nb = n[a], n[b]
     # every word flips one bit, so bitmaps differ in no more bits than the sets differ in words
@@ -246,13 +264,13 @@ def _fits(x: tuple, a: np.ndarray, b: np.ndarray, t: float) -> np.ndarray:
     need = np.ceil((na + nb) * (t / (1 + t)) - 1e-9)
     ok = (far <= na + nb - 2 * need) & (np.minimum(na, nb) >= np.maximum(na, nb) * t - 1e-9)
     ok &= 1 + np.minimum(na - pos[a] - 1, nb - pos[b] - 1) + np.minimum(pos[a], pos[b]) >= need
-    return ok | (na >= _SIZES) | (nb >= _SIZES)
+    return np.where(ok | (na >= _SIZES) | (nb >= _SIZES), np.maximum(na + nb - 2 * need - far, 0), -1).astype(np.int32)
 
 
 def _candidates(t: float, every: bool):
     """Pairs (later line b, earlier line a) among the postings of each word, which come sorted by word.
 
-    ``every`` false: for each b one a that passes the filters; a b is held against further blocks of lines only until one
+    ``every`` false: for each b the nearest a by bitmap that passes the filters; a b is held against further blocks of lines only until one
     passes, so a large group of near copies costs little more than its size.  ``every`` true: all of them, for the lines
     whose posting is marked as open.  Postings of the word at hand are kept across batches.
     """
@@ -262,18 +280,20 @@ def _candidates(t: float, every: bool):
         later = (x[0][i] < x[0][j]) | ((x[0][i] == x[0][j]) & (x[1][i] < x[1][j]))
         return np.where(later, i, j), np.where(later, j, i)
 
-    def emit(x: tuple, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
+    def emit(x: tuple, a: np.ndarray, b: np.ndarray, slack: np.ndarray) -> Iterator[pa.RecordBatch]:
         if every:
             good = x[5][b] > 0
-            a, b = a[good], b[good]
+            a, b, slack = a[good], b[good], slack[good]
         elif len(b):
-            b, first = np.unique(b, return_index=True)
-            a = a[first]
+            order = np.lexsort((-slack, b))
+            b, first = np.unique(b[order], return_index=True)
+            a, slack = a[order][first], slack[order][first]
         if len(b):
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in (x[0][b], x[1][b], x[0][a], x[1][a])], ["b_doc", "b_line", "a_doc", "a_line"])
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in (x[0][b], x[1][b], x[0][a], x[1][a], slack)], ["b_doc", "b_line", "a_doc", "a_line", "slack"])
 
     def word_list(x: tuple) -> Iterator[pa.RecordBatch]:
         size = len(x[0])
+        index = x[3] < x[2] - np.ceil(2 * t / (1 + t) * x[2] - 1e-9) + 1  # as for short lists
         for low in range(0, size, 512):
             b = np.arange(low, min(size, low + 512))
             if every:
@@ -284,8 +304,12 @@ def _candidates(t: float, every: bool):
                 a = np.arange(start, min(size, start + 512))
                 bb, aa = np.repeat(b, len(a)), np.tile(a, len(b))
                 good = (x[0][aa] < x[0][bb]) | ((x[0][aa] == x[0][bb]) & (x[1][aa] < x[1][bb]))
-                good[good] = _fits(x, aa[good], bb[good], t)
-                yield from emit(x, aa[good], bb[good])
+                shorter = np.minimum(aa, bb)  # rows are in order of size
+                good &= index[shorter]
+                bb, aa = bb[good], aa[good]
+                slack = _slack(x, aa, bb, t)
+                good = slack >= 0
+                yield from emit(x, aa[good], bb[good], slack[good])
                 if not every:
                     b = np.setdiff1d(b, bb[good])
 
@@ -300,14 +324,16 @@ def _candidates(t: float, every: bool):
         total = np.cumsum(many)
         at = 0
         while at < len(probe):
-            to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + (1 << 20), side="right")))
+            to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + (1 << 18), side="right")))
             i = index[_ragged(low[at:to], many[at:to])]
             j = np.repeat(probe[at:to], many[at:to])
-            good = _fits(x, i, j, t)
-            yield from emit(x, *ordered(x, i[good], j[good]))
+            slack = _slack(x, i, j, t)
+            good = slack >= 0
+            yield from emit(x, *ordered(x, i[good], j[good]), slack[good])
             at = to
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.release()
         held: list[np.ndarray] | None = None
 
         def process(c: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
@@ -343,29 +369,32 @@ def _bloom(keys: np.ndarray, bits: int) -> list[np.ndarray]:
     return [((k >> np.uint64(s)) & np.uint64(bits - 1)).astype(np.int64) for s in (0, 20, 40)]
 
 
-def _member(wanted: DataFrame, bits: int = 1 << 24) -> np.ndarray:
-    """A membership filter of fixed size over ``wanted(key)``; it may say yes wrongly and never no."""
+def _has(field: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """Which keys a membership filter lets through."""
+    ok = np.ones(len(keys), bool)
+    for at in _bloom(keys, 8 * len(field)):
+        ok &= (field[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 > 0
+    return ok
+
+
+def _member(wanted: DataFrame, bits: int = 1 << 24, tasks: int = 16) -> np.ndarray:
+    """A membership filter of fixed size over ``wanted(key)`` or ``wanted(doc, line)``; it may say yes wrongly and never no."""
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.release()
         field, any_row = np.zeros(bits, bool), False
         for batch in batches:
             any_row = any_row or batch.num_rows > 0
-            for at in _bloom(batch.column(0).to_numpy(), bits):
+            columns = [c.to_numpy() for c in batch.columns]
+            for at in _bloom(columns[0] if len(columns) == 1 else _line_key(*columns), bits):
                 field[at] = True
         if any_row:
             yield pa.RecordBatch.from_arrays([pa.array([np.packbits(field).tobytes()], pa.binary())], ["field"])
 
-    def both(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        field = None
-        for batch in batches:
-            for value in batch.column(0):
-                got = np.frombuffer(value.as_buffer(), np.uint8)
-                field = got if field is None else field | got
-        if field is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([field.tobytes()], pa.binary())], ["field"])
-
-    marked = wanted.coalesce(32).mapInArrow(mark, "field binary").coalesce(1).mapInArrow(both, "field binary").collect()
-    return np.unpackbits(np.frombuffer(marked[0][0], np.uint8)).astype(bool) if marked else np.zeros(bits, bool)
+    field = np.zeros(bits // 8, np.uint8)
+    for row in wanted.repartition(tasks).mapInArrow(mark, "field binary").toLocalIterator():
+        field |= np.frombuffer(row[0], np.uint8)
+    return field
 
 
 def _line_key(doc: np.ndarray, line: np.ndarray) -> np.ndarray:
@@ -388,9 +417,7 @@ def _wanted_lines(column: pa.Array, ids: np.ndarray, field: np.ndarray) -> Itera
         first = np.searchsorted(starts, bounds[:-1], side="left")
         row = np.repeat(np.arange(high - low), np.diff(np.append(first, len(starts)))) if (np.diff(bounds) > 0).all() else _line_rows(part, bounds)
         line = np.arange(len(starts)) - np.searchsorted(row, row, side="left")
-        ok = np.ones(len(starts), bool)
-        for at in _bloom(_line_key(ids[low + row], line), len(field)):
-            ok &= field[at]
+        ok = _has(field, _line_key(ids[low + row], line))
         if ok.any():
             text = b"\n".join(part[a:b].tobytes() for a, b in zip(starts[ok].tolist(), ends[ok].tolist(), strict=True))
             yield low + row[ok], line[ok], text
@@ -404,10 +431,11 @@ def _line_rows(part: np.ndarray, bounds: np.ndarray) -> np.ndarray:
 
 def _some_sets(docs: DataFrame, wanted: np.ndarray) -> DataFrame:
     """Whole word sets of the lines that the filter lets through: ``doc, line, words``."""
-    held = docs.sparkSession.sparkContext.broadcast(np.packbits(wanted))
+    held = docs.sparkSession.sparkContext.broadcast(wanted)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        field = np.unpackbits(held.value).astype(bool)
+        tx.release()
+        field = held.value
         for batch in batches:
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             for rows, lines, text in _wanted_lines(batch.column(1), ids, field):
@@ -431,11 +459,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, t: float, work: Workspace) -> D
     """
     sides = pairs.select(F.col("a_doc").alias("doc"), F.col("a_line").alias("line")).unionByName(pairs.select(F.col("b_doc").alias("doc"), F.col("b_line").alias("line"))).distinct()
 
-    def to_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield pa.RecordBatch.from_arrays([pa.array(_line_key(batch.column(0).to_numpy(), batch.column(1).to_numpy()))], ["key"])
-
-    wanted = _member(sides.mapInArrow(to_key, "key long"))
+    wanted = _member(sides)
     sets = work.staged(_some_sets(docs, wanted).dropDuplicates(["doc", "line"]), "line-words")
     left = sets.select(F.col("doc").alias("a_doc"), F.col("line").alias("a_line"), F.col("words").alias("a_words"))
     right = sets.select(F.col("doc").alias("b_doc"), F.col("line").alias("b_line"), F.col("words").alias("b_words"))
@@ -451,7 +475,7 @@ def removed_lines(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
     """``docs(_key, text)`` → ``(doc, line)``, lines from 0, of every line that an earlier one matches; staged.
 
     Lines of equal word sets are found first; the first line of a set stands for it.  Then two rounds of the join: in the
-    first each line gets one candidate for each of its words, which settles the members of groups of near copies; in the
+    first each line gets its nearest candidate by bitmap, which settles the members of groups of near copies; in the
     second the lines that had a candidate and are still open get all of theirs.  Rows that repeat an id are one document
     whose equal line numbers are the same place.
     """
@@ -465,24 +489,23 @@ def removed_lines(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
     work.drop("lines")
     firsts = classes.where(F.col("kind") == _FIRST).select("doc", "line", "n", "b0", "b1", "b2", "b3", "prefix")
 
-    def candidates(rows: DataFrame, words: np.ndarray | None) -> DataFrame:
+    def candidates(marked: np.ndarray | None, words: np.ndarray | None) -> DataFrame:
         every = words is not None
-        posts = rows.mapInArrow(_postings(words), _POST)
+        posts = firsts.mapInArrow(_postings(marked, words), _POST)
         near = posts.repartition(parts, F.shiftright("key", 32)).sortWithinPartitions("key").mapInArrow(_candidates(t, every), _PAIR)
         if every:
-            return near.distinct()
-        least = near.groupBy("b_doc", "b_line").agg(F.min(F.struct("a_doc", "a_line")).alias("a"))
-        return least.select("b_doc", "b_line", "a.a_doc", "a.a_line")
+            return near.drop("slack").distinct()
+        nearest = near.groupBy("b_doc", "b_line").agg(F.max(F.struct("slack", "a_doc", "a_line")).alias("a"))
+        return nearest.select("b_doc", "b_line", "a.a_doc", "a.a_line")
 
-    first = work.staged(candidates(firsts.withColumn("open", F.lit(1)), None), "line-pairs")
+    first = work.staged(candidates(None, None), "line-pairs")
     release(spark)
     settled = _verified(docs, first, t, work)
-    left = work.staged(first.select(F.col("b_doc").alias("doc"), F.col("b_line").alias("line")).join(settled, ["doc", "line"], "left_anti").withColumn("open", F.lit(1)), "line-open")
-    marked = firsts.join(left, ["doc", "line"], "left").withColumn("open", F.coalesce("open", F.lit(0)))
-    words = _member(firsts.join(left, ["doc", "line"], "left_semi").select(F.explode(F.col("prefix").cast("array<bigint>")).alias("key")))
-    second = candidates(marked, words).join(first, ["b_doc", "b_line", "a_doc", "a_line"], "left_anti")
-    second = work.staged(second, "line-more")
-    work.drop("line-classes", "line-pairs", "line-open")
+    left = first.select(F.col("b_doc").alias("doc"), F.col("b_line").alias("line")).join(settled, ["doc", "line"], "left_anti")
+    marked = _member(left)
+    words = _member(firsts.mapInArrow(_words_of(marked), "key long"))
+    second = work.staged(candidates(marked, words).join(first, ["b_doc", "b_line", "a_doc", "a_line"], "left_anti"), "line-more")
+    work.drop("line-classes", "line-pairs")
     matched = settled.unionByName(_verified(docs, second, t, work))
     out = staged(repeats.unionByName(matched).distinct(), "line-removed")
     work.drop("line-repeats", "line-more", "line-matches")

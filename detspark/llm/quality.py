@@ -110,7 +110,10 @@ def train(docs: DataFrame, labels: DataFrame, cfg: QualityConfig = QualityConfig
         tx.release()
         order = frame["_id"].map(lambda x: (x * 0x9E3779B97F4A7C15 + 11) % (1 << 64))
         frame = frame.assign(_o=order).sort_values(["_o", "_text"], kind="stable")
-        w = ftrl(_features(pa.array(frame["_text"], pa.string()), cfg.bits), frame["_y"].to_numpy(), cfg)
+        examples, texts = [], frame.pop("_text")
+        for at in range(0, len(texts), 256):  # whole texts, few at a time
+            examples += _features(pa.array(texts.iloc[at : at + 256], pa.string()), cfg.bits)
+        w = ftrl(examples, frame["_y"].to_numpy(), cfg)
         return pd.DataFrame({"weights": [w.astype(np.float32).tobytes()]})
 
     found = rows.groupBy("_one").applyInPandas(fit, "weights binary").first()

@@ -7,12 +7,13 @@ bytes, which bounds the temporaries whatever the batch or document length is.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 
-CHUNK = 1 << 20
+CHUNK = 1 << 18
 _BASE = 0x9E3779B97F4A7C15
 _BASE_INVERSE = pow(_BASE, -1, 1 << 64)
 _powers: tuple[np.ndarray, np.ndarray] | None = None
@@ -33,8 +34,14 @@ HELD: list = []
 
 
 def release() -> None:
+    """Give back what earlier tasks of this worker kept, also freed memory that allocators hold on to."""
     for free in HELD:
         free()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -68,11 +75,12 @@ def column_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.nda
     return offsets, np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)
 
 
-def pieces(offsets: np.ndarray, data: np.ndarray, separators: np.ndarray, size: int = CHUNK) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+def pieces(offsets: np.ndarray, data: np.ndarray, separators: np.ndarray, size: int | None = None) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """Cut a column into chunks: yields (rows, bounds, bytes), where piece k of the chunk belongs to ``rows[k]`` and spans ``bounds[k:k+2]``.
 
     Short texts are taken together.  A text longer than ``size`` is cut after a separator byte, so that no word is split.
     """
+    size = size or CHUNK
     rows, bounds, start = [], [], 0
     for row in range(len(offsets) - 1):
         low, high = int(offsets[row]), int(offsets[row + 1])
