@@ -169,7 +169,8 @@ def mix_documents(docs: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
 
     mixed_text = F.concat_ws("\n", F.transform(F.sequence(F.lit(1).cast("long"), F.col("_most")), one_pass))
     same = (F.col("_least") == 1) & (F.col("_most") == 1)
-    joined = joined.withColumn("_words", F.when(~same, words))
+    # an explode of one element: the words are formed once per row, and not anew for each run of them
+    joined = joined.withColumn("_words", F.explode(F.array(F.when(~same, words))))
     done = joined.withColumn("_new", F.when(same, F.col("text")).otherwise(mixed_text))
     columns = [F.col("_new").alias("text") if c == "text" else F.length("_new").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
     return done.select(*columns)

@@ -63,7 +63,8 @@ class WordCache(dict):
             text = text.lower()
         out = b"".join(map(self.__getitem__, text.split()))
         if len(self) > _YOUNG:
-            self.old = dict(self)
+            self.old.clear()
+            self.old.update(self)
             self.clear()
         return out
 
@@ -86,6 +87,7 @@ def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool =
     end = np.array([END], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tx.tidy()
         cache = _cache(tokenizer)
         for batch in batches:
             row, piece, start, length, crc, ids = [], [], [], [], [], []

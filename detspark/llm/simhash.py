@@ -127,6 +127,7 @@ def anchors(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def _replicate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    tx.release()
     for batch in batches:
         fp = batch.column(0).to_numpy()
         for at in range(0, len(fp), 1 << 14):
@@ -160,6 +161,7 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     The homes of the anchor at hand stay in memory, visitors are taken batch by batch.
     """
+    tx.release()
     carried_key, carried = None, np.zeros(0, np.int64)
     left: list[np.ndarray] = []
     right: list[np.ndarray] = []

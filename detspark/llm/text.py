@@ -33,10 +33,8 @@ LOWER[65:91] += 32
 HELD: list = []
 
 
-def release() -> None:
-    """Give back what earlier tasks of this worker kept, also freed memory that allocators hold on to."""
-    for free in HELD:
-        free()
+def tidy() -> None:
+    """Give back freed memory that allocators of this worker hold on to."""
     pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
@@ -44,6 +42,13 @@ def release() -> None:
         pass
 
 
+def release() -> None:
+    """Give back what earlier tasks of this worker kept."""
+    for free in HELD:
+        free()
+    tidy()
+
+
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     global _powers
     if _powers is None or len(_powers[0]) < n:
