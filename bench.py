@@ -57,6 +57,7 @@ def main() -> None:
     for name in ("config_pack_orders4", "couple_join", "couple_batch", "couple_rowwise", "local_energy", "global_energy", "topk_two_level", "iteration", "w3_medium"):
         jobs[name] = lambda q=catalogue.QUERIES[name]: noop(q(spark, SF_DIR))
     jobs["iteration"]()  # compile and start workers
+    jobs["couple_batch"]()
     seconds = {}
     for name, job in jobs.items():
         began = time.perf_counter()

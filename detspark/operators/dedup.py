@@ -273,6 +273,15 @@ def range_sampled(frame: DataFrame, parts: int, s: int | None = None, compact_ho
     return rebalanced(staged(unique, "unique"), parts) if rebalance == "unique" else unique
 
 
+def range_presampled(frame: DataFrame, sample: DataFrame, parts: int, s: int | None = None, compact_how: str = "agg") -> DataFrame:
+    """Like ``range_sampled`` with splitters from another table, such as the keys of a sample of the sources: nothing is staged and the keys are made once.
+
+    The splitters only set the balance; the result is the same for any.
+    """
+    cuts = splitters(regular_sample(sample, s or min(8 * parts, SAMPLES)), parts)
+    return compact(exchange(route(frame.select(*key_names(frame)), cuts), parts), compact_how)
+
+
 def rebalanced(unique: DataFrame, parts: int) -> DataFrame:
     """Contiguous parts of equal numbers of keys (at most one apart): exact ranks from the counts of the old parts."""
     names = key_names(unique)

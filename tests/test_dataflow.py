@@ -29,7 +29,7 @@ def test_range_dedup_edges(spark, rows, parts):
 
 def test_two_word_keys(spark):
     frame = spark.createDataFrame(TWO, "w0 long, w1 long")
-    for out in (dedup.range_sampled(frame, 3, 2), dedup.range_native(frame, 3), baseline.dedup_hash(frame), baseline.dedup_salted(frame, 2), baseline.dedup_central(frame, 2), dedup.range_sampled(frame, 2, 4, rebalance="unique")):
+    for out in (dedup.range_sampled(frame, 3, 2), dedup.range_native(frame, 3), baseline.dedup_hash(frame), baseline.dedup_salted(frame, 2), baseline.dedup_central(frame, 2), dedup.range_sampled(frame, 2, 4, rebalance="unique"), dedup.range_presampled(frame, frame.limit(3), 3)):
         assert sorted((r["w0"], r["w1"]) for r in out.collect()) == sorted(set(TWO))
     copies = dedup.compact(dedup.exchange(dedup.route(frame, np.array([[5, 1]])), 2), multiplicity=True)
     assert sorted(r["copies"] for r in copies.collect()) == [1, 1, 2, 2, 2]
