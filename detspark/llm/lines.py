@@ -413,9 +413,8 @@ def _wanted_lines(column: pa.Array, ids: np.ndarray, field: np.ndarray) -> Itera
         breaks = np.flatnonzero(part == 10)
         starts = np.sort(np.concatenate([bounds[:-1], breaks + 1]), kind="stable")
         ends = np.sort(np.concatenate([breaks, bounds[1:]]), kind="stable")
-        row = np.searchsorted(bounds, starts, side="right") - 1
-        first = np.searchsorted(starts, bounds[:-1], side="left")
-        row = np.repeat(np.arange(high - low), np.diff(np.append(first, len(starts)))) if (np.diff(bounds) > 0).all() else _line_rows(part, bounds)
+        # a text has a line more than line ends; an empty last line starts where the next text does
+        row = np.repeat(np.arange(high - low), np.diff(np.searchsorted(breaks, bounds)) + 1)
         line = np.arange(len(starts)) - np.searchsorted(row, row, side="left")
         ok = _has(field, _line_key(ids[low + row], line))
         if ok.any():
@@ -423,12 +422,6 @@ def _wanted_lines(column: pa.Array, ids: np.ndarray, field: np.ndarray) -> Itera
             yield low + row[ok], line[ok], text
 
 
-def _line_rows(part: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """Row of each line where some texts are empty (an empty text is one line)."""
-    counts = [int((part[a:b] == 10).sum()) + 1 for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
-    return np.repeat(np.arange(len(counts)), counts)
-
-
 def _some_sets(docs: DataFrame, wanted: np.ndarray) -> DataFrame:
     """Whole word sets of the lines that the filter lets through: ``doc, line, words``."""
     held = docs.sparkSession.sparkContext.broadcast(wanted)

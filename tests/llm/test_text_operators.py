@@ -141,6 +141,27 @@ def test_line_dedup_edges(spark, docs_of):
     assert sorted(map(str, twice.select("doc_id", "text").collect())) == sorted(map(str, out.select("doc_id", "text").collect()))
 
 
+def test_wanted_lines_of_texts_that_end_in_line_ends():
+    texts = ["abc\n", "x def", "", "\n", "a\n\n", None, "b\nc\n", "", "last"]
+    every = np.full(1 << 10, 255, np.uint8)
+    for some in (texts, [x for x in texts if x]):
+        got = [(r, k, x) for rows, numbers, text in lines._wanted_lines(pa.array(some, pa.string()), np.arange(len(some)), every) for r, k, x in zip(rows.tolist(), numbers.tolist(), text.decode().split("\n"), strict=True)]
+        assert got == [(i, k, x) for i, text in enumerate(some) for k, x in enumerate((text or "").split("\n"))]
+
+
+@pytest.mark.parametrize("between", [(), ("",), ("\n", "")])
+def test_line_dedup_of_texts_that_end_in_line_ends(spark, docs_of, between):
+    rng = np.random.default_rng(5)
+    texts = []
+    for i in range(60):
+        words = [f"g{i % 12}w{k}" for k in range(20)]
+        words[rng.integers(20)] = f"own{i}"
+        texts += [" ".join(words) + "\n" * int(rng.integers(1, 4)) + f"rest of {i}\n", *between]
+    rows = list(enumerate(texts))
+    got = {(r.doc, r.line) for r in lines.removed_lines(lines.keyed(docs_of(rows)).select("_key", "text")).collect()}
+    assert got == brute_lines(rows) and got
+
+
 def test_line_numbers_over_chunks():
     text = "\n".join(f"line {i} " + "x " * 50 for i in range(30_000))
     seen = {}
