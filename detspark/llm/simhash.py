@@ -204,6 +204,15 @@ def near_links(fingerprints: DataFrame) -> DataFrame:
     return dealt.mapInArrow(_compare, "u long, v long")
 
 
+def _grouped(docs: DataFrame, words: int) -> tuple[DataFrame, DataFrame]:
+    """(rows, classes) of ``docs(doc_id, text, …)``: rows without their text and with ``fp``, staged; for each fingerprint its smallest
+    id and ``c``, the smallest fingerprint of its group."""
+    marked = staged(with_fingerprint(docs, words=words), "fingerprints")
+    ids = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("low")), "classes")
+    labels = components(near_links(ids)).select(F.col("node").alias("fp"), F.col("component").alias("c"))
+    return marked, ids.join(labels, "fp", "left").select("fp", "low", F.coalesce("c", "fp").alias("c"))
+
+
 def groups(docs: DataFrame, words: int = WORDS) -> DataFrame:
     """Documents ``(doc_id, text)`` → ``(doc_id, fp, component_id)``, one row per row.
 
@@ -211,25 +220,24 @@ def groups(docs: DataFrame, words: int = WORDS) -> DataFrame:
     fingerprint zero and link like any other.  A null doc_id keeps its fingerprint; it is ignored as a smallest id unless
     its group has no other.  Repeated rows each come out.
     """
-    marked = staged(with_fingerprint(docs.select("doc_id", "text"), words=words), "fingerprints")
-    ids = staged(marked.groupBy("fp").agg(F.min("doc_id").alias("low")), "classes")
-    labels = components(near_links(ids)).select(F.col("node").alias("fp"), F.col("component").alias("c"))
-    classed = ids.join(labels, "fp", "left").select("fp", "low", F.coalesce("c", "fp").alias("c"))
+    marked, classed = _grouped(docs.select("doc_id", "text"), words)
     lows = classed.groupBy("c").agg(F.min("low").alias("component_id"))
     return marked.join(classed.join(lows, "c").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
-def keep_one(docs: DataFrame) -> DataFrame:
-    """One document of each near-duplicate group, all columns unchanged; of rows that repeat its doc_id, the first by text.
+def keep_one(docs: DataFrame, words: int = WORDS) -> DataFrame:
+    """One row of each near-duplicate group, all columns unchanged: of the smallest doc_id, null last, the first by a hash of the row.
 
-    A group whose only ids are null keeps one row.
+    Groups are those of texts, so rows that repeat an id, or have none, are each kept if no other row of their group is.
+    Rows are named by two hashes of all columns; rows equal in all of them are one.
     """
-    found = groups(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_kept")).distinct()
-    from pyspark.sql import Window
-
-    kept = docs.join(found, F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
-    first = Window.partitionBy("doc_id").orderBy(F.xxhash64(*docs.columns))
-    return kept.withColumn("_nth", F.row_number().over(first)).where("_nth = 1").select(*docs.columns)
+    there = [F.col(c).isNull() for c in docs.columns]
+    named = docs.withColumns({"_h1": F.xxhash64(*docs.columns, *there), "_h2": F.xxhash64(F.lit(1), *there, *docs.columns)})
+    marked, classed = _grouped(named.select("doc_id", "text", "_h1", "_h2"), words)
+    order = F.struct(F.col("doc_id").isNull(), "doc_id", "_h1", "_h2")
+    first = marked.join(classed.select("fp", "c"), "fp").groupBy("c").agg(F.min(order).alias("_first"))
+    kept = named.join(first.select("_first._h1", "_first._h2"), ["_h1", "_h2"], "left_semi")
+    return kept.dropDuplicates(["_h1", "_h2"]).select(*docs.columns)
 
 
 def op10_simhash(spark, sf_dir: str) -> DataFrame:

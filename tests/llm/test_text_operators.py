@@ -222,6 +222,14 @@ def test_simhash_edges(spark, docs_of):
     assert simhash.groups(docs_of(rows).limit(0)).count() == 0
 
 
+def test_simhash_keeps_a_row_of_every_group(spark, docs_of):
+    unlike = [" ".join(f"{chr(97 + i)}{k}" for k in range(12)) for i in range(8)]
+    rows = [(None, unlike[0]), (None, unlike[1]), (None, unlike[1]), (5, unlike[2]), (5, unlike[3]), (6, unlike[4]), (None, unlike[4]), (7, unlike[4]), (5, unlike[6]), (4, unlike[6]), (None, unlike[5])]
+    assert len({r.component_id for r in simhash.groups(docs_of(list(enumerate(unlike)))).collect()}) == len(unlike)
+    kept = sorted(((r.doc_id, r.text) for r in simhash.keep_one(docs_of(rows)).collect()), key=str)
+    assert kept == sorted([(None, unlike[0]), (None, unlike[1]), (5, unlike[2]), (5, unlike[3]), (6, unlike[4]), (4, unlike[6]), (None, unlike[5])], key=str)
+
+
 def test_components(spark):
     rng = np.random.default_rng(2)
     pairs = [(int(a), int(b)) for a, b in rng.integers(0, 300, (220, 2))] + [(i, i + 1) for i in range(1000, 1200)] + [(5, 5)]
