@@ -17,7 +17,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -27,6 +27,8 @@ from detspark.plans.scratch import Workspace, release, staged
 SIMILARITY = 0.8
 COUNTERS = 1 << 18
 _SLICE = 1 << 14
+#: bits of a line number within its text; above them stands the rank of the row among those of its key
+_LINES = 32
 #: widths of a posting's fields: 20 bits of size, 11 of position; larger sizes and positions are cut, which only weakens the
 #: filters
 _SIZES, _PLACES = (1 << 20) - 1, (1 << 11) - 1
@@ -163,15 +165,15 @@ def line_sets(docs: DataFrame, counts: np.ndarray, t: float = SIMILARITY) -> Dat
         table = held.value
         mask = np.uint64(len(table) - 1)
         for batch in batches:
-            ids = batch.column(0).to_numpy(zero_copy_only=False)
-            for row, line, word in _tokens(batch.column(1)):
+            ids, base = (batch.column(c).to_numpy(zero_copy_only=False) for c in (0, 1))
+            for row, line, word in _tokens(batch.column(2)):
                 starts, word, r, l = _sets(row, line, word, table[(word & mask).astype(np.int64)])
                 n = np.diff(np.append(starts, len(word)))
                 with np.errstate(over="ignore"):
                     h1 = np.add.reduceat(tx.mix(word), starts).view(np.int64)
                     h2 = np.bitwise_xor.reduceat(tx.mix(word ^ np.uint64(0xA5A5A5A5A5A5A5A5)), starts).view(np.int64)
                 bitmaps = _bitmaps(word, starts, n)
-                doc = ids[r].astype(np.int64)
+                doc, l = ids[r].astype(np.int64), base[r] + l
                 order = np.lexsort((l, doc, h2, h1))
                 again = np.zeros(len(order), bool)
                 again[1:] = (h1[order][1:] == h1[order][:-1]) & (h2[order][1:] == h2[order][:-1])
@@ -183,7 +185,7 @@ def line_sets(docs: DataFrame, counts: np.ndarray, t: float = SIMILARITY) -> Dat
                 columns = [pa.array(np.zeros(len(keep), np.int32)), *(pa.array(x[keep]) for x in (h1, h2, doc, l)), pa.array(n[keep].astype(np.int32)), *(pa.array(b[keep].view(np.int64)) for b in bitmaps), _lists(p, pa.array(short))]
                 yield pa.RecordBatch.from_arrays(columns, _LINE.names)
 
-    return docs.select("_key", "text").mapInArrow(run, _LINE)
+    return docs.select("_key", "_base", "text").mapInArrow(run, _LINE)
 
 
 def _firsts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -402,8 +404,8 @@ def _line_key(doc: np.ndarray, line: np.ndarray) -> np.ndarray:
         return tx.mix(doc.astype(np.int64).view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + line.astype(np.uint64)).view(np.int64)
 
 
-def _wanted_lines(column: pa.Array, ids: np.ndarray, field: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, bytes]]:
-    """Lines that the filter lets through: (rows, line numbers, their bytes joined by line ends)."""
+def _wanted_lines(column: pa.Array, ids: np.ndarray, field: np.ndarray, base: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray, bytes]]:
+    """Lines that the filter lets through: (rows, line numbers from the row's ``base``, their bytes joined by line ends)."""
     offsets, data = tx.column_bytes(column)
     for low in range(0, len(offsets) - 1, 256):
         high = min(len(offsets) - 1, low + 256)
@@ -416,6 +418,8 @@ def _wanted_lines(column: pa.Array, ids: np.ndarray, field: np.ndarray) -> Itera
         # a text has a line more than line ends; an empty last line starts where the next text does
         row = np.repeat(np.arange(high - low), np.diff(np.searchsorted(breaks, bounds)) + 1)
         line = np.arange(len(starts)) - np.searchsorted(row, row, side="left")
+        if base is not None:
+            line += base[low + row]
         ok = _has(field, _line_key(ids[low + row], line))
         if ok.any():
             text = b"\n".join(part[a:b].tobytes() for a, b in zip(starts[ok].tolist(), ends[ok].tolist(), strict=True))
@@ -430,19 +434,39 @@ def _some_sets(docs: DataFrame, wanted: np.ndarray) -> DataFrame:
         tx.release()
         field = held.value
         for batch in batches:
-            ids = batch.column(0).to_numpy(zero_copy_only=False)
-            for rows, lines, text in _wanted_lines(batch.column(1), ids, field):
+            ids, base = (batch.column(c).to_numpy(zero_copy_only=False) for c in (0, 1))
+            for rows, lines, text in _wanted_lines(batch.column(2), ids, field, base):
                 for _, place, word in _tokens(pa.array([text], pa.binary())):
                     starts, word, _, at = _sets(np.zeros(len(place), np.int64), place, word, np.zeros(len(place), np.int64))
                     words = pa.ListArray.from_arrays(pa.array(np.append(starts, len(word)).astype(np.int32)), pa.array(word.view(np.int64)))
                     yield pa.RecordBatch.from_arrays([pa.array(ids[rows[at]], pa.int64()), pa.array(lines[at], pa.int64()), words], ["doc", "line", "words"])
 
-    return docs.select("_key", "text").mapInArrow(run, "doc long, line long, words array<long>")
+    return docs.select("_key", "_base", "text").mapInArrow(run, "doc long, line long, words array<long>")
+
+
+def _steady(docs: DataFrame) -> DataFrame:
+    """``docs`` such that every evaluation has the same rows in the same partitions and order: staged, unless only scanned."""
+    plan = docs._jdf.queryExecution().executedPlan().toString()
+    return staged(docs, "line-docs") if "Exchange" in plan or "Limit" in plan else docs
 
 
 def keyed(docs: DataFrame) -> DataFrame:
-    """``docs`` with ``_key``, the id that orders lines; rows without an id are ordered last, by the hash of their text."""
-    return docs.withColumn("_key", F.coalesce(F.col("doc_id"), F.pmod(F.xxhash64("text"), F.lit(1 << 40)) + F.lit((1 << 62))))
+    """``docs`` with ``_key``, the id that orders lines, and ``_base``, from which the lines of a row are numbered.
+
+    Rows without an id are ordered last, by the hash of their text.  Rows that share a key are told apart by ``_base``: their
+    rank by the hash of the text, equal texts by place in the input, above the bits of line numbers.  Only such rows are
+    ranked; without null or repeated ids the texts are not read for it.
+    """
+    key = F.coalesce(F.col("doc_id"), F.pmod(F.xxhash64("text"), F.lit(1 << 40)) + F.lit((1 << 62)))
+    if docs.groupBy("doc_id").count().where("doc_id is null or count > 1").isEmpty():
+        return docs.withColumn("_key", key).withColumn("_base", F.lit(0).cast("long"))
+    numbered = _steady(docs).withColumn("_key", key).withColumn("_row", F.monotonically_increasing_id())
+    with_lines = numbered.where("text is not null")
+    shared = staged(with_lines.groupBy("_key").count().where("count > 1").select("_key"), "line-keys")
+    rank = F.row_number().over(Window.partitionBy("_key").orderBy("_hash", "_row")) - 1
+    rows = with_lines.select("_key", "_row", F.xxhash64("text").alias("_hash")).join(shared, "_key", "left_semi")
+    later = staged(rows.select("_key", "_row", F.shiftleft(rank.cast("long"), _LINES).alias("_rank")).where("_rank > 0"), "line-ranks")
+    return numbered.join(later, ["_key", "_row"], "left").withColumn("_base", F.coalesce("_rank", F.lit(0))).select(*[c for c in docs.columns if c not in ("_key", "_base")], "_key", "_base")
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, t: float, work: Workspace) -> DataFrame:
@@ -465,16 +489,17 @@ def _verified(docs: DataFrame, pairs: DataFrame, t: float, work: Workspace) -> D
 
 
 def removed_lines(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
-    """``docs(_key, text)`` → ``(doc, line)``, lines from 0, of every line that an earlier one matches; staged.
+    """``docs(_key, text[, _base])`` → ``(doc, line)``, lines from the row's ``_base`` or 0, of every line that an earlier one matches; staged.
 
     Lines of equal word sets are found first; the first line of a set stands for it.  Then two rounds of the join: in the
     first each line gets its nearest candidate by bitmap, which settles the members of groups of near copies; in the
-    second the lines that had a candidate and are still open get all of theirs.  Rows that repeat an id are one document
+    second the lines that had a candidate and are still open get all of theirs.  Rows of equal key and base are one document
     whose equal line numbers are the same place.
     """
     spark = docs.sparkSession
     work = Workspace(spark)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    docs = docs if "_base" in docs.columns else docs.withColumn("_base", F.lit(0).cast("long"))
     lines = work.staged(line_sets(docs, rarity(docs), t), "lines")
     dealt = lines.where(F.col("kind") == _FIRST).repartition(parts, "h1", "h2").sortWithinPartitions("h1", "h2", "doc", "line")
     classes = work.staged(dealt.mapInArrow(_firsts, _LINE), "line-classes")
@@ -506,12 +531,13 @@ def removed_lines(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
 
 
 def without(docs: DataFrame, removed: DataFrame) -> DataFrame:
-    """``docs(…, _key, text)`` with ``_gone`` (array of removed line numbers, null if none) and the text without them.
+    """``docs(…, _key, _base, text)`` with ``_gone`` (array of removed line numbers, null if none) and the text without them.
 
     A document whose lines all go keeps an empty text.
     """
-    per_doc = removed.groupBy(F.col("doc").alias("_doc")).agg(F.collect_set("line").alias("_gone"))
-    joined = docs.join(per_doc, docs["_key"] == per_doc["_doc"], "left").drop("_doc")
+    rank = F.shiftright(F.col("line"), _LINES)
+    per_doc = removed.groupBy(F.col("doc").alias("_doc"), rank.alias("_rank")).agg(F.collect_set(F.col("line").bitwiseAND(F.lit((1 << _LINES) - 1))).alias("_gone"))
+    joined = docs.join(per_doc, (docs["_key"] == per_doc["_doc"]) & (F.shiftright(docs["_base"], _LINES) == per_doc["_rank"]), "left").drop("_doc", "_rank")
     kept = F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("_gone", i.cast("long")))
     return joined.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.concat_ws("\n", kept)))
 
@@ -519,10 +545,11 @@ def without(docs: DataFrame, removed: DataFrame) -> DataFrame:
 def dedup(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
     """``docs`` with later matching lines taken out of ``text`` and ``n_chars`` set to its length; all rows and columns stay.
 
-    Null texts stay null; lines without words stay; rows with a null id take part, ordered after all others.
+    Null texts stay null; lines without words stay; rows with a null id take part, ordered after all others.  Rows that
+    repeat an id are documents of their own, so one of them keeps what they share.
     """
     marked = keyed(docs)
-    out = without(marked, removed_lines(marked.select("_key", "text"), t))
+    out = without(marked, removed_lines(marked.select("_key", "_base", "text"), t))
     columns = [F.coalesce(F.length("text"), F.lit(0)).cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
     return out.select(*columns)
 
@@ -532,6 +559,6 @@ def op3_line_dedup(spark, sf_dir: str) -> DataFrame:
     docs = keyed(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
     lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(F.split("text", "\n")))
     counted = docs.withColumn("_lines", lines)
-    out = without(counted, removed_lines(docs.select("_key", "text")))
+    out = without(counted, removed_lines(docs.select("_key", "_base", "text")))
     kept = F.coalesce(F.col("text"), F.lit("")).cast("binary")
     return out.select("doc_id", F.col("_lines").cast("long").alias("n_lines"), F.coalesce(F.size("_gone"), F.lit(0)).cast("long").alias("n_removed"), F.octet_length(kept).cast("long").alias("kept_bytes"), F.crc32(kept).alias("kept_crc32"))

@@ -162,6 +162,21 @@ def test_line_dedup_of_texts_that_end_in_line_ends(spark, docs_of, between):
     assert got == brute_lines(rows) and got
 
 
+def test_line_dedup_keeps_one_copy_of_repeated_rows(spark, docs_of, table_dir):
+    near = " ".join(f"n{i}" for i in range(20))
+    rows = [(1, "first"), (7, "alone here\nand more"), (7, "alone here\nand more"), (8, "shared\nfirst"), (8, "first\nown line"), (9, "shared")]
+    rows += [(None, "no id\nat all")] * 3 + [(None, None)] * 2 + [(10, f"{near} x"), (10, f"{near} y")]
+    for frame in (docs_of(rows), docs_of(rows).repartition(3), docs_of(rows).coalesce(1)):
+        got = sorted(((r.doc_id, r.text) for r in lines.dedup(frame).collect()), key=str)
+        ten = {x for i, x in got if i == 10}
+        assert len(ten) == 2 and "" in ten and ten - {""} <= {f"{near} x", f"{near} y"}
+        want = [(1, "first"), (7, "alone here\nand more"), (7, ""), (8, "shared"), (8, "own line"), (9, ""), (None, "no id\nat all"), (None, ""), (None, ""), (None, None), (None, None)]
+        assert [x for x in got if x[0] != 10] == sorted(want, key=str)
+    out = QUERIES["op3_line_dedup"](spark, table_dir(documents=docs_of(rows))).collect()
+    assert sorted((r.n_lines, r.n_removed, r.kept_bytes) for r in out if r.doc_id == 7) == [(2, 0, 19), (2, 2, 0)]
+    assert sorted((r.n_lines, r.n_removed) for r in out if r.doc_id is None) == [(0, 0), (0, 0), (2, 0), (2, 2), (2, 2)]
+
+
 def test_line_numbers_over_chunks():
     text = "\n".join(f"line {i} " + "x " * 50 for i in range(30_000))
     seen = {}
