@@ -12,6 +12,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -19,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from detspark.llm.graph import components, forest
-from detspark.llm.vectors import stacked, usable, width
+from detspark.llm.vectors import levelled, stacked, usable, widths
 from detspark.plans.scratch import staged
 
 
@@ -32,6 +33,7 @@ class IndexConfig:
     max_codes: int = 1024
     max_visits: int = 256
     chunk: int = 2048
+    visitors: int = 8192
     seed: int = 5
 
 
@@ -73,7 +75,8 @@ def traversal(x: np.ndarray, books: tuple[np.ndarray, np.ndarray], visits: int)
 
 def fit(sample: np.ndarray, n: int, cfg: IndexConfig) -> tuple[tuple[np.ndarray, np.ndarray], int]:
     """Codebooks for ``n`` vectors, and how many cells to visit."""
-    x = sample / np.linalg.norm(sample, axis=1, keepdims=True)
+    x = levelled(sample)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
     h = x.shape[1] // 2
     k = int(np.clip(np.ceil(np.sqrt(n / cfg.per_cell)), 1, cfg.max_codes))
     books = codebook(x[:, :h], k, cfg.seed), codebook(x[:, h:], k, cfg.seed + 1)
@@ -108,7 +111,7 @@ def _located(classes: DataFrame, books, visits: int, d: int) -> DataFrame:
         for batch in batches:
             for at in range(0, batch.num_rows, 1024):
                 part = batch.slice(at, 1024)
-                x = stacked(part.column(2), d)
+                x = levelled(stacked(part.column(2), d))
                 unit = x / np.linalg.norm(x, axis=1, keepdims=True)
                 cells = traversal(unit, held.value, visits).astype(np.int64)
                 lists = pa.ListArray.from_arrays(pa.array(np.arange(0, cells.size + 1, cells.shape[1], dtype=np.int32)), pa.array(cells.ravel()))
@@ -130,7 +133,7 @@ def _links(d: int, cosine: float):
                 degree[i] = degree.get(i, 0) + m
 
         def compare(homes: dict, visitors: pa.RecordBatch) -> None:
-            x = stacked(visitors.column("v"), d)
+            x = levelled(stacked(visitors.column("v"), d))
             ids, n, home = (visitors.column(c).to_numpy() for c in ("cid", "n", "home"))
             norm = np.linalg.norm(x, axis=1)
             for at in range(0, len(ids), 512):
@@ -157,7 +160,7 @@ def _links(d: int, cosine: float):
                 if part.column("visitor")[0].as_py() == 0 or part.column("visitor")[len(part) - 1].as_py() == 0 or place != key[low]:
                     own = np.asarray(part.column("visitor")) == 0
                     mine = part.filter(pa.array(own))
-                    x = stacked(mine.column("v"), d)
+                    x = levelled(stacked(mine.column("v"), d))
                     fresh = {"x": x, "norm": np.linalg.norm(x, axis=1), "ids": mine.column("cid").to_numpy(), "n": mine.column("n").to_numpy(), "cells": np.array(mine.column("cells").to_pylist(), np.int64).reshape(len(mine), -1)}
                     same = place == key[low] and homes is not None and len(homes["ids"])
                     homes = {c: np.concatenate([homes[c], fresh[c]]) if same and len(fresh["ids"]) else (homes[c] if same else fresh[c]) for c in fresh}
@@ -176,41 +179,45 @@ def _links(d: int, cosine: float):
     return run
 
 
+def _linked(classes: DataFrame, n: int, d: int, cfg: IndexConfig) -> DataFrame | None:
+    """Links among ``n`` classes of vectors of ``d`` components, as ``_links`` gives them; staged."""
+    spark = classes.sparkSession
+    share = min(1.0, cfg.sample / n)
+    rows = classes.where(F.pmod(F.xxhash64("cid", F.lit(cfg.seed)), F.lit(1 << 30)) < int(share * (1 << 30))).select("v").limit(2 * cfg.sample).collect()
+    if not rows or n < 2:
+        return None
+    books, visits = fit(np.frombuffer(b"".join(r[0] for r in rows), "<f8").reshape(-1, d), n, cfg)
+    found = staged(_located(classes, books, visits, d), "located")
+    # a cell's homes and its visitors are both dealt out, and every share of the one meets every share of the other
+    visited = found.select(F.explode("cells").alias("_cell")).groupBy("_cell").agg(F.ceil(F.count("*") / cfg.visitors).cast("int").alias("_subs"))
+    sizes = found.groupBy(F.col("home").alias("_home")).agg(F.ceil(F.count("*") / cfg.chunk).cast("int").alias("_parts"))
+    sizes = staged(sizes.join(visited, F.col("_home") == F.col("_cell")).select("_cell", "_parts", "_subs"), "cells")
+    homes = found.join(sizes, found["home"] == sizes["_cell"]).select(
+        F.col("home").alias("cell"), F.pmod(F.xxhash64("cid"), F.col("_parts")).cast("int").alias("part"), F.explode(F.sequence(F.lit(0), F.col("_subs") - 1)).alias("sub"), F.lit(0).alias("visitor"), "cid", "n", "v", "home", "cells"
+    )
+    guests = found.select(F.explode("cells").alias("cell"), "cid", "n", "v", "home").join(sizes, F.col("cell") == F.col("_cell"))
+    sub = F.pmod(F.xxhash64("cid", F.lit("sub")), F.col("_subs")).cast("int").alias("sub")
+    guests = guests.select("cell", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1)).alias("part"), sub, F.lit(1).alias("visitor"), "cid", "n", "v", "home", F.array().cast("array<long>").alias("cells"))
+    dealt = homes.unionByName(guests).withColumn("place", F.xxhash64("cell", "part", "sub"))
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = dealt.repartition(parts, "place").sortWithinPartitions("place", "visitor").select("place", "visitor", "cid", "n", "v", "home", "cells")
+    return staged(dealt.mapInArrow(_links(d, cfg.cosine), "kind int, a long, b long"), "vector-links")
+
+
 def near_vectors(frame: DataFrame, cfg: IndexConfig = IndexConfig()) -> DataFrame:
     """``(vec_id, embedding)`` → ``(vec_id, n_links, component_id, kept)``, one row per row.
 
-    Equal vectors are one class, found by grouping, and link with each other.  Cells with many homes are dealt out in
-    chunks that each visitor goes to.  Vectors that are null, zero, hold null or non-finite components or have an uncommon
-    number of components link with nothing, as do vectors whose only ids are null.
+    Equal vectors are one class, found by grouping, and link with each other.  Cells with many homes or visitors are dealt
+    out in chunks.  Vectors are compared with those of as many components, one index for each number that occurs.  Vectors
+    that are null, empty, zero, or hold null or non-finite components link with nothing, as do vectors whose only ids are null.
     """
     spark = frame.sparkSession
-    d = width(frame)
-    good = usable(frame, d).where(F.col("v") != F.lit(bytes(8 * d))) if d else usable(frame, 0).where(F.lit(False))
-    good = staged(good, "vectors")
+    parts = [usable(frame.where(F.size("embedding") == d), d).where(F.col("v") != F.lit(bytes(8 * d))) for d in widths(frame)]
+    good = staged(reduce(DataFrame.unionByName, parts) if parts else usable(frame, 0).where(F.lit(False)), "vectors")
     classes = staged(good.groupBy("v").agg(F.min("vec_id").cast("long").alias("cid"), F.count("*").alias("n")).where("cid is not null"), "vector-classes")
-    n = classes.count()
-    if n:
-        share = min(1.0, cfg.sample / n)
-        rows = classes.where(F.pmod(F.xxhash64("cid", F.lit(cfg.seed)), F.lit(1 << 30)) < int(share * (1 << 30))).select("v").limit(2 * cfg.sample).collect()
-        sample = np.frombuffer(b"".join(r[0] for r in rows), "<f8").reshape(-1, d) if rows else None
-    if not n or sample is None:
-        found = None
-    else:
-        books, visits = fit(sample, n, cfg)
-        found = staged(_located(classes, books, visits, d), "located")
-    if found is None:
-        linked = spark.createDataFrame([], "kind int, a long, b long")
-    else:
-        sizes = found.groupBy("home").count().select(F.col("home").alias("_cell"), F.ceil(F.col("count") / cfg.chunk).cast("int").alias("_parts"))
-        homes = found.join(sizes, found["home"] == sizes["_cell"]).select(
-            F.col("home").alias("cell"), F.pmod(F.xxhash64("cid"), F.col("_parts")).cast("int").alias("part"), F.lit(0).alias("visitor"), "cid", "n", "v", "home", "cells"
-        )
-        guests = found.select(F.explode("cells").alias("cell"), "cid", "n", "v", "home").join(sizes, F.col("cell") == F.col("_cell"))
-        guests = guests.select("cell", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1)).alias("part"), F.lit(1).alias("visitor"), "cid", "n", "v", "home", F.array().cast("array<long>").alias("cells"))
-        dealt = homes.unionByName(guests).withColumn("place", F.xxhash64("cell", "part"))
-        parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-        dealt = dealt.repartition(parts, "place").sortWithinPartitions("place", "visitor").select("place", "visitor", "cid", "n", "v", "home", "cells")
-        linked = staged(dealt.mapInArrow(_links(d, cfg.cosine), "kind int, a long, b long"), "vector-links")
+    width = F.floor(F.octet_length("v") / 8).cast("int")
+    found = [_linked(classes.where(width == r["d"]), r["count"], r["d"], cfg) for r in classes.groupBy(width.alias("d")).count().collect()]
+    linked = reduce(DataFrame.unionByName, [f for f in found if f is not None], spark.createDataFrame([], "kind int, a long, b long"))
     degrees = linked.where("kind = 0").groupBy(F.col("a").alias("cid")).agg(F.sum("b").alias("links"))
     labels = components(linked.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v"))).select(F.col("node").alias("cid"), "component")
     done = classes.join(degrees, "cid", "left").join(labels, "cid", "left").select("v", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component", "cid").alias("component_id"))
@@ -226,4 +233,6 @@ def near_vectors(frame: DataFrame, cfg: IndexConfig = IndexConfig()) -> DataFram
 
 
 def op4_multiindex(spark, sf_dir: str) -> DataFrame:
+    """Every row of ``embeddings`` with its links (cosine 0.95 or more to another row), the smallest vec_id reachable, and whether it is
+    that one; null, empty, zero or non-finite vectors link with nothing, repeated rows come out each."""
     return near_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding"))

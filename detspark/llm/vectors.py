@@ -11,10 +11,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
-def width(frame: DataFrame, column: str = "embedding") -> int:
-    """The most common number of components (the larger of equals); vectors of another take no part."""
-    found = frame.where(F.col(column).isNotNull()).groupBy(F.size(column).alias("d")).count().orderBy(F.desc("count"), F.desc("d")).first()
-    return int(found["d"]) if found else 0
+def widths(frame: DataFrame, column: str = "embedding") -> list[int]:
+    """The numbers of components that occur, most frequent first; null and empty vectors are left out."""
+    found = frame.where(F.size(column) > 0).groupBy(F.size(column).alias("d")).count().orderBy(F.desc("count"), F.desc("d")).collect()
+    return [int(r["d"]) for r in found]
 
 
 def matrix(column: pa.Array | pa.ChunkedArray, d: int) -> tuple[np.ndarray, np.ndarray]:
@@ -49,3 +49,8 @@ def usable(frame: DataFrame, d: int, id_column: str = "vec_id") -> DataFrame:
 def stacked(column: pa.Array, d: int) -> np.ndarray:
     """The doubles of a binary column as a matrix."""
     return np.frombuffer(b"".join(column.to_pylist()), "<f8").reshape(-1, d)
+
+
+def levelled(x: np.ndarray) -> np.ndarray:
+    """Each row times the power of two that brings its largest component near 1: cosines stay, norms can't overflow or vanish."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, keepdims=True))[1])

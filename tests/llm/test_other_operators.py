@@ -80,7 +80,7 @@ def test_near_vectors(spark):
 def test_near_vectors_with_full_cells_are_split(spark):
     x, frame, _ = vectors(spark)
     plain = multiindex.near_vectors(frame).toPandas().sort_values("vec_id").reset_index(drop=True)
-    split = multiindex.near_vectors(frame, multiindex.IndexConfig(chunk=7)).toPandas().sort_values("vec_id").reset_index(drop=True)
+    split = multiindex.near_vectors(frame, multiindex.IndexConfig(chunk=7, visitors=11)).toPandas().sort_values("vec_id").reset_index(drop=True)
     assert plain.equals(split)
 
 
@@ -91,6 +91,13 @@ def test_near_vectors_repeats_and_empty(spark):
     assert multiindex.near_vectors(frame.limit(0)).count() == 0
 
 
+def test_near_vectors_of_any_size_and_width(spark):
+    rows = [(1, [1e200, 2e200]), (2, [2e200, 4.1e200]), (3, [1e-310, 2e-310]), (4, [1.0, 0.0]), (5, [1.0, 2.0, 3.0]), (6, [2.0, 4.0, 6.1]), (7, [-1.0, 2.0, 3.0]), (8, [5.0]), (9, [7.0]), (10, [])]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("d", F.lit("clash"))
+    got = {r.vec_id: (r.n_links, r.component_id) for r in multiindex.near_vectors(frame).collect()}
+    assert got == {1: (2, 1), 2: (2, 1), 3: (2, 1), 4: (0, 4), 5: (1, 5), 6: (1, 5), 7: (0, 7), 8: (1, 8), 9: (1, 8), 10: (0, 10)}
+
+
 def test_traversal_is_by_summed_distance():
     rng = np.random.default_rng(0)
     x, books = rng.normal(size=(40, 8)), (rng.normal(size=(6, 4)), rng.normal(size=(7, 4)))
@@ -125,6 +132,33 @@ def test_topk_small_large_values_and_empty(spark):
     assert topk.exact_topk(frame.limit(0)).count() == 0
 
 
+def test_topk_repeated_ids_other_widths_and_huge_components(spark):
+    rows = [(0, [1.0, 2.0]), (0, [2.0, 1.0]), (1, [3.0, 0.0]), (20, [1.0]), (21, [2.0]), (22, []), (40, [1e300, 1e308, 0.0]), (41, [1e300, 1e308, 1.0]), (42, [-1e200, 0.0, 0.0]), (43, [-1e201, 0.0, 0.0])]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("row", F.lit("clash"))
+    got = sorted(tuple(r) for r in topk.exact_topk(frame, topk.TopkConfig(scale=1)).collect())
+    most = (1 << 63) - 1
+    assert got == sorted([(0, 1, 0, 4), (0, 2, 1, 3), (0, 1, 1, 6), (0, 2, 0, 4), (20, 1, 21, 2), (40, 1, 41, most), (40, 2, 42, -most), (40, 3, 43, -most)])
+
+
+def test_topk_ships_only_pairs_that_bounds_leave_open(spark):
+    """On vectors in groups each query stays with its own, so pairs grow as the rows and not as their square."""
+    shipped = {}
+    for n in (400, 1600):
+        rng = np.random.default_rng(1)
+        group = np.arange(n) // 100
+        signs = np.array([[1.0 if g >> i & 1 else -1.0 for i in range(8)] for g in range(16)])
+        x = signs[group] * rng.uniform(0.9, 1.0, (n, 8))
+        frame = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<double>")
+        cfg = topk.TopkConfig(k=5, every=2, block=10, blocks_per_task=10, sample=4096)
+        rows = topk.staged(topk.scaled(frame, 8, cfg).withColumn("row", F.monotonically_increasing_id()), "scaled")
+        blocks = rows.repartitionByRange(n // 100, "code", "row").sortWithinPartitions("code", "row").select("row", "vec_id", "v").mapInArrow(topk._gathered(10), "rows binary, ids binary, x binary")
+        blocks = topk.staged(blocks.withColumn("super", F.spark_partition_id().cast("long")), "blocks")
+        asked = rows.where("vec_id % 2 = 0").withColumn("g", F.lit(0).cast("long"))
+        shipped[n] = topk.live_pairs(topk._floors(rows, asked, n, 8, cfg), blocks, 1, 8, cfg).count()
+        assert sorted(tuple(r) for r in topk.exact_topk(frame, cfg).collect()) == brute_topk(np.arange(n), x, 2, 5)
+    assert shipped[1600] <= 8 * shipped[400] < 8 * 200 * 4
+
+
 def test_shards(spark, docs_of, table_dir):
     rows = [(i, "t" * (i % 5)) for i in range(2000)] + [(3, "dup"), (3, "dup"), (None, None), (None, "x")]
     out = QUERIES["op5_shards"](spark, table_dir(documents=docs_of(rows).withColumn("shard", F.lit("clash")))).toPandas()
