@@ -57,7 +57,8 @@ def write(pages: DataFrame, path: str, least: int = 0, compression: str = "none"
     """Write one record per page below ``path``: a response with its payload, or a revisit without it.
 
     The text sink with the record end as its line separator writes the files, so any file system of Spark takes them.  Line
-    ends and tabs in a url become spaces.  A null page_id is written as ``null``.
+    ends and tabs in a url become spaces.  A null page_id is written as ``null``, a null html or url as empty; an empty table
+    gives files without records; rows that repeat a page_id each give a record.
     """
     page = decided(pages, least)
     name = F.coalesce(F.col("page_id").cast("string"), F.lit("null"))
@@ -82,10 +83,14 @@ def _field(header: str, name: str) -> Column:
 
 
 def _pieces(spark, path: str) -> DataFrame:
-    """What lies between marks, in file order by ``_row``: the same for every scan of the same files."""
+    """What lies between marks.
+
+    ``_part`` and ``_row`` order the pieces of a file within one evaluation only: they follow the split sizes, which follow the cores
+    there are.  ``_h1, _h2`` name a piece by what it holds, in any evaluation.
+    """
     raw = spark.read.option("lineSep", MARK).text(path)
     raw = raw.select("value", F.col("_metadata.file_path").alias("file"), F.col("_metadata.file_block_start").alias("_part"))
-    return raw.withColumn("_row", F.monotonically_increasing_id())
+    return raw.withColumn("_row", F.monotonically_increasing_id()).withColumns({"_h1": F.xxhash64("value"), "_h2": F.xxhash64(F.lit(1), "value")})
 
 
 def candidates(spark, path: str) -> DataFrame:
@@ -98,7 +103,7 @@ def candidates(spark, path: str) -> DataFrame:
     whole = F.col("_ends") & (F.col("_n") == F.col("_at") + F.col("_length") + len(TAIL))
     payload = F.substring(F.col("value").cast("binary"), (F.col("_at") + 1).cast("int"), F.col("_length").cast("int"))
     return piece.select(
-        "file", "_part", "_row", "_n", "_at", "_length",
+        "file", "_part", "_row", "_h1", "_h2", "_n", "_at", "_length",
         (F.col("_at") + F.col("_length") + len(TAIL) + len(MARK)).alias("_jump"),
         _field("_head", "WARC-Type").alias("kind"), _field("_head", "WARC-Record-ID").alias("name"), _field("_head", "WARC-Refers-To").alias("refers"),
         F.regexp_extract(_field("_head", "WARC-Payload-Digest"), "sha1:(.*)", 1).alias("declared"),
@@ -106,6 +111,20 @@ def candidates(spark, path: str) -> DataFrame:
     )
 
 
+def _summed(pieces: DataFrame) -> DataFrame:
+    """Pieces with ``_nth``, their place in the file from 1, and ``_sum``, the bytes up to and with each.
+
+    Splits of a file are summed in parallel and then offset by those before, so a large archive is no single task.
+    """
+    inside = Window.partitionBy("file", "_part").orderBy("_row")
+    local = pieces.withColumn("_i", F.row_number().over(inside)).withColumn("_s", F.sum("_n").over(inside))
+    before = Window.partitionBy("_of").orderBy("_from").rowsBetween(Window.unboundedPreceding, -1)
+    splits = pieces.groupBy(F.col("file").alias("_of"), F.col("_part").alias("_from")).agg(F.count("*").alias("_c"), F.sum("_n").alias("_b"))
+    offsets = splits.select("_of", "_from", F.coalesce(F.sum("_c").over(before), F.lit(0)).alias("_c0"), F.coalesce(F.sum("_b").over(before), F.lit(0)).alias("_b0"))
+    joined = local.join(offsets, (F.col("file") == F.col("_of")) & (F.col("_part") == F.col("_from")))
+    return joined.select(*pieces.columns, (F.col("_c0") + F.col("_i")).alias("_nth"), (F.col("_b0") + F.col("_s")).alias("_sum"))
+
+
 def _inside(frame: pd.DataFrame, width: int) -> pd.DataFrame:
     """Follow the chains of one block: where does each candidate's chain leave it?  -1: at no candidate or the file's end."""
     off, succ = frame["off"].to_numpy(), frame["succ"].fillna(-1).to_numpy().astype(np.int64)
@@ -170,35 +189,45 @@ def verified(chain: DataFrame, width: int = BLOCK) -> DataFrame:
         hop = staged(hop.join(far, ["file", "leaves"]).select("file", "off", F.col("_far").alias("leaves")).unionByName(hop.join(far, ["file", "leaves"], "left_anti").select("file", "off", "leaves")), "hops")
     doors_in = reached.withColumn("_blk", F.floor(F.col("off") / width))
     left = jumps.withColumn("_blk", F.floor(F.col("off") / width))
-    return left.groupBy("file", "_blk").cogroup(doors_in.groupBy("file", "_blk")).applyInPandas(_reached, "file string, off long, record long")
+    found = left.groupBy("file", "_blk").cogroup(doors_in.groupBy("file", "_blk")).applyInPandas(_reached, "file string, off long, record long")
+    found = staged(found.withColumn("_blk", F.floor(F.col("off") / width)), "owners")
+    # a block's first pieces belong to the last record of the blocks before
+    over = Window.partitionBy("_of").orderBy("_in").rowsBetween(Window.unboundedPreceding, -1)
+    last = found.groupBy(F.col("file").alias("_of"), F.col("_blk").alias("_in")).agg(F.max("record").alias("_r")).select("_of", "_in", F.max("_r").over(over).alias("_last"))
+    joined = found.join(last, (F.col("file") == F.col("_of")) & (F.col("_blk") == F.col("_in")))
+    return joined.select("file", "off", F.greatest("record", F.coalesce("_last", F.lit(-1))).alias("record"))
 
 
 def read(spark, path: str, width: int = BLOCK) -> DataFrame:
     """Records of the archives below ``path``: ``file, off, kind, name, refers, declared, payload_bytes, payload_digest``.
 
     The digest is taken from the payload as read.  Marks inside payloads give no records; bytes after the last record of a
-    chain that don't lead on are not read.  Files without a record at their start give none.  ``width`` is the block width.
+    chain that don't lead on are not read.  Files without a record at their start give none, nor do empty files.  Records that
+    repeat an id, in one file or several, each come out.  ``width`` is the block width.
+
+    Archives are scanned a second time only for payloads that hold marks.  Splits may then be cut differently, so pieces are
+    found again by what they hold.
     """
     piece = staged(candidates(spark, path), "warc-pieces")
-    order = Window.partitionBy("file").orderBy("_part", "_row")
-    numbers = piece.select("file", "_part", "_row", "_n", "_jump")
-    numbers = numbers.withColumn("_nth", F.row_number().over(order)).withColumn("_sum", F.sum("_n").over(order))
+    numbers = _summed(piece.select("file", "_part", "_row", "_n", "_jump"))
     # piece k (from 1) starts after k - 1 marks; the first is what stands before the first mark
     placed = numbers.where("_nth > 1").withColumn("off", F.col("_sum") - F.col("_n") + len(MARK) * (F.col("_nth") - 2))
     # a file that does not start with a mark has no record at 0
     lead = numbers.where("_nth = 1 and _n > 0").select("file")
     placed = placed.join(lead, "file", "left_anti")
     placed = staged(placed.select("file", "_part", "_row", "off", (F.col("off") + F.col("_jump")).alias("succ")), "warc-offsets")
-    late = Window.partitionBy("file").orderBy("off").rowsBetween(Window.unboundedPreceding, 0)
-    owner = verified(placed.select("file", "off", "succ"), width).withColumn("record", F.max("record").over(late))  # over block borders
+    owner = verified(placed.select("file", "off", "succ"), width)
     known = placed.join(owner, ["file", "off"]).where("record >= 0").select("file", "_part", "_row", "off", "record")
     full = staged(known.join(piece, ["file", "_part", "_row"]), "warc-known")
     simple = full.where("off = record and _digest is not null")
     simple = simple.select("file", "off", "kind", "name", "refers", "declared", F.col("_length").alias("payload_bytes"), F.col("_digest").alias("payload_digest"))
     broken = full.where("off = record and _digest is null").select("file", "record")
-    parts = full.join(broken, ["file", "record"], "left_semi")
-    raw = _pieces(spark, path).select("file", "_part", "_row", F.col("value").cast("binary").alias("_raw"))
-    return simple.unionByName(_glued(raw.join(parts, ["file", "_part", "_row"])))
+    parts = staged(full.join(broken, ["file", "record"], "left_semi"), "warc-parts")
+    if parts.isEmpty():
+        return simple
+    again = _pieces(spark, path).select("_h1", "_h2", F.col("value").cast("binary").alias("_raw"))
+    again = again.join(parts.select("_h1", "_h2").distinct(), ["_h1", "_h2"], "left_semi").groupBy("_h1", "_h2").agg(F.first("_raw").alias("_raw"))
+    return simple.unionByName(_glued(parts.join(again, ["_h1", "_h2"])))
 
 
 def _glued(parts: DataFrame) -> DataFrame:
@@ -228,6 +257,11 @@ def resolved(records: DataFrame) -> DataFrame:
 
 
 def op2_warc(spark, sf_dir: str) -> DataFrame:
+    """Every row of ``pages`` as the archives written from it give it back: size and digest of its whole payload (null html: empty), and
+    whether it is a response or a revisit of an equal payload.
+
+    A null page_id comes back as null.  Rows that repeat a page_id each have a record, but a revisit can only name the id.
+    """
     path = fresh_path(spark, "warc")
     write(spark.read.parquet(f"{sf_dir}/pages.parquet"), path, compression="gzip")
     number = lambda c: F.regexp_extract(c, "^<urn:page:(-?[0-9]+)>$", 1).try_cast("long")

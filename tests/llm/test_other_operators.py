@@ -34,6 +34,28 @@ def test_marks_in_payloads_are_not_records(spark, width, compression):
     assert got == sorted((f"<urn:page:{i}>", "revisit" if i in revisits else "response", len((h or "").encode()), digest(h)) for i, _, h in PAGES)
 
 
+def test_records_survive_other_splits_in_the_second_scan(spark, monkeypatch):
+    """Cores may come or go between the two scans of an archive, which cuts it differently."""
+    rows = [(i, "u", f"{i} " * 300 + REC * (1 + i % 3) + f"end of {i % 7}") for i in range(60)]
+    path = fresh_path(spark, "warc")
+    warc.write(spark.createDataFrame(rows, "page_id long, url string, html string").repartition(6), path)
+    plain, calls = warc._pieces, []
+
+    def cut_anew(session, where):
+        calls.append(where)
+        for name, value in (("minPartitionNum", "1" if len(calls) == 1 else "40"), ("openCostInBytes", "1")):
+            session.conf.set(f"spark.sql.files.{name}", value)
+        return plain(session, where)
+
+    monkeypatch.setattr(warc, "_pieces", cut_anew)
+    try:
+        got = sorted((r.name, r.payload_digest) for r in warc.read(spark, path).collect())
+    finally:
+        for name in ("minPartitionNum", "openCostInBytes"):
+            spark.conf.unset(f"spark.sql.files.{name}")
+    assert len(calls) == 2 and got == sorted((f"<urn:page:{i}>", digest(h)) for i, _, h in rows)
+
+
 def test_warc_query_round_trip(spark, table_dir):
     rows = [*PAGES, (10, "q", "same"), (11, "q", "same"), (12, "q", "same")]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string")
@@ -43,6 +65,10 @@ def test_warc_query_round_trip(spark, table_dir):
         last[h or ""] = i
     assert got == {i: (len((h or "").encode()), digest(h), *(("response", None) if last[h or ""] == i else ("revisit", last[h or ""]))) for i, _, h in rows}
     assert QUERIES["op2_warc"](spark, table_dir(pages=pages.limit(0))).count() == 0
+    odd = spark.createDataFrame([(1, "u", "same"), (1, "u", "same"), (None, "u", "x" + REC), (None, None, "x" + REC), (2, "u", "x" + REC)], "page_id long, url string, html string")
+    back = sorted(((r.page_id, r.payload_digest, r.record_type, r.refers_to) for r in QUERIES["op2_warc"](spark, table_dir(pages=odd)).collect()), key=str)
+    twice = digest("x" + REC)
+    assert back == sorted([(1, digest("same"), "response", None)] * 2 + [(None, twice, "revisit", 2)] * 2 + [(2, twice, "response", None)], key=str)
 
 
 def test_small_payloads_are_all_responses(spark):
