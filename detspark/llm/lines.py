@@ -368,7 +368,7 @@ def _candidates(t: float, every: bool):
 
 def _bloom(keys: np.ndarray, bits: int) -> list[np.ndarray]:
     k = tx.mix(keys.view(np.uint64))
-    return [((k >> np.uint64(s)) & np.uint64(bits - 1)).astype(np.int64) for s in (0, 20, 40)]
+    return [((k >> np.uint64(s)) & np.uint64(bits - 1)).astype(np.int64) for s in (0, 18, 36)]
 
 
 def _has(field: np.ndarray, keys: np.ndarray) -> np.ndarray:
@@ -379,8 +379,17 @@ def _has(field: np.ndarray, keys: np.ndarray) -> np.ndarray:
     return ok
 
 
-def _member(wanted: DataFrame, bits: int = 1 << 24, tasks: int = 16) -> np.ndarray:
-    """A membership filter of fixed size over ``wanted(key)`` or ``wanted(doc, line)``; it may say yes wrongly and never no."""
+#: bits of a membership filter for each key, and the most of all, which bounds what is broadcast to 32 MB
+_PER_KEY, _MOST = 16, 1 << 28
+
+
+def _member(wanted: DataFrame, tasks: int = 16) -> np.ndarray:
+    """A membership filter over ``wanted(key)`` or ``wanted(doc, line)``; it may say yes wrongly and never no.
+
+    Its size follows the number of keys up to ``_MOST`` bits; beyond, it lets more through, which costs time and changes no result.
+    """
+    wanted = staged(wanted, "wanted")
+    bits = 1 << min(_MOST.bit_length() - 1, max(16, (_PER_KEY * wanted.count()).bit_length()))
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tx.release()
@@ -536,26 +545,32 @@ def without(docs: DataFrame, removed: DataFrame) -> DataFrame:
     A document whose lines all go keeps an empty text.
     """
     rank = F.shiftright(F.col("line"), _LINES)
-    per_doc = removed.groupBy(F.col("doc").alias("_doc"), rank.alias("_rank")).agg(F.collect_set(F.col("line").bitwiseAND(F.lit((1 << _LINES) - 1))).alias("_gone"))
+    per_doc = removed.groupBy(F.col("doc").alias("_doc"), rank.alias("_rank")).agg(F.collect_set(F.col("line").bitwiseAND(F.lit((1 << _LINES) - 1)).cast("int")).alias("_gone"))
     joined = docs.join(per_doc, (docs["_key"] == per_doc["_doc"]) & (F.shiftright(docs["_base"], _LINES) == per_doc["_rank"]), "left").drop("_doc", "_rank")
-    kept = F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("_gone", i.cast("long")))
-    return joined.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.concat_ws("\n", kept)))
+    # the lines as a variable, which is evaluated once; array_except works by hash, so time follows the number of lines
+    kept = lambda lines: F.concat_ws("\n", F.transform(F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("_gone")), lambda i: F.get(lines, i)))
+    cut = F.get(F.transform(F.array(F.split("text", "\n")), kept), F.lit(0))
+    return joined.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(cut))
 
 
 def dedup(docs: DataFrame, t: float = SIMILARITY) -> DataFrame:
     """``docs`` with later matching lines taken out of ``text`` and ``n_chars`` set to its length; all rows and columns stay.
 
-    Null texts stay null; lines without words stay; rows with a null id take part, ordered after all others.  Rows that
-    repeat an id are documents of their own, so one of them keeps what they share.
+    Null texts stay null; empty texts and lines without words stay; rows with a null id take part, ordered after all others.
+    Rows that repeat an id, or whole rows, are documents of their own, so the first of them keeps what they share.  Other
+    columns may have any name.  An empty table stays empty.
     """
-    marked = keyed(docs)
+    used = "doc_id", "text"
+    marked = keyed(tx.carried(docs, *used))
     out = without(marked, removed_lines(marked.select("_key", "_base", "text"), t))
-    columns = [F.coalesce(F.length("text"), F.lit(0)).cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
-    return out.select(*columns)
+    return out.select(*tx.unpacked(docs, {"n_chars": F.coalesce(F.length("text"), F.lit(0))}, used))
 
 
 def op3_line_dedup(spark, sf_dir: str) -> DataFrame:
-    """One row per document: lines, lines removed, and size and checksum of the text that is kept."""
+    """One row per row of ``documents``: its lines, how many of them an earlier line of the table matches, and size and checksum of the text without them.
+
+    A null text has no lines; rows with null or repeated ids are documents of their own; an empty table gives no rows.
+    """
     docs = keyed(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
     lines = F.when(F.col("text").isNull(), F.lit(0)).otherwise(F.size(F.split("text", "\n")))
     counted = docs.withColumn("_lines", lines)

@@ -1,9 +1,9 @@
 """Mixing sources to target weights, with DataFrame operations only.
 
 The words of a source form one stream: its documents in a fixed order.  The stream is cut into blocks of a fixed number of
-words.  The mix is a sequence of output shards of as many slots; every shard draws how many slots each source gets, and a
-source's slots map to its blocks through a pseudorandom permutation of the block numbers, a new one for every pass over
-the source.  Blocks are then joined by (source, number).
+words.  The mix is a sequence of output shards of as many slots; every shard draws how many slots each source gets from a
+multinomial distribution, and a source's slots map to its blocks through a pseudorandom permutation of the block numbers,
+a new one for every pass over the source.  Blocks are then joined by (source, number).
 """
 
 from __future__ import annotations
@@ -13,6 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from detspark.llm import text as tx
 from detspark.plans.scratch import staged
 
 #: fixed by the contract: what a word is, and the cap on repeats
@@ -27,6 +28,8 @@ class MixConfig:
     buckets: int = 1024
     rounds: int = 16
     seed: int = 42
+    cells: int = 4096
+    broadcast_sources: int = 1 << 16
 
 
 def placed(docs: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
@@ -80,36 +83,55 @@ def permuted(index: Column, size: Column, *keys: Column, rounds: int) -> Column:
     return F.aggregate(F.sequence(F.lit(0), F.lit(rounds - 1)), index, turn)
 
 
-def block_counts(sources: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
-    """Sources with targets → ``(_src, _block, _times)``: how often the mix takes each block (blocks never taken are absent).
+def shard_counts(sources: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
+    """Sources ``(_src, source_size, target)`` → ``(_shard, _src, _blocks, _count)``: each output shard's multinomial draw; no row for 0.
 
-    Every shard's draw is a multinomial one by systematic resampling: expected counts are exact and each shard's count is
-    within one of its expectation.  A source's slots stop at ``PASSES`` passes over its blocks.
+    Every slot draws its source on its own, by the hash of its number, with probabilities in proportion to the blocks that
+    reach the targets.  A slot finds its source through the cell of 0..1 that its draw falls into, and only counts per task,
+    shard and source are shuffled.  Sources are few; more than ``broadcast_sources`` are not broadcast.
     """
     spark = sources.sparkSession
     used = sources.where("source_size > 0").withColumn("_blocks", F.ceil(F.col("source_size") / F.lit(cfg.block_words)).cast("long"))
     used = used.withColumn("_want", F.col("target") * F.col("_blocks") / F.col("source_size"))
+    used = staged(used.select("_src", "_blocks", "_want"), "sources")
+    many, total = used.agg(F.count("*"), F.sum("_want")).first()
     everyone = Window.orderBy(F.col("_src").isNull(), "_src")
-    used = used.withColumn("_high", F.sum("_want").over(everyone.rowsBetween(Window.unboundedPreceding, 0))).withColumn("_low", F.col("_high") - F.col("_want"))
-    used = staged(used, "sources")
-    total = used.agg(F.sum("_want")).first()[0] or 0.0
-    slots = int(round(total))
-    shards = max(1, -(-slots // cfg.shard_slots)) if slots else 0
-    part = F.least(F.lit(cfg.shard_slots), F.lit(slots) - F.col("_shard") * cfg.shard_slots)
-    start = F.pmod(F.xxhash64(F.lit(cfg.seed), F.lit("shift")), F.lit(1 << 20)) / float(1 << 20)
-    shift = F.pmod(start + F.col("_shard") * 0.6180339887498949, F.lit(1.0))
-    drawn = spark.range(shards).withColumnRenamed("id", "_shard").withColumn("_m", part).withColumn("_u", shift).join(used, F.lit(True), "inner")
-    share = F.col("_m") / F.lit(max(total, 1e-300))
-    drawn = drawn.withColumn("_count", (F.ceil(F.col("_high") * share - F.col("_u")) - F.ceil(F.col("_low") * share - F.col("_u"))).cast("long"))
-    by_source = Window.partitionBy("_src").orderBy("_shard").rowsBetween(Window.unboundedPreceding, -1)
-    drawn = drawn.withColumn("_base", F.coalesce(F.sum("_count").over(by_source), F.lit(0))).where("_count > 0")
+    last = F.row_number().over(everyone) == many
+    high = F.when(last, F.lit(1.0)).otherwise(F.sum("_want").over(everyone.rowsBetween(Window.unboundedPreceding, 0)) / F.lit(total or 1.0))
+    ranges = used.withColumn("_high", high).withColumn("_low", F.coalesce(F.lag("_high").over(everyone), F.lit(0.0)))
+    cell = lambda u: F.least(F.floor(u * cfg.cells), F.lit(cfg.cells - 1)).cast("int")
+    ranges = staged(ranges.withColumn("_cell", F.explode(F.sequence(cell(F.col("_low")), cell(F.col("_high"))))).select("_cell", "_low", "_high", "_src", "_blocks"), "cells")
+    draw = F.shiftrightunsigned(F.xxhash64(F.lit(cfg.seed), F.lit("draw"), "id"), 11) / float(1 << 53)
+    drawn = spark.range(int(round(total or 0.0))).select(F.floor(F.col("id") / cfg.shard_slots).alias("_shard"), draw.alias("_u")).withColumn("_at", cell(F.col("_u")))
+    inside = (F.col("_at") == F.col("_cell")) & (F.col("_u") >= F.col("_low")) & (F.col("_u") < F.col("_high"))
+    return drawn.join(F.broadcast(ranges) if many <= cfg.broadcast_sources else ranges, inside).groupBy("_shard", "_src", "_blocks").agg(F.count("*").alias("_count"))
+
+
+def slot_blocks(slots: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
+    """Runs of slots ``(_src, _blocks, _from, _upto)`` of a source, ``_upto`` excluded → ``(_src, _slot, _block)``, the block that each slot takes."""
     # dealt anew: a few rows become very many, and their number is not known to the planner
-    drawn = drawn.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "_src", "_shard")
-    one = drawn.withColumn("_i", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_count") - 1)))
-    one = one.withColumn("_slot", F.col("_base") + F.col("_i")).where(F.col("_slot") < F.col("_blocks") * PASSES)
-    one = one.withColumn("_pass", F.floor(F.col("_slot") / F.col("_blocks")))
+    parts = int(slots.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = slots.where("_from < _upto").repartition(parts, "_src", "_from")
+    one = dealt.withColumn("_slot", F.explode(F.sequence(F.col("_from"), F.col("_upto") - 1))).withColumn("_pass", F.floor(F.col("_slot") / F.col("_blocks")))
     block = permuted(F.col("_slot") % F.col("_blocks"), F.col("_blocks"), F.coalesce(F.col("_src"), F.lit("")), F.col("_src").isNull(), F.col("_pass"), F.lit(cfg.seed), rounds=cfg.rounds)
-    return one.select("_src", block.alias("_block")).groupBy("_src", "_block").agg(F.count("*").alias("_times"))
+    return one.select("_src", "_slot", block.alias("_block"))
+
+
+def block_counts(sources: DataFrame, cfg: MixConfig = MixConfig()) -> tuple[DataFrame, DataFrame]:
+    """Sources with targets → (``(_src, _whole)``, ``(_src, _block)``): passes that take every block, and the blocks of the pass after them.
+
+    A source's slots are numbered over its shards and stop at ``PASSES`` passes over its blocks.  A permutation takes each
+    block once in a whole pass, so only the slots of the last pass are mapped one by one.
+    """
+    counts = staged(shard_counts(sources, cfg), "draws")
+    sums = counts.groupBy("_src", "_blocks").agg(F.sum("_count").alias("_n")).withColumn("_n", F.least("_n", F.col("_blocks") * PASSES))
+    sums = staged(sums.withColumn("_whole", F.floor(F.col("_n") / F.col("_blocks"))), "draw-sums")
+    by_source = Window.partitionBy("_src").orderBy("_shard").rowsBetween(Window.unboundedPreceding, -1)
+    runs = counts.withColumn("_base", F.coalesce(F.sum("_count").over(by_source), F.lit(0).cast("long")))
+    limits = sums.select(F.col("_src").alias("_ls"), "_n", "_whole")
+    runs = runs.join(limits, F.col("_src").eqNullSafe(F.col("_ls")))
+    runs = runs.select("_src", "_blocks", F.greatest("_base", F.col("_whole") * F.col("_blocks")).alias("_from"), F.least(F.col("_base") + F.col("_count"), "_n").alias("_upto"))
+    return sums.select("_src", "_whole"), slot_blocks(runs, cfg).select("_src", "_block")
 
 
 def cut_blocks(rows: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
@@ -131,14 +153,22 @@ def mixed(docs: DataFrame, cfg: MixConfig = MixConfig()) -> tuple[DataFrame, Dat
     """
     rows = staged(placed(docs.select("doc_id", "source", "text"), cfg).select("doc_id", "_src", "_size", "_start"), "mix-rows")
     sources = staged(targets(rows.groupBy("_src").agg(F.sum("_size").alias("source_size"))), "mix-targets")
-    counts = block_counts(sources, cfg).select(F.col("_src").alias("_cs"), F.col("_block").alias("_cb"), "_times")
-    cut = cut_blocks(rows.select("_src", "_size", "_start"), cfg)
+    whole, last = block_counts(sources, cfg)
+    last = last.select(F.col("_src").alias("_cs"), F.col("_block").alias("_cb"), F.lit(1).alias("_once"))
+    passes = whole.select(F.col("_src").alias("_ps"), "_whole")
+    sized = rows.select("_src", "_size", "_start").join(passes, F.col("_src").eqNullSafe(F.col("_ps")), "left").drop("_ps")
+    cut = cut_blocks(sized, cfg)
     # merge hints: sizes after an explode are underestimated, and neither side may be broadcast
-    taken = cut.join(counts.hint("merge"), F.col("_src").eqNullSafe(F.col("_cs")) & (F.col("_block") == F.col("_cb")), "left")
-    return rows, sources, taken.select("_src", "_start", "_block", "_from", "_len", F.coalesce("_times", F.lit(0)).alias("_times"))
+    taken = cut.join(last.hint("merge"), F.col("_src").eqNullSafe(F.col("_cs")) & (F.col("_block") == F.col("_cb")), "left")
+    return rows, sources, taken.select("_src", "_start", "_block", "_from", "_len", (F.coalesce("_whole", F.lit(0)) + F.coalesce("_once", F.lit(0))).cast("long").alias("_times"))
 
 
 def op9_mixture(spark, sf_dir: str) -> DataFrame:
+    """Every row of ``documents`` with its size in words, its source's size and target, and the words that the mix takes of it, repeats counted.
+
+    A null or empty text has size 0 and gives nothing; null and repeated ids are rows as any; null sources are one source; an
+    empty table gives no rows.
+    """
     rows, sources, taken = mixed(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     sums = taken.groupBy("_src", "_start").agg(F.sum(F.col("_len") * F.col("_times")).alias("_taken")).select(F.col("_src").alias("_ts"), F.col("_start").alias("_tt"), "_taken")
     with_words = rows.join(sums.hint("merge"), F.col("_src").eqNullSafe(F.col("_ts")) & (F.col("_start") == F.col("_tt")) & (F.col("_size") > 0), "left")
@@ -151,12 +181,12 @@ def mix_documents(docs: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     """``docs`` as the mix has them, same columns: each row's text is the words of its taken blocks.
 
     A row whose blocks are all taken once keeps its text as it is; otherwise pass k adds the words of the blocks taken k
-    times or more, joined by single spaces, passes joined by line breaks.  Rows of which nothing is taken go.  ``n_chars``
-    follows the text.
+    times or more, joined by single spaces, passes joined by line breaks.  Rows of which nothing is taken go, and so do those
+    without words.  ``n_chars`` follows the text.  Other columns may have any name; an empty table stays empty.
     """
-    whole = placed(docs, cfg)
-    rows, _, taken = mixed(docs, cfg)
-    del rows
+    used = "doc_id", "source", "text"
+    whole = placed(tx.carried(docs, *used), cfg)
+    _, _, taken = mixed(docs, cfg)
     runs = taken.groupBy("_src", "_start").agg(
         F.sort_array(F.collect_list(F.struct("_from", "_len", "_times"))).alias("_runs"), F.min("_times").alias("_least"), F.max("_times").alias("_most")
     ).where("_most > 0").select(F.col("_src").alias("_ts"), F.col("_start").alias("_tt"), "_runs", "_least", "_most")
@@ -172,5 +202,4 @@ def mix_documents(docs: DataFrame, cfg: MixConfig = MixConfig()) -> DataFrame:
     # an explode of one element: the words are formed once per row, and not anew for each run of them
     joined = joined.withColumn("_words", F.explode(F.array(F.when(~same, words))))
     done = joined.withColumn("_new", F.when(same, F.col("text")).otherwise(mixed_text))
-    columns = [F.col("_new").alias("text") if c == "text" else F.length("_new").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
-    return done.select(*columns)
+    return done.select(*tx.unpacked(docs, {"text": F.col("_new"), "n_chars": F.length("_new")}, used))

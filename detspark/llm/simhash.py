@@ -229,17 +229,26 @@ def keep_one(docs: DataFrame, words: int = WORDS) -> DataFrame:
     """One row of each near-duplicate group, all columns unchanged: of the smallest doc_id, null last, the first by a hash of the row.
 
     Groups are those of texts, so rows that repeat an id, or have none, are each kept if no other row of their group is.
-    Rows are named by two hashes of all columns; rows equal in all of them are one.
+    Texts without words (null or empty too) are one group.  Rows are named by two hashes of all columns; rows equal in all of
+    them are one.  Columns may have any name.  An empty table stays empty.
     """
-    there = [F.col(c).isNull() for c in docs.columns]
-    named = docs.withColumns({"_h1": F.xxhash64(*docs.columns, *there), "_h2": F.xxhash64(F.lit(1), *there, *docs.columns)})
-    marked, classed = _grouped(named.select("doc_id", "text", "_h1", "_h2"), words)
-    order = F.struct(F.col("doc_id").isNull(), "doc_id", "_h1", "_h2")
-    first = marked.join(classed.select("fp", "c"), "fp").groupBy("c").agg(F.min(order).alias("_first"))
-    kept = named.join(first.select("_first._h1", "_first._h2"), ["_h1", "_h2"], "left_semi")
-    return kept.dropDuplicates(["_h1", "_h2"]).select(*docs.columns)
+    there = [F.col(f"`{c}`") for c in docs.columns]
+    nulls = [c.isNull() for c in there]
+    h1, h2 = F.xxhash64(*there, *nulls), F.xxhash64(F.lit(1), *nulls, *there)
+    marked, classed = _grouped(docs.select("doc_id", "text", h1.alias("h1"), h2.alias("h2")), words)
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "h1", "h2")
+    first = marked.join(classed.select("fp", "c"), "fp").groupBy("c").agg(F.min(order).alias("first"))
+    used = "doc_id", "text"
+    named = docs.select(*[F.col(c) for c in used], h1.alias("h1"), h2.alias("h2"), tx.carried_rest(docs, used))
+    kept = named.join(first.select("first.h1", "first.h2"), ["h1", "h2"], "left_semi")
+    return kept.dropDuplicates(["h1", "h2"]).select(*tx.unpacked(docs, {}, used))
 
 
 def op10_simhash(spark, sf_dir: str) -> DataFrame:
+    """Every row of ``documents`` with the fingerprint of its whole text and the smallest doc_id that links of 4 or fewer bits reach.
+
+    Null, empty and wordless texts have fingerprint zero; repeated rows come out each; a null doc_id is never the smallest
+    while its group has another; an empty table gives no rows.
+    """
     found = groups(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")

@@ -12,6 +12,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
 CHUNK = 1 << 18
 _BASE = 0x9E3779B97F4A7C15
@@ -33,6 +35,26 @@ LOWER[65:91] += 32
 HELD: list = []
 
 
+#: holds the columns of a table that an operator doesn't use, so that their names can't clash with its own
+REST = "_rest"
+
+
+def carried_rest(docs: DataFrame, used: tuple[str, ...]) -> Column:
+    """All columns of ``docs`` but the ``used`` ones, as one named ``REST``."""
+    others = [F.col(f"`{c}`") for c in docs.columns if c not in used]
+    return (F.struct(*others) if others else F.lit(0)).alias(REST)
+
+
+def carried(docs: DataFrame, *used: str) -> DataFrame:
+    """``docs`` as its ``used`` columns and ``REST``."""
+    return docs.select(*used, carried_rest(docs, used))
+
+
+def unpacked(docs: DataFrame, changed: dict[str, Column], used: tuple[str, ...]) -> list[Column]:
+    """The columns of ``docs`` again, in their order, from rows that ``carried`` them; ``changed`` gives new values."""
+    return [(changed[c] if c in changed else F.col(c) if c in used else F.col(REST)[c]).cast(docs.schema[c].dataType).alias(c) for c in docs.columns]
+
+
 def tidy() -> None:
     """Give back freed memory that allocators of this worker hold on to."""
     pa.default_memory_pool().release_unused()
