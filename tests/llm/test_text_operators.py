@@ -271,12 +271,36 @@ def test_licences_equal_their_twin(spark, sf, duck):
 def test_licence_edges(spark, docs_of):
     notice = "Released under the MIT License."
     rows = [*enumerate(ODD), (40, notice), (40, notice), (41, f"intro\n{notice.upper()}\nrest"), (42, "MIT"), (43, "released under the MIT licence agreement of old")]
-    got = [(r.doc_id, r.line_no, r.licence) for r in licences.scan(docs_of(rows).withColumn("licence", F.lit(1))).collect()]
-    assert sorted(got) == [(40, 1, "MIT"), (40, 1, "MIT"), (41, 0, "MIT"), (41, 2, "MIT")]
+    got = [(r.doc_id, r.line_no, r.licence) for r in licences.scan(docs_of(rows).withColumn("licence", F.lit(1)).withColumn("_pairs", F.lit(1))).collect()]
+    assert sorted(got) == [(40, 1, "MIT"), (40, 1, "MIT"), (41, 2, "MIT")]
     assert licences.scan(docs_of(rows).limit(0)).count() == 0 and licences.scan(docs_of(rows), rows=()).count() == 0
     plan = licences.scan(docs_of(rows))._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Arrow|Pandas", plan)
 
 
+def test_licences_in_prose_over_lines_and_whole(spark, docs_of, tmp_path):
+    """Whole texts, wrapped and embedded notices, and places of several in one document; the twin agrees."""
+    import duckdb
+
+    full = dict(licences.TEMPLATES)
+    wrapped = re.sub(r"((?:\S+\s+){9}\S+)\s+", r"\1\n# ", full["MIT:text"])
+    changed = full["BSD-3-Clause:text"].replace("COPYRIGHT HOLDERS AND CONTRIBUTORS", "REGENTS AND CONTRIBUTORS").replace("the copyright holder nor", "Some University nor")
+    notice = full["BSD-3-Clause"]
+    rows = [
+        (1, "# Copyright (c) somebody\n# \n# " + wrapped + "\nimport this\n" * 30), (2, changed), (3, "def f():\n    pass\n" * 50 + notice[:48] + "\n" + notice[48:] + "\nmore"),
+        (4, f"As they say, {full['MIT'].lower()} And then other things are told. " * 3), (5, f"{full['GPL-3.0']}\nsome text between them\n{full['GPL-3.0']}"), (6, "of the software in the work and the license " * 60), (7, None),
+    ]
+    docs = docs_of(rows)
+    got = licences.scan(docs).collect()
+    places = sorted((r.doc_id, r.line_no, r.licence) for r in got)
+    assert {(1, 3, "MIT:text"), (2, 1, "BSD-3-Clause:text"), (3, 101, "BSD-3-Clause"), (5, 1, "GPL-3.0"), (5, 3, "GPL-3.0")} <= set(places)
+    assert places.count((4, 1, "MIT")) == 3 and not [p for p in places if p[0] in (6, 7)]
+    docs.coalesce(1).write.parquet(str(tmp_path / "d"))
+    connection = duckdb.connect()
+    connection.execute(f"create view documents as select * from '{tmp_path}/d/*.parquet'")
+    twin = connection.execute(ORACLES["op8_licences"]).fetchall()
+    assert sorted((r.doc_id, r.line_no, r.licence, round(r.dice, 9)) for r in got) == sorted(twin)
+
+
 def test_sums_to_round_numbers():
     assert lines.prefix_length(np.array([1, 2, 5, 10])).tolist() == [n - math.ceil(0.8 * n - 1e-9) + 1 for n in (1, 2, 5, 10)]
