@@ -26,7 +26,8 @@ from detspark.plans.scratch import staged
 LIMIT = 4096
 END = 1
 _BUCKETS = 256
-_YOUNG = 400_000
+#: runs that are kept, at most, and the bytes of the longest; longer ones are tokenized anew
+_YOUNG, _KEPT = 400_000, 64
 _STOPS = b".,!?;:"
 
 
@@ -35,7 +36,7 @@ class WordCache(dict):
 
     The tokenizer drops white space and no match spans it, so the ids of a text are those of its runs in order.  It also
     lower-cases character by character and takes letters apart from punctuation, so a run is looked up in ASCII lower case,
-    and stops after a letter or digit are looked up on their own.  Two generations bound the memory.
+    and stops after a letter or digit are looked up on their own.  Two generations of short runs bound the memory.
     """
 
     def __init__(self, path: str) -> None:
@@ -55,7 +56,8 @@ class WordCache(dict):
             else:
                 coded = self.tokenizer.encode(run.decode("utf-8", "replace"), add_special_tokens=False)
                 found = np.array(coded.ids, "<u4").tobytes()
-        self[run] = found
+        if len(run) <= _KEPT:
+            self[run] = found
         return found
 
     def ids(self, text: bytes) -> bytes:
@@ -80,10 +82,10 @@ tx.HELD.append(_cache.cache_clear)
 def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool = False) -> DataFrame:
     """``(doc_id, text)`` → ``doc_id, piece, start, length, ids_crc32`` [, ``ids``]; only documents over ``limit`` are cut.
 
-    A null or empty text is the end id alone.  No shuffle.
+    A null or empty text is the end id alone; null and repeated ids are rows as any.  No shuffle.
     """
     fields = [T.StructField("doc_id", docs.schema["doc_id"].dataType), *(T.StructField(n, T.LongType()) for n in ("piece", "start", "length", "ids_crc32"))]
-    schema = T.StructType([*fields, *([T.StructField("ids", T.ArrayType(T.LongType()))] if with_ids else [])])
+    schema = T.StructType([*fields, *([T.StructField("ids", T.ArrayType(T.IntegerType()))] if with_ids else [])])
     end = np.array([END], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -101,10 +103,11 @@ def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool =
                     length.append(len(part) // 4)
                     crc.append(zlib.crc32(part))
                     if with_ids:
-                        ids.append(np.frombuffer(part, "<u4").astype(np.int64))
+                        ids.append(np.frombuffer(part, "<i4"))
             columns = [batch.column(0).take(pa.array(row, pa.int64())), *(pa.array(x, pa.int64()) for x in (piece, start, length, crc))]
             if with_ids:
-                columns.append(pa.array(ids, pa.list_(pa.int64())))
+                flat = np.concatenate([np.zeros(0, "<i4"), *ids])
+                columns.append(pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, ids)], dtype=np.int32)), pa.array(flat)))
             yield pa.RecordBatch.from_arrays(columns, schema.names)
 
     return docs.select("doc_id", "text").mapInArrow(run, schema)
@@ -210,7 +213,8 @@ def pack(cut: DataFrame, limit: int = LIMIT) -> DataFrame:
     """Pieces (as from ``pieces``) with ``sequence_id`` and ``offset``.
 
     Pieces of a length are numbered inside hash buckets that are then offset, so a length with most of the pieces is dealt
-    over many tasks.  The plan is broadcast: it has a few rows for each length up to ``limit``, not for each piece.
+    over many tasks.  The plan is broadcast: it has a few rows for each length up to ``limit``, not for each piece.  Pieces
+    that agree in id, number and checksum may change places; an empty table stays empty.
     """
     spark = cut.sparkSession
     cut = staged(cut, "pieces")
@@ -242,4 +246,6 @@ def word_tokenizer() -> str:
 
 
 def op7_packing(spark, sf_dir: str) -> DataFrame:
+    """The token ids of every row of ``documents``, cut at 4096 and placed in sequences; null and empty texts are the end id alone, null
+    and repeated ids are rows as any, an empty table gives no rows."""
     return pack(pieces(spark.read.parquet(f"{sf_dir}/documents.parquet"), word_tokenizer()))

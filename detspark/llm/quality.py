@@ -96,8 +96,8 @@ def ftrl(examples: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, cfg:
 def train(docs: DataFrame, labels: DataFrame, cfg: QualityConfig = QualityConfig()) -> np.ndarray:
     """Fit on at most about ``sample_rows`` labelled texts, in one task of bounded size, and return the weights.
 
-    Rows without id, label or text do not train; with repeated labels of an id, each joined row trains.  With no rows the
-    weights are zero and every score is 0.5.
+    Rows without id, label or text do not train.  Equal rows of an id and text train once, with the larger of their labels;
+    rows that share an id but not a text each train.  With no rows the weights are zero and every score is 0.5.
     """
     marked = labels.select(F.col("doc_id").alias("_id"), F.col("quality").alias("_y")).where("_id is not null and _y in (0, 1)")
     total = marked.count()
@@ -165,6 +165,8 @@ def held_out(doc_id: str = "doc_id") -> F.Column:
 
 
 def op1_quality(spark, sf_dir: str) -> DataFrame:
+    """Every row of ``documents`` with its fold, score and prediction; null and empty texts get the bias alone, rows with null or
+    repeated ids are scored as any, an empty table gives no rows."""
     cfg = QualityConfig()
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality")

@@ -41,7 +41,8 @@ def numbered(frame: DataFrame, shard: str, order: Sequence[Column], bucket: Colu
 
 
 def op5_shards(spark, sf_dir: str, shards: int = 8) -> DataFrame:
-    """``documents`` over ``shards`` equal shards by the law ``key``.  A null text has size 1 and the checksum of no bytes."""
+    """``documents`` over ``shards`` equal shards by the law ``key``.  A null text has size 1 and the checksum of no bytes; null ids are one key; rows that
+    repeat an id share its shard, each with a slot; an empty table gives no rows."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     placed = docs.select(
         "doc_id",

@@ -202,6 +202,19 @@ def test_shards(spark, docs_of, table_dir):
     assert QUERIES["op5_shards"](spark, table_dir(documents=docs_of(rows).limit(0))).count() == 0
 
 
+def test_shards_by_plain_python(spark, docs_of, table_dir):
+    """The shard of every key, recomputed draw by draw."""
+    rows = [(i * 7919 - 300, f"text {i}") for i in range(400)]
+    out = QUERIES["op5_shards"](spark, table_dir(documents=docs_of(rows))).toPandas()
+
+    def choose(key, n):
+        draw = lambda s: -np.log(((spark_hash((key,), s, 7) >> 11) + 0.5) / 2.0**53)
+        return min(range(n), key=draw)
+
+    assert [choose(i, 8) for i in out.doc_id.tolist()] == out.shard.tolist()
+    assert [choose(i, 9) for i in out.doc_id.tolist()] == out.grown_shard.tolist()
+
+
 def test_weighted_shards(spark):
     got = spark.range(30_000).select(shards.choose(F.col("id"), [1.0, 0.0, 2.0]).alias("s")).groupBy("s").count().collect()
     counts = {r.s: r["count"] for r in got}
@@ -436,8 +449,38 @@ def test_pipeline(spark, sf):
         if name == "simhash":
             assert frame.select("doc_id").distinct().count() == frame.count() < before
     out = corpus_pipeline.run(spark, sf).toPandas()
-    assert set(out.doc_id) == {r.doc_id for r in frame.select("doc_id").collect()}
-    check_packing(out, {})
+    cache = packing.WordCache(packing.word_tokenizer())
+    ids = {r.doc_id: [*np.frombuffer(cache.ids(r.text.encode()), "<u4").tolist(), 1] for r in frame.collect()}
+    assert set(out.doc_id) == set(ids)
+    check_packing(out, ids)
+    for r in out.itertuples():
+        assert list(r.ids) == ids[r.doc_id][r.start : r.start + r.length]
+
+
+def test_pipeline_stages_by_plain_python(spark, docs_of, table_dir):
+    """Each stage's whole result on a small table against what plain Python makes of the same input."""
+    from test_text_operators import brute_lines, plain_fingerprint
+
+    rng = np.random.default_rng(4)
+    vocabulary = [f"word{i}" for i in range(400)]
+    lines_ = [" ".join(rng.choice(vocabulary, 12)) for _ in range(60)]
+    texts = ["\n".join(lines_[k] for k in rng.integers(0, 60, 4)) for _ in range(50)]
+    texts += [" ".join(rng.choice(vocabulary, 90)) for _ in range(10)] + ["spam spam spam " * 20] * 5 + ["", None]
+    texts += [texts[52] + " tail", texts[53]]
+    docs = docs_of([(i, t, "ab"[i % 2]) for i, t in enumerate(texts)])
+    labels = spark.createDataFrame([(i, int("spam" not in (t or "")), 0) for i, t in enumerate(texts)], "doc_id long, quality int, toxic int")
+    path = table_dir(documents=docs, labels=labels)
+    stages = dict(corpus_pipeline.STAGES)
+    kept = stages["quality"](spark, docs, path)
+    assert {r.doc_id for r in kept.collect()} >= {i for i, t in enumerate(texts) if t and "spam" not in t}
+    after = {r.doc_id: r.text for r in stages["line_dedup"](spark, docs, path).collect()}
+    gone = brute_lines(list(enumerate(texts)))
+    assert after == {i: None if t is None else "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in gone) for i, t in enumerate(texts)}
+    left = {r.doc_id for r in stages["simhash"](spark, docs, path).collect()}
+    fp = [plain_fingerprint(t) for t in texts]
+    a, b = np.nonzero(np.bitwise_count(np.array(fp, np.uint64)[:, None] ^ np.array(fp, np.uint64)[None, :]) <= 4)
+    high, _ = forest(a, b)
+    assert left == set(range(len(texts))) - set(high.tolist())
 
 
 def test_pipeline_on_odd_rows(spark, docs_of, table_dir):

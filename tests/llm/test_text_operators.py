@@ -62,6 +62,65 @@ def test_quality_held_out_accuracy_on_more_rows(spark):
     assert (held.predicted == held.quality).mean() > 0.97
 
 
+def plain_buckets(text, bits):
+    """Hashed words and word pairs of a text, one by one."""
+    data = text.encode()
+    kinds, spans, start = tx.CLASSES[np.frombuffer(data, np.uint8)].tolist() if data else [], [], None
+    for at in range(len(data) + 1):
+        if start is not None and (at == len(data) or kinds[at] != kinds[start]):
+            spans.append((start, at))
+            start = None
+        if start is None and at < len(data) and kinds[at]:
+            start = at
+    hashes = []
+    for low, high in spans:
+        one = np.frombuffer(data[low:high], np.uint8)
+        hashes.append(int(tx.hash_spans(one, np.array([0]), np.array([len(one)]))[0]))
+    mask = (1 << bits) - 1
+    out = [h & mask for h in hashes]
+    for a, b in itertools.pairwise(hashes):
+        out.append(int(quality._TWICE) & mask if a == b else int(tx.mix(np.array([(3 * a + b) % (1 << 64)], np.uint64))[0]) & mask)
+    return out
+
+
+def plain_ftrl(rows, cfg):
+    """Weights by bucket (-1: bias), coordinate by coordinate in plain Python."""
+    z, n = {}, {}
+
+    def weight(i):
+        if abs(z.get(i, 0.0)) <= cfg.l1:
+            return 0.0
+        return -(z[i] - math.copysign(cfg.l1, z[i])) / ((cfg.beta + math.sqrt(n.get(i, 0.0))) / cfg.alpha + cfg.l2)
+
+    for _ in range(cfg.epochs):
+        for text, y in rows:
+            buckets = plain_buckets(text, cfg.bits)
+            x = {b: buckets.count(b) / math.sqrt(len(buckets)) for b in buckets} | {-1: 1.0}
+            w = {i: weight(i) for i in x}
+            p = 1 / (1 + math.exp(-sum(w[i] * v for i, v in x.items())))
+            for i, v in x.items():
+                g = (p - y) * v
+                z[i] = z.get(i, 0.0) + g - (math.sqrt(n.get(i, 0.0) + g * g) - math.sqrt(n.get(i, 0.0))) / cfg.alpha * w[i]
+                n[i] = n.get(i, 0.0) + g * g
+    return {i: weight(i) for i in z}
+
+
+def test_quality_weights_and_scores_by_plain_python(spark, docs_of):
+    rng = np.random.default_rng(2)
+    texts = [" ".join(rng.choice(["good", "fine", "text", "of", "words", "words.", "Ünï"], rng.integers(1, 30))) for _ in range(40)] + ["", "spam spam spam", "spam spam !!"]
+    labels = [int("spam" not in t and i % 5 > 0) for i, t in enumerate(texts)]
+    cfg = quality.QualityConfig(bits=10, epochs=2)
+    docs = docs_of(list(enumerate(texts)))
+    weights = quality.train(docs, spark.createDataFrame(list(enumerate(labels)), "doc_id long, quality int"), cfg)
+    order = sorted(range(len(texts)), key=lambda i: (i * 0x9E3779B97F4A7C15 + 11) % (1 << 64))
+    want = plain_ftrl([(texts[i], labels[i]) for i in order], cfg)
+    dense = np.array([want.get(i, 0.0) for i in [*range(1 << 10), -1]])
+    assert np.allclose(weights, dense, atol=1e-5) and (weights != 0).sum() > 20
+    for r in quality.score(docs, weights, cfg=cfg).collect():
+        b = plain_buckets(r.text, cfg.bits)
+        assert abs(r.score - 1 / (1 + math.exp(-sum(dense[k] for k in b) / math.sqrt(max(1, len(b))) - dense[-1]))) < 1e-5
+
+
 def test_quality_edges(spark, docs_of, table_dir):
     docs = docs_of([*enumerate(ODD), (3, "a"), (3, "a"), (None, "null id")])
     labels = spark.createDataFrame([(i, i % 2, 0) for i in range(len(ODD))], "doc_id long, quality int, toxic int")
