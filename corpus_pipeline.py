@@ -35,8 +35,8 @@ def mixture_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of documents and their places in sequences."""
-    return packing.pack(packing.pieces(docs, packing.word_tokenizer()))
+    """Pieces of documents with their token ids (``ids``) and their places in sequences; a null or empty text is the end id alone."""
+    return packing.pack(packing.pieces(docs, packing.word_tokenizer(), with_ids=True))
 
 
 STAGES = [
