@@ -23,7 +23,7 @@ PASSES = 3
 
 @dataclass(frozen=True)
 class MixConfig:
-    block_words: int = 32
+    block_words: int = 16
     shard_slots: int = 65_536
     buckets: int = 1024
     rounds: int = 16

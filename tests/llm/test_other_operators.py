@@ -322,7 +322,7 @@ def test_mixture(spark, docs_of, table_dir):
     for s, t in want.items():
         part = got[[source_of.get(i, "none") == s for i in got.doc_id]]
         assert (np.abs(part.target - t) < 1e-6).all() and (part.source_size == sizes[s]).all()
-        assert abs(part.taken.sum() - t) <= 4 * (32 * t) ** 0.5 + 64  # slots of 32 words: four deviations
+        assert abs(part.taken.sum() - t) <= 4 * (16 * t) ** 0.5 + 32  # slots of 16 words: four deviations
     assert QUERIES["op9_mixture"](spark, table_dir(documents=docs_of(rows).limit(0))).count() == 0
     assert not re.search("Python|Arrow|Pandas", out._jdf.queryExecution().executedPlan().toString())
 
