@@ -83,24 +83,62 @@ def _padded(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _distinct(method):
-    return lambda spark, sf_dir: method(_moves(spark, sf_dir)).select("w0")
+    """A method on the keys of the lines, most of which occur once: a copy that is lost or left shows."""
+    return lambda spark, sf_dir: method(staged(line_keys(spark, sf_dir), "keys")).select("w0")
+
+
+def _local(frame: DataFrame) -> DataFrame:
+    """Local removal where all copies of a key are in one task: then what is left is distinct, and nothing else makes it so."""
+    return dedup.local(frame.repartition(PARTS, "w0"))
+
+
+def _cuts(spark: SparkSession, sf_dir: str):
+    """Splitters by the sample that the engine uses, from tasks that hold the keys of one remainder each."""
+    keys = line_keys(spark, sf_dir).repartitionById(8, F.pmod("w0", F.lit(8)).cast("int"))
+    return dedup.splitters(dedup.regular_sample(keys, SAMPLES), PARTS)
 
 
 def _splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.createDataFrame([(i + 1, int(c[0])) for i, c in enumerate(_cuts(spark, sf_dir))], "j int, w0 long")
+
+
+def _sampled(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The regular sample itself, by groups of a column."""
     keys = line_keys(spark, sf_dir).withColumn("g", F.pmod("w0", F.lit(8)).cast("int"))
-    samples = dedup.regular_sample_by(keys, "g", SAMPLES).withColumn("pid", F.col("g"))
-    cuts = dedup.splitters(staged(samples, "samples"), PARTS)
-    return spark.createDataFrame([(i + 1, int(c[0])) for i, c in enumerate(cuts)], "j int, w0 long")
+    return dedup.regular_sample_by(keys, "g", SAMPLES).select("g", "w0", F.round("weight", 9).alias("weight"))
 
 
 def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:
-    keys = staged(line_keys(spark, sf_dir), "keys")
-    samples = dedup.regular_sample_by(keys.withColumn("g", F.pmod("w0", F.lit(8)).cast("int")), "g", SAMPLES).withColumn("pid", F.col("g"))
-    routed = dedup.route(keys, dedup.splitters(staged(samples, "samples"), PARTS), "join")
+    routed = dedup.route(line_keys(spark, sf_dir), _cuts(spark, sf_dir))
     counts = routed.groupBy("part").agg(F.count("*").alias("n"))
     return metrics.balance(counts, "n").select(*[F.round(c, 6).alias(c) for c in ("max", "min", "mean", "std", "ratio", "cv")])
 
 
+def _two_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sampled ranges on the moves of the 64-orbital set, of which few repeat; keys of two words, summed up by the lower word's remainder."""
+    keys = _moves(spark, sf_dir, "emb64")
+    unique = dedup.range_sampled(keys, PARTS)
+    return unique.groupBy(F.pmod("w0", F.lit(97)).cast("int").alias("g")).agg(F.count("*").alias("unique"), F.sum(F.pmod("w0", F.lit(1_000_003))).alias("low"), F.sum("w1").alias("high"))
+
+
+def _reference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lowest fillings of the problems of one and of two words."""
+    frames = [space.reference(spark, ProblemSpec(m, n)).select(F.lit(m).alias("m"), F.lit(n).alias("n"), "w0") for m, n in ((12, 4), (25, 3), (26, 6), (84, 6))]
+    return reduce(DataFrame.unionByName, frames)
+
+
+def _footprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    t, _ = _problem(spark, sf_dir)
+    return excite.footprint(t, spark).select("bytes", "pair_bytes")
+
+
+def _kinds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each kind of move generated on its own."""
+    t, sources = _problem(spark, sf_dir)
+    parts = [generate.by_join(sources, t, kinds=(k,)).select("sw0", "w0", "h", F.lit(k).alias("kind")) for k in (0, 1, 2)]
+    return reduce(DataFrame.unionByName, parts)
+
+
 def _reverse(spark: SparkSession, sf_dir: str) -> DataFrame:
     t, sources = _problem(spark, sf_dir)
     edges = staged(generate.by_join(sources, t), "edges")
@@ -170,7 +208,7 @@ def _grown(spark: SparkSession, sf_dir: str) -> DataFrame:
     return space.grow(base, topk.two_level(fresh, 50), t.spec, 1)
 
 
-def _local(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _local_energy(spark: SparkSession, sf_dir: str) -> DataFrame:
     t, sources = _problem(spark, sf_dir)
     edges = staged(generate.by_join(sources, t), "edges")
     amps = _amps(dedup.range_native(edges.select("w0"), PARTS))
@@ -284,7 +322,7 @@ def _allpairs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def iteration(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One whole iteration on the order baskets: moves, range-wise duplicate removal, amplitudes, top-K, and weight."""
+    """One iteration on the order baskets without a Hamiltonian: moves, range-wise duplicate removal, amplitudes, top-K and growth."""
     spec, sources = configuration_set(spark, sf_dir, "ord3")
     unique = dedup.range_native(generate.moves(sources, spec), PARTS)
     scored = unique.select("w0", F.abs(closed_form([F.col("w0")])).alias("score"))
@@ -298,7 +336,7 @@ QUERIES = {
     "excitation_single": _single, "excitation_double": _double, "excitation_padded": _padded,
     "couple_virtual": _edges(generate.virtual), "couple_join": _edges(generate.by_join), "couple_batch": _edges(generate.by_batch), "couple_rowwise": _edges(baseline.generate_rowwise),
     "couple_allpairs": _allpairs, "couple_screened": _screened, "couple_screened_scaled": _screened_scaled, "couple_screened_budget": _screened_budget,
-    "dedup_local": _distinct(lambda f: dedup.local(f).distinct()),
+    "dedup_local": _distinct(_local), "dedup_sample": _sampled, "dedup_two_words": _two_words,
     "dedup_range_sampled": _distinct(lambda f: dedup.range_sampled(f, PARTS)), "dedup_range_window": _distinct(lambda f: dedup.range_sampled(f, PARTS, levels=2, compact_how="window")),
     "dedup_range_rebalanced": _distinct(lambda f: dedup.range_sampled(f, PARTS, rebalance="unique")), "dedup_range_native": _distinct(lambda f: dedup.range_native(f, PARTS)),
     "dedup_hash": _distinct(baseline.dedup_hash), "dedup_salted": _distinct(lambda f: baseline.dedup_salted(f, PARTS)), "dedup_central": _distinct(lambda f: baseline.dedup_central(f, PARTS)),
@@ -306,10 +344,11 @@ QUERIES = {
     "reverse_index": _reverse, "remap_jit": _jit,
     "amplitude_closed_form": _closed, "amplitude_rbm": _rbm, "amplitude_rbm_batched": _rbm_batched, "transformer_infer": _transformer,
     "topk_exact": lambda s, d: topk.exact(_scored(s, d), 50), "topk_two_level": lambda s, d: topk.two_level(_scored(s, d), 50, batch=64), "topk_running": _running, "topk_large": lambda s, d: topk.large(_scored(s, d), 50, parts=8),
-    "space_grow": _grown, "local_energy": _local, "global_energy": _total("mixed"), "variational_energy": _total("variational"), "exact_power_step": _matvec,
+    "space_grow": _grown, "local_energy": _local_energy, "global_energy": _total("mixed"), "variational_energy": _total("variational"), "exact_power_step": _matvec,
     "redundancy_curve": _curve, "redundancy": _redundancy, "edge_bound": _bound, "trajectory_diff": _diff, "stage_share": _share, "stage_speedup": _speedup, "scaling_efficiency": _efficiency, "first_below": _converged,
     "stream_topk": _stream_topk, "stream_dedup": _stream_dedup, "window_day": _windows(), "window_sliding": _windows(slide="6 hours"), "window_session": _windows(gap="6 hours"),
-    "iteration": iteration, "sampling_energy": workloads.sampling_energy, "loop_run": workloads.loop_history,
+    "iteration": iteration, "sampling_energy": workloads.sampling_energy, "loop_run": workloads.loop_history, "loop_growth": workloads.loop_growth, "couple_kinds": _kinds, "space_reference": _reference, "footprint_table": _footprint,
+    "stage_measures": workloads.stage_measures, "convergence": workloads.convergence, "w7_load": workloads.weak_load, "w9_counts": workloads.memory_counts,
     "w1_accuracy": workloads.accuracy_small, "w2_trajectory": workloads.trajectory_pair, "w3_medium": workloads.medium, "w4_breakdown": workloads.breakdown,
     "w5_dedup_matrix": workloads.dedup_matrix, "w5_dedup_skewed": workloads.dedup_skewed, "w6_strong": workloads.strong_scaling, "w7_weak": workloads.weak_scaling, "w8_growth": workloads.redundancy_growth,
     "w9_memory": workloads.memory, "w10_footprint": workloads.table_footprint, "exact_values": lambda spark, sf_dir: workloads.exact_values(spark),

@@ -65,6 +65,21 @@ class Tabular(Model):
         return {"log": np.bincount(at[ok], u[ok], n), "phase": np.bincount(at[ok], v[ok], n)}
 
 
+@dataclass
+class ClosedForm(Model):
+    """The whole-number amplitude of ``closed_form`` as a model without anything to learn: what the loop does with it can be checked exactly."""
+
+    params: Params = field(default_factory=lambda: {"none": np.zeros(1)})
+
+    def forward(self, x):
+        value = bits.from_bits(x)[:, 0] * 7919 % 1009 - 504
+        with np.errstate(divide="ignore"):
+            return np.log(np.abs(value).astype(float)), np.where(value < 0, np.pi, 0.0)
+
+    def backward(self, x, u, v):
+        return {"none": np.zeros(1)}
+
+
 @dataclass
 class Rbm(Model):
     """Restricted Boltzmann form over signs s = 2 x - 1: log|psi| = a.s + sum log 2 cosh(b + W s), phase = c.s."""

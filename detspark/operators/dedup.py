@@ -80,24 +80,45 @@ def local(frame: DataFrame, rows: int = 1 << 20) -> DataFrame:
     return keys.mapInArrow(run, keys.schema)
 
 
-def regular_sample(frame: DataFrame, s: int) -> DataFrame:
-    """From each task's sorted keys those at places ``floor(k D / s)``, k = 0..s-1 (all if D < s): ``words, pid, weight``, weight = keys that a sample stands for."""
+def sorted_runs(frame: DataFrame, distinct: bool = False) -> DataFrame:
+    """Keys written in key order within each task, so that every file is a sorted run; sampling and routing read them back.
+
+    ``distinct``: a task's copies of a key, which then lie side by side, are removed on the way, whatever their number.
+    """
     names = key_names(frame)
-    keys = frame.select(*names)
-    schema = T.StructType([*keys.schema.fields, T.StructField("weight", T.DoubleType())])
+    laid = frame.select(*names).sortWithinPartitions(*names[::-1])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [_matrix(b) for b in batches if b.num_rows]
-        if not held:
-            return
-        words = np.concatenate(held)
-        words = words[np.lexsort(words.T)]
-        d = len(words)
-        at = np.arange(d) if d < s else np.arange(s) * d // s
-        weight = np.full(len(at), d / len(at))
-        yield pa.RecordBatch.from_arrays([*_batch(words[at], names).columns, pa.array(weight)], schema.names)
+        last = None
+        for batch in batches:
+            rows = _matrix(batch)
+            if len(rows):
+                keep = np.concatenate([[last is None or (rows[0] != last).any()], (rows[1:] != rows[:-1]).any(1)])
+                last = rows[-1]
+                yield _batch(rows[keep], names)
+
+    return staged(laid.mapInArrow(run, laid.schema) if distinct else laid, "runs")
+
+
+def sample_runs(runs: DataFrame, s: int) -> DataFrame:
+    """From each sorted run of D keys those at places ``floor(k D / s)``, k = 0..s-1 (all if D < s): ``words, weight, pid``.
+
+    ``weight``: keys that a sample stands for; ``pid`` names the run.  A key's place is its row number in the file, so nothing
+    is sorted or held again, and the sample is the same however the files are split for reading.  All of it runs in the JVM.
+    """
+    names = key_names(runs)
+    rows = runs.select(*names, F.xxhash64("_metadata.file_path").alias("_f"), F.col("_metadata.row_index").alias("_r"))
+    sizes = rows.groupBy("_f").agg(F.count("*").alias("_d"))
+    k = F.ceil(F.col("_r") * s / F.col("_d"))  # the first k whose place is not before this row
+    chosen = (F.col("_d") < s) | ((k < s) & (F.floor(k * F.col("_d") / s) == F.col("_r")))
+    weight = F.col("_d") / F.least(F.col("_d"), F.lit(s))
+    # a row for each task that wrote a run
+    return rows.join(F.broadcast(sizes), "_f").where(chosen).select(*names, weight.alias("weight"), F.pmod("_f", F.lit(1 << 30)).cast("int").alias("pid"))
+
 
-    return keys.mapInArrow(run, schema).withColumn("pid", F.spark_partition_id())
+def regular_sample(frame: DataFrame, s: int) -> DataFrame:
+    """``sample_runs`` of the sorted runs of each task of ``frame``."""
+    return sample_runs(sorted_runs(frame), s)
 
 
 def _cut(words: np.ndarray, weight: np.ndarray, parts: int) -> np.ndarray:
@@ -161,17 +182,41 @@ def place(words: np.ndarray, cuts: np.ndarray) -> np.ndarray:
     return low
 
 
-def route(frame: DataFrame, cuts: np.ndarray, how: str = "search") -> DataFrame:
+#: most ranges that are searched by an expression; more are searched in batches
+TREE = 256
+
+
+def _below(names: list[str], cut: np.ndarray) -> Column:
+    """Is the key less than the cut?  Highest word first."""
+    out = F.lit(False)
+    for k, name in enumerate(names):
+        c = F.lit(int(cut[k]))
+        out = (F.col(name) < c) | ((F.col(name) == c) & out) if k else F.col(name) < c
+    return out
+
+
+def _tree(names: list[str], cuts: np.ndarray, low: int, high: int) -> Column:
+    """The number of cuts, between ``low`` and ``high``, that are <= the key, as nested conditions: binary search in generated code."""
+    if low == high:
+        return F.lit(low)
+    mid = (low + high) // 2
+    return F.when(_below(names, cuts[mid]), _tree(names, cuts, low, mid)).otherwise(_tree(names, cuts, mid + 1, high))
+
+
+def route(frame: DataFrame, cuts: np.ndarray, how: str = "tree") -> DataFrame:
     """``frame`` with ``part``, the range its key falls into; other columns stay.
 
-    ``search``: binary search in batches.  ``join``: the ranges as a broadcast table and a range join, in the JVM.
-    ``asof``: splitters and keys in one order, each key takes the latest splitter (one sorted exchange; for comparison).
+    ``tree``: binary search as an expression, in the JVM, for up to ``TREE`` ranges.  ``search``: binary search in batches.  ``join``: the ranges as a
+    broadcast table and a range join, in the JVM.  ``asof``: splitters and keys in one order, each key takes the latest
+    splitter (one sorted exchange into one task: a check for small tables).
     """
     names = key_names(frame)
     if not len(cuts):
         return frame.withColumn("part", F.lit(0))
     spark = frame.sparkSession
-    if how == "search":
+    if how == "tree" and len(cuts) < TREE:
+        return frame.withColumn("part", _tree(names, cuts, 0, len(cuts)))
+    if how in ("tree", "search"):
         held = spark.sparkContext.broadcast(cuts)
         schema = T.StructType([*frame.schema.fields, T.StructField("part", T.IntegerType())])
 
@@ -260,16 +305,24 @@ def boundary_duplicates(unique: DataFrame) -> int:
     return sum(a["last"] == b["first"] for a, b in zip(edge, edge[1:], strict=False))
 
 
+def range_laid(frame: DataFrame, parts: int, s: int | None = None, compact_how: str = "adjacent", levels: int = 1, local_first: bool = True) -> tuple[DataFrame, np.ndarray]:
+    """``(words, part)`` of the distinct keys, part = key range, and the cuts, by which other tables can be laid out the same way.
+
+    Keys are sorted once, into runs that both the sampling and the exchange read.
+    """
+    keys = require(frame, key_names(frame)).select(*key_names(frame))
+    runs = sorted_runs(keys, distinct=local_first)
+    cuts = splitters(sample_runs(runs, s or min(8 * parts, SAMPLES)), parts, levels)
+    return compact(exchange(route(runs, cuts), parts), compact_how), cuts
+
+
 def range_sampled(frame: DataFrame, parts: int, s: int | None = None, compact_how: str = "adjacent", levels: int = 1, local_first: bool = True, rebalance: str | None = None) -> DataFrame:
-    """``(words, part)`` of the distinct keys, part = key range; the input is staged, as sampling and routing both read it.
+    """The distinct keys of ``range_laid``.
 
     ``rebalance='unique'`` chooses the ranges by the distinct keys of the parts and not by the rows exchanged: the compacted
     set is cut anew at exact ranks.
     """
-    keys = require(frame, key_names(frame)).select(*key_names(frame))
-    base = staged(local(keys) if local_first else keys, "keys")
-    cuts = splitters(regular_sample(base, s or min(8 * parts, SAMPLES)), parts, levels)
-    unique = compact(exchange(route(base, cuts), parts), compact_how)
+    unique, _ = range_laid(frame, parts, s, compact_how, levels, local_first)
     return rebalanced(staged(unique, "unique"), parts) if rebalance == "unique" else unique
 
 
@@ -309,9 +362,9 @@ def report(frame: DataFrame, parts: int, s: int | None = None, levels: int = 1)
     s = s or min(8 * parts, SAMPLES)
     keys = staged(frame.select(*names), "keys")
     generated = keys.count()
-    base = staged(local(keys), "keys")
+    base = sorted_runs(keys, distinct=True)
     rows = base.count()
-    samples = staged(regular_sample(base, s), "samples")
+    samples = staged(sample_runs(base, s), "samples")
     cuts = splitters(samples, parts, levels)
     routed = staged(route(base, cuts), "routed")
     sent = routed.groupBy("part").agg(F.count("*").alias("exchanged"))

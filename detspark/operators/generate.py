@@ -67,6 +67,15 @@ def dropped_weight(before: DataFrame, after: DataFrame) -> DataFrame:
     return total(before).withColumnRenamed("w", "a").join(total(after)).select((F.col("a") - F.col("w")).alias("dropped"))
 
 
+#: largest excitation table, in bytes, that is sent to every task; larger ones are joined by a shuffle
+BROADCAST = 64 << 20
+
+
+def _sent(frame: DataFrame, rows: int, width: int) -> DataFrame:
+    """``frame`` marked for broadcast if ``rows`` rows of about ``width`` bytes are small enough, else for a merge join."""
+    return F.broadcast(frame) if rows * width <= BROADCAST else frame.hint("merge")
+
+
 def _words(spec: ProblemSpec) -> list[Column]:
     return [F.col(w) for w in spec.names]
 
@@ -99,7 +108,11 @@ def diagonal(space: DataFrame, t: Tables) -> DataFrame:
 
 
 def by_join(space: DataFrame, t: Tables, kinds: tuple[int, ...] = (0, 1, 2), eps: float = 0.0) -> DataFrame:
-    """Occupied orbitals and pairs, joined with the sparse tables.  The tables are broadcast: their size depends on the orbitals only."""
+    """Occupied orbitals and pairs, joined with the sparse tables.
+
+    The tables depend on the orbitals and not on the data, but grow with their fourth power: up to ``BROADCAST`` bytes they
+    are broadcast, beyond that pairs and moves meet in a shuffle by orbital pair.
+    """
     spec, spark = t.spec, space.sparkSession
     base = require(space, spec.names).select(*spec.names)
     occ = bits.occupied(_words(spec), spec.m)
@@ -108,12 +121,12 @@ def by_join(space: DataFrame, t: Tables, kinds: tuple[int, ...] = (0, 1, 2), eps
     if 0 in kinds:
         parts.append(diagonal(base, t))
     if 1 in kinds:
-        ones = base.withColumn("occ", occ).withColumn("p", F.explode("occ")).join(F.broadcast(t.single_frame(spark)), "p")
+        ones = base.withColumn("occ", occ).withColumn("p", F.explode("occ")).join(_sent(t.single_frame(spark), len(t.single["h"]), 32 + 8 * spec.m + 16 * spec.words), "p")
         ones = ones.where(bits.overlap(_words(spec), flips) == 1).withColumn("_v", _context(F.col("h"), F.col("ctx"), F.col("occ"), t.value_type))
         parts.append(ones.where(F.abs("_v") > eps).select(*_named(spec, bits.flip(_words(spec), flips), _signed(spec, F.col("_v")), 1)))
     if 2 in kinds:
         pairs = F.flatten(F.transform(occ, lambda p: F.transform(F.filter(occ, lambda q: q > p), lambda q: F.struct(p.alias("p"), q.alias("q")))))
-        twos = base.withColumn("_pq", F.explode(pairs)).select(*spec.names, "_pq.p", "_pq.q").join(F.broadcast(t.double_frame(spark)), ["p", "q"])
+        twos = base.withColumn("_pq", F.explode(pairs)).select(*spec.names, "_pq.p", "_pq.q").join(_sent(t.double_frame(spark), len(t.double["h"]), 48 + 16 * spec.words), ["p", "q"])
         twos = twos.where((bits.overlap(_words(spec), flips) == 2) & (F.abs("h") > eps))
         parts.append(twos.select(*_named(spec, bits.flip(_words(spec), flips), _signed(spec, F.col("h"), F.col("sgn0")), 2)))
     return reduce(DataFrame.unionByName, parts)
@@ -130,7 +143,7 @@ def virtual(space: DataFrame, t: Tables, eps: float = 0.0) -> DataFrame:
     parts = [diagonal(space, t)]
     if n and max1:
         v = base.withColumn("v", F.explode(F.sequence(F.lit(0), F.lit(n * max1 - 1)))).withColumn("p", F.get("occ", F.expr(f"int(v div {max1})")))
-        hit = v.join(F.broadcast(one), "p").withColumn("e", F.get("targets", F.col("v") % max1)).where("e.a is not null").select(*spec.names, "occ", "e.*")
+        hit = v.join(_sent(one, spec.m * max1, 32 + 8 * spec.m + 16 * spec.words), "p").withColumn("e", F.get("targets", F.col("v") % max1)).where("e.a is not null").select(*spec.names, "occ", "e.*")
         flips = [F.col(f"flip_{w}") for w in spec.names]
         hit = hit.where(bits.overlap(_words(spec), flips) == 1).withColumn("_v", _context(F.col("h"), F.col("ctx"), F.col("occ"), t.value_type))
         parts.append(hit.where(F.abs("_v") > eps).select(*_named(spec, bits.flip(_words(spec), flips), _signed(spec, F.col("_v")), 1)))
@@ -139,7 +152,7 @@ def virtual(space: DataFrame, t: Tables, eps: float = 0.0) -> DataFrame:
         total = n * (n - 1) // 2 * max2
         v = base.withColumn("v", F.explode(F.sequence(F.lit(0), F.lit(total - 1)))).withColumn("_rs", F.get(ranks, F.expr(f"int(v div {max2})")))
         v = v.select(*spec.names, (F.col("v") % max2).alias("slot"), F.get("occ", F.col("_rs.r")).alias("p"), F.get("occ", F.col("_rs.s")).alias("q"))
-        hit = v.join(F.broadcast(two), ["p", "q"]).withColumn("e", F.get("targets", "slot")).where("e.a is not null").select(*spec.names, "e.*")
+        hit = v.join(_sent(two, spec.m * (spec.m - 1) // 2 * max2, 48 + 16 * spec.words), ["p", "q"]).withColumn("e", F.get("targets", "slot")).where("e.a is not null").select(*spec.names, "e.*")
         flips = [F.col(f"flip_{w}") for w in spec.names]
         hit = hit.where((bits.overlap(_words(spec), flips) == 2) & (F.abs("h") > eps))
         parts.append(hit.select(*_named(spec, bits.flip(_words(spec), flips), _signed(spec, F.col("h"), F.col("sgn0")), 2)))

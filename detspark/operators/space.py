@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from detspark.functions import bits
 from detspark.functions.schema import ProblemSpec, require, space_schema
+from detspark.operators.topk import first_rows
 
 
 def unrank(index: np.ndarray, m: int, n: int) -> np.ndarray:
@@ -62,6 +63,10 @@ def checked(frame: DataFrame, spec: ProblemSpec) -> DataFrame:
     return frame.where(F.when(count == spec.n, F.lit(True)).otherwise(F.raise_error(F.lit("configuration with a wrong number of ones")).cast("boolean")))
 
 
+#: more rows than this are cut to size by ranges and not in one task
+ONE_TASK = 1_000_000
+
+
 def grow(space: DataFrame, top: DataFrame, spec: ProblemSpec, iteration: int = 0, replace: bool = False, max_size: int | None = None) -> DataFrame:
     """``space`` (words, iter_added, score) with the configurations of ``top`` (words, score) that it lacks.
 
@@ -74,4 +79,6 @@ def grow(space: DataFrame, top: DataFrame, spec: ProblemSpec, iteration: int = 0
     if max_size is None:
         return both
     first = F.lit(0) if replace else F.when(F.col("iter_added") == iteration, 1).otherwise(0)
-    return both.withColumn("_f", first).orderBy("_f", F.desc_nulls_last("score"), *spec.order).limit(max_size).drop("_f")
+    marked, order = both.withColumn("_f", first), [F.col("_f"), F.desc_nulls_last("score"), *[F.col(w) for w in spec.order]]
+    cut = marked.orderBy(*order).limit(max_size) if max_size <= ONE_TASK else first_rows(marked, order, max_size, -(-max_size // ONE_TASK) * 4)
+    return cut.drop("_f")

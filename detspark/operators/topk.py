@@ -59,20 +59,23 @@ def running(batches: Iterable[DataFrame], k: int, score: str = "score", prune: b
     return best
 
 
-def large(amps: DataFrame, k: int, score: str = "score", parts: int = 64) -> DataFrame:
-    """For a K that fits no single task: score ranges are taken whole from the top, the last one is cut exactly."""
+def first_rows(frame: DataFrame, order: list[Column], k: int, parts: int = 64) -> DataFrame:
+    """The first ``k`` rows in an order, for a k that no single task can hold: ranges are taken whole, the last one is cut exactly."""
     from detspark.plans.scratch import staged
 
-    names = key_names(amps)
-    ranged = staged(amps.select(*names, score).repartitionByRange(parts, *_order(amps, score)).withColumn("_p", F.spark_partition_id()), "ranges")
+    ranged = staged(frame.repartitionByRange(parts, *order).withColumn("_p", F.spark_partition_id()), "ranges")
     counts = sorted((r["_p"], r["count"]) for r in ranged.groupBy("_p").count().collect())
-    taken, last = 0, None
-    whole = []
+    taken, last, whole = 0, None, []
     for p, n in counts:
         if taken + n > k:
             last = p
             break
         whole.append(p)
         taken += n
-    out = ranged.where(F.col("_p").isin(whole)).select(*names, score)
-    return out if last is None else out.unionByName(exact(ranged.where(F.col("_p") == last), k - taken, score))
+    out = ranged.where(F.col("_p").isin(whole)).drop("_p")
+    return out if last is None else out.unionByName(ranged.where(F.col("_p") == last).drop("_p").orderBy(*order).limit(k - taken))
+
+
+def large(amps: DataFrame, k: int, score: str = "score", parts: int = 64) -> DataFrame:
+    """For a K that fits no single task: score ranges are taken whole from the top, the last one is cut exactly."""
+    return first_rows(amps.select(*key_names(amps), score), _order(amps, score), k, parts)

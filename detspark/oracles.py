@@ -139,6 +139,35 @@ _SPEED = f"""WITH b AS (SELECT * FROM {_values(_BEFORE, 'stage, s')}), a AS (SEL
 SELECT b.stage, round(b.s / a.s, 6) AS speedup FROM b JOIN a USING (stage) UNION ALL SELECT 'all', round((SELECT sum(s) FROM b) / (SELECT sum(s) FROM a), 6)"""
 _FULL = f"WITH {_edges(f'SELECT w AS w0 FROM ({_space(M, N)})')}"
 
+_EMB20 = _moved("emb20", 20, 5, _emb(20, 5))
+
+
+def _moved64() -> str:
+    """CTEs ``so`` and ``un(w0, w1)``: the 64-orbital set and its distinct targets, from occupied and empty orbitals."""
+    mask = lambda x: f"CASE WHEN {x} < 63 THEN 1::BIGINT << {x}::INTEGER ELSE 0 END AS a, CASE WHEN {x} >= 63 THEN 1::BIGINT << ({x} - 63)::INTEGER ELSE 0 END AS b"
+    return f"""WITH so AS MATERIALIZED ({_emb(64, 6, 2)}), og AS (SELECT range::INTEGER AS o, {mask('range')} FROM range(0, 64)),
+oc AS MATERIALIZED (SELECT s.w0 AS i0, s.w1 AS i1, o, a, b FROM so s, og WHERE (s.w0 & a) + (s.w1 & b) > 0),
+em AS MATERIALIZED (SELECT s.w0 AS i0, s.w1 AS i1, o, a, b FROM so s, og WHERE (s.w0 & a) + (s.w1 & b) = 0),
+o2 AS (SELECT x.i0, x.i1, x.a + y.a AS a, x.b + y.b AS b FROM oc x JOIN oc y ON x.i0 = y.i0 AND x.i1 = y.i1 AND x.o < y.o),
+e2 AS (SELECT x.i0, x.i1, x.a + y.a AS a, x.b + y.b AS b FROM em x JOIN em y ON x.i0 = y.i0 AND x.i1 = y.i1 AND x.o < y.o),
+un AS MATERIALIZED (SELECT xor(xor(x.i0, x.a), y.a) AS w0, xor(xor(x.i1, x.b), y.b) AS w1 FROM oc x JOIN em y ON x.i0 = y.i0 AND x.i1 = y.i1
+   UNION SELECT xor(xor(x.i0, x.a), y.a), xor(xor(x.i1, x.b), y.b) FROM o2 x JOIN e2 y ON x.i0 = y.i0 AND x.i1 = y.i1)"""
+
+
+def _loop(iterations: int = 3, k: int = 50) -> str:
+    """The outer loop unrolled: spaces s0, s1, ..., each grown by the largest amplitudes that it is coupled with."""
+    steps, rows = [f"s0 AS MATERIALIZED (SELECT {(1 << N) - 1}::BIGINT AS w0)"], []
+    for i in range(iterations):
+        steps.append(f"u{i} AS MATERIALIZED (SELECT DISTINCT w0 FROM ed WHERE sw0 IN (SELECT w0 FROM s{i}))")
+        steps.append(f"s{i + 1} AS MATERIALIZED (SELECT w0 FROM s{i} UNION ALL SELECT w0 FROM (SELECT w0 FROM u{i} WHERE w0 NOT IN (SELECT w0 FROM s{i}) ORDER BY abs({_PSI.format('w0')}) DESC, w0 LIMIT {k}))")
+        inside = f"FROM ed WHERE sw0 IN (SELECT w0 FROM s{i})"
+        rows.append(
+            f"SELECT {i}::INTEGER AS iter, (SELECT count(*) FROM s{i})::BIGINT AS n_space, (SELECT count(*) {inside})::BIGINT AS n_generated, (SELECT count(*) FROM u{i})::BIGINT AS n_unique, "
+            f"round(((SELECT sum({_PSI.format('sw0')} * h * {_PSI.format('w0')}) {inside} AND w0 IN (SELECT w0 FROM s{i})) / (SELECT sum({_PSI.format('w0')} * {_PSI.format('w0')}) FROM s{i}))::DOUBLE, 6) AS energy"
+        )
+    return f"{_FULL}, {', '.join(steps)} {' UNION ALL '.join(rows)}"
+
+
 ORACLES = {
     "config_pack_emb": _emb(20, 5), "config_pack_emb64": _emb(64, 6, 2), "config_pack_orders": _ord(3), "config_pack_orders4": _ord(4), "config_pack_events": _hours(_DAYS), "config_pack_docs": _DOCS,
     "space_enumerate": f"SELECT w AS w0 FROM ({_space(M, N)})",
@@ -153,7 +182,20 @@ ORACLES = {
     "couple_allpairs": f"WITH src AS ({_EMB12}), fl AS ({_space(M, N)}) SELECT s.w0 AS sw0, fl.w AS w0, (bit_count(xor(s.w0, fl.w)) // 2)::INTEGER AS kind FROM src s, fl WHERE bit_count(xor(s.w0, fl.w)) <= 4",
     "couple_screened": f"{_WITH} SELECT sw0, w0, h, kind::INTEGER AS kind FROM ed WHERE kind = 0 OR abs(h) > 10",
     "couple_screened_scaled": f"{_WITH} SELECT sw0, w0, h, kind::INTEGER AS kind FROM ed WHERE kind = 0 OR abs(h) * abs({_PSI.format('sw0')}) > 2000",
-    **{f"dedup_{k}": _DISTINCT for k in ("local", "range_sampled", "range_window", "range_rebalanced", "range_native", "hash", "salted", "central")},
+    **{f"dedup_{k}": f"SELECT DISTINCT w0 FROM ({_KEYS})" for k in ("local", "range_sampled", "range_window", "range_rebalanced", "range_native", "hash", "salted", "central")},
+    "dedup_sample": f"{_SPLIT} SELECT g::INTEGER AS g, w0, round(d / least(d, {SAMPLES}), 9) AS weight FROM rk JOIN pl USING (g, d, r)",
+    "dedup_two_words": f"{_moved64()} SELECT (w0 % 97)::INTEGER AS g, count(*)::BIGINT AS \"unique\", sum(w0 % 1000003)::BIGINT AS low, sum(w1)::BIGINT AS high FROM un GROUP BY g",
+    "w3_medium": f"{_moved64()} SELECT (SELECT count(*) FROM so)::BIGINT AS sources, (SELECT count(*) FROM so)::BIGINT * 25143 AS generated, count(*)::BIGINT AS \"unique\", 1 - count(*) / ((SELECT count(*) FROM so) * 25143.0::DOUBLE) AS rate FROM un",
+    "couple_kinds": _EDGES, "loop_growth": _loop(),
+    "space_reference": "SELECT m::INTEGER AS m, n::INTEGER AS n, ((1::BIGINT << n::INTEGER) - 1)::BIGINT AS w0 FROM (VALUES (12, 4), (25, 3), (26, 6), (84, 6)) t(m, n)",
+    "footprint_table": f"""WITH {_HAM}, s AS (SELECT h1.p, count(*) AS c FROM h1 JOIN (SELECT p, a, sum(abs(v)) AS t FROM ctx GROUP BY p, a) x ON x.p = h1.p AND x.a = h1.q WHERE h1.p <> h1.q AND (h1.v <> 0 OR t > 0) GROUP BY h1.p),
+      d AS (SELECT p, q, count(*) AS c FROM v WHERE p < q AND a < b AND p NOT IN (a, b) AND q NOT IN (a, b) AND v <> 0 GROUP BY p, q)
+      SELECT ((12 * (SELECT max(c) FROM s) + 66 * (SELECT max(c) FROM d)) * 12)::BIGINT AS bytes, (6 * (SELECT max(c) FROM d) * 12)::BIGINT AS pair_bytes""",
+    "w7_load": " UNION ALL ".join(f"SELECT {p}::INTEGER AS p, count(*)::BIGINT AS generated, count(DISTINCT j)::BIGINT AS \"unique\" FROM ({_EMB20} SELECT i, j FROM mv) WHERE i * 7919 % 1009 % 64 < {p}" for p in (2, 4, 8, 16, 32, 64)),
+    "w8_growth": f"""{_moved('doc6', 26, 6, _DOCS)}, b AS MATERIALIZED (SELECT j, (i * 7919 % 1009 % 16)::INTEGER AS block FROM mv), f AS (SELECT j, min(block) AS block FROM b GROUP BY j)
+      SELECT block, (sum(g) OVER (ORDER BY block))::BIGINT AS generated, (sum(coalesce(u, 0)) OVER (ORDER BY block))::BIGINT AS "unique"
+      FROM (SELECT block, count(*) AS g FROM b GROUP BY block) LEFT JOIN (SELECT block, count(*) AS u FROM f GROUP BY block) USING (block)""",
+    "w9_counts": " UNION ALL ".join(f"SELECT '{name}' AS source, (SELECT count(*) FROM ({src}))::BIGINT AS sources, count(*)::BIGINT AS generated, count(DISTINCT j)::BIGINT AS \"unique\" FROM ({mv} SELECT i, j FROM mv)" for name, src, mv in (("emb20", _emb(20, 5), _EMB20), ("evt3", _hours(_DAYS), _moved("evt3", 24, 3, _hours(_DAYS))))),
     "dedup_splitters": f"{_SPLIT} SELECT j::INTEGER AS j, w0 FROM sp", "dedup_balance": _BALANCE,
     "reverse_index": f"{_WITH} SELECT w0, count(*)::BIGINT AS sources, min(sw0) AS first, max(sw0) AS last FROM ed GROUP BY w0",
     "remap_jit": f"{_WITH} SELECT sw0, sum(h * {_PSI.format('w0')})::BIGINT AS num FROM ed GROUP BY sw0",

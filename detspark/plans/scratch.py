@@ -10,11 +10,16 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder named by ``spark.checkpoint.dir``; a temporary one only where the session names none (tests)."""
+    """Folder named by ``spark.checkpoint.dir``.
+
+    Where the session names none, a folder in the warehouse, which all executors share; a temporary one only in local mode
+    (tests), where driver and executors are one process.
+    """
     context = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not named:
-        context.setCheckpointDir(tempfile.mkdtemp(prefix="detspark-"))
+        own = tempfile.mkdtemp(prefix="detspark-") if context.master.startswith("local") else f"{spark.conf.get('spark.sql.warehouse.dir')}/detspark-scratch"
+        context.setCheckpointDir(own)
         named = context.getCheckpointDir()
     return named.rstrip("/")
 
@@ -38,6 +43,14 @@ def discard(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
+def children(spark: SparkSession, path: str) -> list[str]:
+    """Names in a folder of any file system; none if it is not there."""
+    jvm = spark.sparkContext._jvm
+    target = jvm.org.apache.hadoop.fs.Path(path)
+    system = target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    return sorted(s.getPath().getName() for s in system.listStatus(target)) if system.exists(target) else []
+
+
 def release(spark: SparkSession) -> None:
     """Let the context cleaner drop the shuffle files of finished jobs now, not when the driver next collects garbage."""
     gc.collect()

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -15,12 +16,17 @@ from detspark.operators import baseline, dedup, energy, generate, infer, remap,
 from detspark.operators.dedup import key_names
 from detspark.operators.excite import Tables
 from detspark.operators.metrics import StageTimer
-from detspark.plans.scratch import staged
+from detspark.plans.scratch import Workspace
 
 
 @dataclass(frozen=True)
 class StageConfig:
-    """Strategies of one iteration.  ``regenerate``: edges are generated anew in the last stage instead of being stored."""
+    """Strategies of one iteration.
+
+    ``regenerate``: edges are generated anew in the last stage instead of being stored.  ``sources``: sources in a batch of
+    generation and of the last stage (all at once if None), cut by key ranges.  ``slices``: batches of key ranges in which the unique
+    keys go through the model.  ``inflight``: batches under way at a time, so that one is read or written while another computes.
+    """
 
     parts: int = 8
     batch: int = 4096
@@ -31,6 +37,9 @@ class StageConfig:
     regenerate: bool = False
     rebalance: str | None = None
     samples: int | None = None
+    sources: int | None = None
+    slices: int = 1
+    inflight: int = 2
 
 
 #: the staged engine and the hybrid baseline: same algorithm, host generation and central duplicate removal
@@ -47,47 +56,89 @@ def generated(space: DataFrame, t: Tables, cfg: StageConfig) -> DataFrame:
     return forms[cfg.generation]()
 
 
-def deduplicated(keys: DataFrame, cfg: StageConfig) -> DataFrame:
-    """Distinct keys by the strategy; all give the same set, with a ``part`` column."""
+def deduplicated(keys: DataFrame, cfg: StageConfig) -> tuple[DataFrame, np.ndarray | None]:
+    """Distinct keys by the strategy, with a ``part`` column; all give the same set.  Key ranges also give their cuts."""
+    if cfg.dedup == "range" and not cfg.rebalance:
+        return dedup.range_laid(keys, cfg.parts, cfg.samples)
     forms: dict[str, Callable[[], DataFrame]] = {
         "range": lambda: dedup.range_sampled(keys, cfg.parts, cfg.samples, rebalance=cfg.rebalance), "native": lambda: dedup.range_native(keys, cfg.parts),
         "hash": lambda: baseline.dedup_hash(keys), "salted": lambda: baseline.dedup_salted(keys, cfg.parts), "central": lambda: baseline.dedup_central(keys, cfg.parts),
     }
     out = forms[cfg.dedup]()
-    return out if "part" in out.columns else out.withColumn("part", F.spark_partition_id())
+    return (out if "part" in out.columns else out.withColumn("part", F.spark_partition_id())), None
 
 
 @dataclass
 class Stage1:
-    edges: DataFrame | None
+    """Batches of sources and of their edges (none if they are generated anew), the unique keys, and the cuts of their ranges if they have any."""
+
+    sources: list[DataFrame]
+    edges: list[DataFrame]
     unique: DataFrame
+    cuts: np.ndarray | None = None
+
+    @property
+    def all_edges(self) -> DataFrame | None:
+        return reduce(DataFrame.unionByName, self.edges) if self.edges else None
 
 
-def stage1(space: DataFrame, t: Tables, cfg: StageConfig, timer: StageTimer, iteration: int = 0) -> Stage1:
-    """Generation and global duplicate removal; ends with the first barrier (both results are files)."""
+def stage1(space: DataFrame, t: Tables, cfg: StageConfig, timer: StageTimer, iteration: int = 0, work: Workspace | None = None) -> Stage1:
+    """Generation, source batch by source batch, and global duplicate removal; ends with the first barrier (both results are files).
+
+    Edges go to files at once; duplicate removal reads nothing but their keys.
+    """
+    work = work or Workspace(space.sparkSession)
     with timer.stage(iteration, "generation"):
-        edges = staged(generated(space, t, cfg), "edges")
+        slices = list(batches(space.select(*t.spec.names), cfg.sources)) if cfg.sources else [space.select(*t.spec.names)]
+        pairs = overlap([lambda piece=piece: offload(generated(piece, t, cfg), t, work) for piece in slices], cfg.inflight)
     with timer.stage(iteration, "dedup"):
-        unique = staged(deduplicated(edges.select(*t.spec.names), cfg), "unique")
-    return Stage1(None if cfg.regenerate else edges, unique)
+        unique, cuts = deduplicated(reduce(DataFrame.unionByName, [keys for _, keys in pairs]), cfg)
+        unique = work.staged(unique, "unique")
+    if cfg.regenerate:
+        work.drop("edges")
+    return Stage1(slices, [] if cfg.regenerate else [edges for edges, _ in pairs], unique, cuts)
 
 
-def stage2(unique: DataFrame, model: Model, t: Tables, cfg: StageConfig, timer: StageTimer, space: DataFrame, iteration: int = 0) -> tuple[DataFrame, DataFrame]:
-    """Inference on unique keys and the top-K of those not in the space yet; ends with the second barrier."""
+def stage2(unique: DataFrame, model: Model, t: Tables, cfg: StageConfig, timer: StageTimer, space: DataFrame, iteration: int = 0, work: Workspace | None = None) -> tuple[DataFrame, DataFrame]:
+    """Inference on unique keys, slice by slice of their ranges, with the top-K of each slice of those not in the space yet; ends with the second barrier."""
+    work = work or Workspace(unique.sparkSession)
     names = t.spec.names
+
+    def infer_slice(i: int) -> tuple[DataFrame, DataFrame]:
+        mine = unique.where(F.col("part") % cfg.slices == i) if cfg.slices > 1 else unique
+        amps = work.staged(infer.run(mine, model, t.spec, cfg.batch), "amps")
+        fresh = amps.join(space.select(*names), names, "left_anti").withColumn("score", F.col("log_abs"))
+        return amps, work.staged(topk.two_level(fresh, cfg.k, batch=cfg.batch), "best")
+
     with timer.stage(iteration, "inference"):
-        amps = staged(infer.run(unique, model, t.spec, cfg.batch), "amps")
+        done = overlap([lambda i=i: infer_slice(i) for i in range(cfg.slices)], cfg.inflight)
     with timer.stage(iteration, "other"):
-        fresh = amps.join(space.select(*names), names, "left_anti").withColumn("score", F.col("log_abs"))
-        top = staged(topk.two_level(fresh, cfg.k, batch=cfg.batch), "top")
-    return amps, top
+        top = work.staged(topk.exact(reduce(DataFrame.unionByName, [b for _, b in done]), cfg.k), "top")
+        work.drop("best")
+    return reduce(DataFrame.unionByName, [a for a, _ in done]), top
+
+
+def stage3(first: Stage1, amps: DataFrame, space: DataFrame, t: Tables, cfg: StageConfig, timer: StageTimer, iteration: int = 0, work: Workspace | None = None, inside: bool = False) -> tuple[DataFrame, dict]:
+    """Amplitudes back on the edges just in time, batch by batch of sources; local and global energies.
+
+    With the cuts of the unique keys, edges take the ranges in which the amplitudes lie and the join is on (key, part).
+    Sources are whole in a batch, so local energies of batches are put together as they are.  ``inside``: only edges whose target is in the space.
+    """
+    work = work or Workspace(space.sparkSession)
+    spec = t.spec
 
+    def energies(i: int) -> DataFrame:
+        edges = first.edges[i] if first.edges else generated(first.sources[i], t, cfg)
+        if inside:
+            edges = edges.join(space.select(*spec.names), spec.names, "left_semi")
+        joined = remap.jit(edges, values, spec, first.cuts, cfg.parts)
+        return work.staged(energy.local(joined, values, spec, joined=True), "local")
 
-def stage3(first: Stage1, amps: DataFrame, space: DataFrame, t: Tables, cfg: StageConfig, timer: StageTimer, iteration: int = 0) -> tuple[DataFrame, dict]:
-    """Amplitudes back on the edges, local and global energies."""
     with timer.stage(iteration, "other"):
-        edges = first.edges if first.edges is not None else generated(space, t, cfg)
-        local = staged(energy.local(edges, energy.complex_amps(amps), t.spec), "local")
+        values = energy.complex_amps(amps)
+        if first.cuts is None:
+            values = values.drop("part")
+        local = reduce(DataFrame.unionByName, overlap([lambda i=i: energies(i) for i in range(len(first.sources))], cfg.inflight))
         total = energy.total(local).first().asDict()
     return local, total
 
@@ -114,13 +165,18 @@ def batches(frame: DataFrame, rows: int, total: int | None = None) -> Iterator[D
 
 def overlap(jobs: list[Callable[[], object]], n_inflight: int = 2) -> list[object]:
     """Run jobs with at most ``n_inflight`` at a time, so one reads while another computes or writes; results in order."""
+    if len(jobs) < 2 or n_inflight < 2:
+        return [job() for job in jobs]
     with ThreadPoolExecutor(n_inflight) as pool:
         return list(pool.map(lambda job: job(), jobs))
 
 
-def offload(edges: DataFrame, t: Tables) -> tuple[DataFrame, DataFrame]:
-    """Edges to files; what inference needs is a scan of their key columns."""
-    return remap.keys_only(edges, t.spec)
+def offload(edges: DataFrame, t: Tables, work: Workspace | None = None) -> tuple[DataFrame, DataFrame]:
+    """Edges to files; what duplicate removal and inference need is a scan of their key columns."""
+    if work is None:
+        return remap.keys_only(edges, t.spec)
+    cold = work.staged(edges, "edges")
+    return cold, cold.select(*t.spec.names)
 
 
 def batch_bytes(frame: DataFrame, rows: int) -> int:

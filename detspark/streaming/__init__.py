@@ -11,28 +11,39 @@ from pyspark.sql.streaming import StreamingQuery
 from detspark.functions.schema import ProblemSpec
 from detspark.operators import topk
 from detspark.operators.dedup import key_names
+from detspark.plans.scratch import children, discard
 from detspark.sources.tables import from_positions
 
 
 class RunningTop:
-    """Top-K over micro-batches: each one is pruned by the K-th value so far and merged.  K rows are held."""
+    """Top-K over micro-batches: each one is merged with the set of the batch before, which is kept as files by batch number.
 
-    def __init__(self, k: int, score: str = "score") -> None:
-        self.k, self.score, self.rows, self.schema = k, score, [], None
+    A restarted query goes on from the last set, and a batch that is run again writes the same set again.
+    """
+
+    def __init__(self, k: int, path: str, score: str = "score") -> None:
+        self.k, self.path, self.score = k, path.rstrip("/"), score
 
     def update(self, batch: DataFrame, batch_id: int) -> None:
-        self.schema = batch.select(*key_names(batch), self.score).schema
-        held = batch.sparkSession.createDataFrame(self.rows, self.schema)
-        got = topk.running([held, batch], self.k, self.score)
-        self.rows = [tuple(r) for r in got.collect()]
+        spark = batch.sparkSession
+        rows = batch.select(*key_names(batch), self.score)
+        earlier = [int(x) for x in children(spark, self.path) if x.isdigit() and int(x) < batch_id]
+        if earlier:
+            held = spark.read.schema(rows.schema).parquet(f"{self.path}/{max(earlier)}")
+            floor = held.agg(F.count("*"), F.min(self.score)).first()
+            rows = held.unionByName(rows.where(F.col(self.score) >= floor[1]) if floor[0] >= self.k else rows)
+        topk.exact(rows, self.k, self.score).write.mode("overwrite").parquet(f"{self.path}/{batch_id}")
+        for old in sorted(earlier)[:-1]:
+            discard(spark, f"{self.path}/{old}")
 
     def frame(self, spark: SparkSession) -> DataFrame:
-        return spark.createDataFrame(self.rows, self.schema)
+        """The set after the last batch."""
+        return spark.read.parquet(f"{self.path}/{max(int(x) for x in children(spark, self.path) if x.isdigit())}")
 
 
 def top(stream: DataFrame, k: int, checkpoint: str, score: str = "score") -> tuple[RunningTop, StreamingQuery]:
-    """Start a top-K over all files there are (available-now) and return its state and query."""
-    state = RunningTop(k, score)
+    """Start a top-K over all files there are (available-now) and return its state, kept beside the checkpoint, and query."""
+    state = RunningTop(k, checkpoint.rstrip("/") + "-top", score)
     query = stream.writeStream.foreachBatch(state.update).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     return state, query
 
