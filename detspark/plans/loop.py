@@ -23,7 +23,8 @@ from detspark.sources.hamiltonian import Hamiltonian
 class LoopConfig:
     """Stops after ``iterations`` or once the energy changed by less than ``tol`` over ``window`` steps.
 
-    ``cool``: the learning rate falls to 0 over the second half of the steps.  ``inner``: further optimizer steps of each iteration on the space as it is, by its matrix, for spaces that one process
+    ``cool``: the learning rate falls to 0 over the second half of an iteration's steps, and the optimizer starts anew where the
+    space has grown, as old moments belong to other gradients.  ``inner``: further optimizer steps of each iteration on the space as it is, by its matrix, for spaces that one process
     can hold.  ``rounds`` of growth come first; after them the space stays.
     """
 
@@ -66,6 +67,8 @@ def run(spark: SparkSession, ham: Hamiltonian, model: Model, cfg: LoopConfig = L
     history, energies, trajectory = [], [], []
     for i in range(cfg.iterations):
         work = Workspace(spark)
+        if cfg.cool:
+            optimizer = optimize.AdamW(lr=cfg.lr, decay=cfg.decay)
         first = stage1(space, t, cfg.stages, timer, i, work)
         amps, top = stage2(first.unique, model, t, cfg.stages, timer, space, i, work)
         local, total = stage3(first, amps, space, t, cfg.stages, timer, i, work, inside=cfg.variational)
@@ -105,7 +108,7 @@ def _inner(space: DataFrame, t: Tables, model: Model, optimizer: optimize.AdamW,
 def _warm(optimizer: optimize.AdamW, cfg: LoopConfig) -> None:
     """The learning rate of the next step."""
     if cfg.cool:
-        optimizer.lr = cfg.lr * min(1.0, 2 * (1 - optimizer.t / (cfg.iterations * (cfg.inner + 1))))
+        optimizer.lr = cfg.lr * min(1.0, 2 * (1 - optimizer.t / (cfg.inner + 1)))
 
 
 def _steps(model: Model, words: np.ndarray, h: np.ndarray, m: int, steps: int, optimizer: optimize.AdamW, cfg: LoopConfig = LoopConfig()) -> list[float]:

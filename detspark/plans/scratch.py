@@ -28,12 +28,18 @@ def fresh_path(spark: SparkSession, tag: str) -> str:
     return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
 
 
+#: bytes of a row group, which a writing task holds in memory
+ROW_GROUP = 32 << 20
+
+
+def _written(frame: DataFrame, path: str) -> DataFrame:
+    frame.write.option("parquet.block.size", ROW_GROUP).parquet(path)
+    return frame.sparkSession.read.schema(frame.schema).parquet(path)
+
+
 def staged(frame: DataFrame, tag: str = "stage") -> DataFrame:
     """Write ``frame`` once and return a scan of the files, so later jobs neither recompute nor hold it in memory."""
-    spark = frame.sparkSession
-    path = fresh_path(spark, tag)
-    frame.write.parquet(path)
-    return spark.read.schema(frame.schema).parquet(path)
+    return _written(frame, fresh_path(frame.sparkSession, tag))
 
 
 def discard(spark: SparkSession, path: str) -> None:
@@ -65,9 +71,8 @@ class Workspace:
 
     def staged(self, frame: DataFrame, tag: str) -> DataFrame:
         path = fresh_path(self.spark, tag)
-        frame.write.parquet(path)
         self.paths.setdefault(tag, []).append(path)
-        return self.spark.read.schema(frame.schema).parquet(path)
+        return _written(frame, path)
 
     def drop(self, *tags: str) -> None:
         for tag in tags:

@@ -41,7 +41,7 @@ def small_problems(spark: SparkSession, sf_dir: str) -> list[hamiltonian.Hamilto
     ]
 
 
-def accuracy_small(spark: SparkSession, sf_dir: str, inner: int = 250, sampled: int = 100) -> DataFrame:
+def accuracy_small(spark: SparkSession, sf_dir: str, inner: int = 1500, sampled: int = 100) -> DataFrame:
     """``problem, method, step, exact, energy, error, within``: the energy error of every step against the exact answer.
 
     ``engine`` and ``hybrid`` are the whole loop with either set of strategies: the space grows from the reference until it
@@ -314,7 +314,7 @@ def stage_measures(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.speedup(frames["hybrid"], frames["engine"]).join(shares, "stage", "left")
 
 
-def convergence(spark: SparkSession, sf_dir: str, steps: int = 120) -> DataFrame:
+def convergence(spark: SparkSession, sf_dir: str, steps: int = 1200) -> DataFrame:
     """First step under the threshold and the last smoothed slope of a whole run on the molecule."""
     ham = hamiltonian.two_level_molecule()
     t = excite.tables(ham)

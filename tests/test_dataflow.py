@@ -46,12 +46,43 @@ def test_place_counts_splitters(keys, cuts):
 def test_routes_agree(spark, sf):
     keys = line_keys(spark, sf)
     cuts = dedup.splitters(dedup.regular_sample(keys, 32), 5)
-    counts = [dedup.route(keys, cuts, how).groupBy("part").count().orderBy("part").collect() for how in ("search", "join", "asof")]
-    assert counts[0] == counts[1] == counts[2]
+    counts = [dedup.route(keys, cuts, how).groupBy("part").count().orderBy("part").collect() for how in ("tree", "search", "join", "asof")]
+    assert all(c == counts[0] for c in counts)
     assert len(dedup.splitters(dedup.regular_sample(keys, 32), 5, levels=2)) == 4
     assert len(dedup.splitters_sketch(keys, 5)) == 4
 
 
+def test_tree_and_search_agree_on_two_words(spark):
+    rng = np.random.default_rng(3)
+    rows = [tuple(map(int, r)) for r in rng.integers(0, 9, (400, 2))]
+    cuts = np.array(sorted({tuple(map(int, r)) for r in rng.integers(0, 9, (20, 2))}, key=lambda r: r[::-1]), np.int64)
+    frame = spark.createDataFrame(rows, "w0 long, w1 long")
+    assert sorted(map(tuple, dedup.route(frame, cuts).collect())) == sorted(map(tuple, dedup.route(frame, cuts, "search").collect()))
+
+
+def test_local_removal_and_the_sample_it_leaves(spark, sf):
+    """Runs are distinct and sorted, hold every key, and are sampled at the places that the rule names."""
+    keys = line_keys(spark, sf).repartition(3)
+    runs = dedup.sorted_runs(keys, distinct=True)
+    held = {}
+    for r in runs.select("w0", F.col("_metadata.file_path").alias("f"), F.col("_metadata.row_index").alias("r")).collect():
+        held.setdefault(r.f, []).append((r.r, r.w0))
+    lists = [[w for _, w in sorted(v)] for v in held.values()]
+    assert len(lists) == 3 and all(x == sorted(set(x)) for x in lists)
+    assert set().union(*lists) == {r.w0 for r in keys.collect()}
+    s = 10
+    want = sorted((x[k * len(x) // s], len(x) / s) for x in lists for k in range(s))
+    assert sorted((r.w0, r.weight) for r in dedup.sample_runs(runs, s).collect()) == want
+
+
+def test_a_large_excitation_table_is_shuffled(spark, sf, monkeypatch):
+    spec, sources = configuration_set(spark, sf, "emb12")
+    t = excite.tables(hamiltonian.table(spark, sf, 12, 4))
+    plain = sorted(map(tuple, generate.by_join(sources, t).collect()))
+    monkeypatch.setattr(generate, "BROADCAST", 10)
+    assert sorted(map(tuple, generate.by_join(sources, t).collect())) == plain
+
+
 def test_balance_bound(spark, sf):
     keys = line_keys(spark, sf).repartition(8)
     parts, s = 8, 64
@@ -199,6 +230,17 @@ def test_restart_goes_on(spark, sf, tmp_path):
         assert spark.read.parquet(out).count() == spark.read.parquet(out).distinct().count()
 
 
+def test_top_k_of_a_restarted_stream(spark, sf, tmp_path):
+    """Files that come between two runs of a query: the second goes on from the set of the first."""
+    events = spark.read.parquet(f"{sf}/events.parquet").select(F.col("event_id").alias("w0"), F.col("value").alias("score"))
+    place, ck = str(tmp_path / "in"), str(tmp_path / "ck")
+    for low in (True, False):
+        events.where((F.col("w0") % 2 == 0) == low).coalesce(1).write.mode("append").parquet(place)
+        state, query = streaming.top(spark.readStream.schema(events.schema).parquet(place), 15, ck)
+        query.awaitTermination()
+    assert sorted(map(tuple, state.frame(spark).collect())) == sorted(map(tuple, topk.exact(events, 15).collect()))
+
+
 def test_interval_join(spark, sf):
     events = spark.read.parquet(f"{sf}/events.parquet")
     got = streaming.nearby_pairs(events, events)

@@ -1,5 +1,6 @@
 """Bits, tables, generation, exact answers, models and gradients."""
 
+from dataclasses import replace
 from math import comb
 
 import numpy as np
@@ -12,7 +13,7 @@ from detspark.functions import ansatz, bits
 from detspark.functions.schema import ProblemSpec
 from detspark.operators import baseline, energy, exact, excite, generate, infer, metrics, optimize, sampling, space
 from detspark.operators.generate import ScreenPolicy
-from detspark.plans import loop
+from detspark.plans import loop, staging
 from detspark.sources import hamiltonian
 from detspark.sources.tables import configuration_set
 
@@ -177,6 +178,20 @@ def test_training_reaches_the_exact_answer():
     assert abs(history[-1] - reference) < 1.6e-3
 
 
+@pytest.mark.parametrize("ham", [hamiltonian.two_level_molecule(), hamiltonian.lattice(2, 2, ring=False)], ids=lambda h: h.name)
+def test_the_loop_reaches_the_exact_answer_by_either_strategy(spark, ham):
+    t = excite.tables(ham)
+    reference, _, words = exact.dense_ground(t)
+    runs = []
+    for stages in (staging.ENGINE, staging.HYBRID):
+        cfg = loop.LoopConfig(stages=replace(stages, parts=2, k=len(words), sources=2, slices=2), iterations=2, lr=0.05, decay=0.0, inner=1200, window=2, cool=True)
+        runs.append(loop.run(spark, ham, ansatz.Tabular.start(words), cfg))
+    engine, hybrid = (r.trajectory for r in runs)
+    assert abs(engine[-1] - reference) < 1.6e-3 and abs(hybrid[-1] - reference) < 1.6e-3
+    assert np.allclose(engine, hybrid, atol=1e-8) and min(engine) >= reference - 1e-9
+    assert abs(runs[0].energies[1] - engine[1201]) < 1e-9
+
+
 def test_growing_never_raises_the_selected_minimum(spark, sf):
     t = excite.tables(hamiltonian.table(spark, sf, 8, 3))
     full = space.enumerate_space(spark, t.spec).orderBy("w0")
