@@ -28,6 +28,8 @@ END = 1
 _BUCKETS = 256
 #: runs that are kept, at most, and the bytes of the longest; longer ones are tokenized anew
 _YOUNG, _KEPT = 400_000, 64
+#: bytes of ids in a batch that leaves a task
+_OUT = 1 << 20
 _STOPS = b".,!?;:"
 
 
@@ -82,17 +84,25 @@ tx.HELD.append(_cache.cache_clear)
 def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool = False) -> DataFrame:
     """``(doc_id, text)`` → ``doc_id, piece, start, length, ids_crc32`` [, ``ids``]; only documents over ``limit`` are cut.
 
+    ``ids`` are little-endian unsigned 32-bit numbers, as training readers map them into memory.  Batches that leave are bounded in
+    bytes, whatever comes in.
+
     A null or empty text is the end id alone; null and repeated ids are rows as any.  No shuffle.
     """
     fields = [T.StructField("doc_id", docs.schema["doc_id"].dataType), *(T.StructField(n, T.LongType()) for n in ("piece", "start", "length", "ids_crc32"))]
-    schema = T.StructType([*fields, *([T.StructField("ids", T.ArrayType(T.IntegerType()))] if with_ids else [])])
+    schema = T.StructType([*fields, *([T.StructField("ids", T.BinaryType())] if with_ids else [])])
     end = np.array([END], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tx.tidy()
         cache = _cache(tokenizer)
         for batch in batches:
-            row, piece, start, length, crc, ids = [], [], [], [], [], []
+            row, piece, start, length, crc, ids, size = [], [], [], [], [], [], 0
+
+            def made(of: pa.Array = batch.column(0)) -> pa.RecordBatch:
+                columns = [of.take(pa.array(row, pa.int64())), *(pa.array(x, pa.int64()) for x in (piece, start, length, crc))]  # noqa: B023
+                return pa.RecordBatch.from_arrays([*columns, *([pa.array(ids, pa.binary())] if with_ids else [])], schema.names)  # noqa: B023
+
             for at, value in enumerate(batch.column(1).cast(pa.large_binary())):
                 coded = cache.ids(value.as_buffer().to_pybytes() if value.is_valid else b"") + end
                 for k, low in enumerate(range(0, len(coded), 4 * limit)):
@@ -103,12 +113,12 @@ def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool =
                     length.append(len(part) // 4)
                     crc.append(zlib.crc32(part))
                     if with_ids:
-                        ids.append(np.frombuffer(part, "<i4"))
-            columns = [batch.column(0).take(pa.array(row, pa.int64())), *(pa.array(x, pa.int64()) for x in (piece, start, length, crc))]
-            if with_ids:
-                flat = np.concatenate([np.zeros(0, "<i4"), *ids])
-                columns.append(pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, ids)], dtype=np.int32)), pa.array(flat)))
-            yield pa.RecordBatch.from_arrays(columns, schema.names)
+                        ids.append(part)
+                        size += len(part)
+                    if size >= _OUT:
+                        yield made()
+                        row, piece, start, length, crc, ids, size = [], [], [], [], [], [], 0
+            yield made()
 
     return docs.select("doc_id", "text").mapInArrow(run, schema)
 

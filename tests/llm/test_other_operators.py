@@ -283,7 +283,7 @@ def test_packing_query(spark, docs_of, table_dir):
     assert out.sequence_id.nunique() <= -(-int(out.length.sum()) // packing.LIMIT) + 1
     assert QUERIES["op7_packing"](spark, table_dir(documents=docs.limit(0))).count() == 0
     with_ids = packing.pieces(docs, packing.word_tokenizer(), with_ids=True).where("doc_id = 500").orderBy("piece").collect()
-    assert [x for r in with_ids for x in r.ids] == ids[500]
+    assert np.frombuffer(b"".join(r.ids for r in with_ids), "<u4").tolist() == ids[500]
 
 
 def plain_targets(sizes):
@@ -454,7 +454,7 @@ def test_pipeline(spark, sf):
     assert set(out.doc_id) == set(ids)
     check_packing(out, ids)
     for r in out.itertuples():
-        assert list(r.ids) == ids[r.doc_id][r.start : r.start + r.length]
+        assert np.frombuffer(r.ids, "<u4").tolist() == ids[r.doc_id][r.start : r.start + r.length]
 
 
 def test_pipeline_stages_by_plain_python(spark, docs_of, table_dir):
