@@ -70,7 +70,7 @@ def main() -> None:
             row = metrics.balance(report.parts, side).first()
             balance[f"{side}_{p}"] = {"ratio": row["ratio"] and round(row["ratio"], 3), "cv": round(row["cv"], 4)}
     shares = {}
-    for r in workloads.breakdown(spark, SF_DIR).where(F.col("problem") == "heavy").collect():
+    for r in workloads.breakdown(spark, SF_DIR, problems=("heavy",)).collect():
         shares.setdefault(r["variant"], {})[r["stage"]] = round(r["share"], 3)
     unique = report.unique
     print(json.dumps({
