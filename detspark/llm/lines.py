@@ -453,12 +453,6 @@ def _some_sets(docs: DataFrame, wanted: np.ndarray) -> DataFrame:
     return docs.select("_key", "_base", "text").mapInArrow(run, "doc long, line long, words array<long>")
 
 
-def _steady(docs: DataFrame) -> DataFrame:
-    """``docs`` such that every evaluation has the same rows in the same partitions and order: staged, unless only scanned."""
-    plan = docs._jdf.queryExecution().executedPlan().toString()
-    return staged(docs, "line-docs") if "Exchange" in plan or "Limit" in plan else docs
-
-
 def keyed(docs: DataFrame) -> DataFrame:
     """``docs`` with ``_key``, the id that orders lines, and ``_base``, from which the lines of a row are numbered.
 
@@ -469,7 +463,8 @@ def keyed(docs: DataFrame) -> DataFrame:
     key = F.coalesce(F.col("doc_id"), F.pmod(F.xxhash64("text"), F.lit(1 << 40)) + F.lit((1 << 62)))
     if docs.groupBy("doc_id").count().where("doc_id is null or count > 1").isEmpty():
         return docs.withColumn("_key", key).withColumn("_base", F.lit(0).cast("long"))
-    numbered = _steady(docs).withColumn("_key", key).withColumn("_row", F.monotonically_increasing_id())
+    # written with the row numbers: later scans may be split otherwise when executors come or go, and would number anew
+    numbered = staged(docs.withColumn("_key", key).withColumn("_row", F.monotonically_increasing_id()), "line-docs")
     with_lines = numbered.where("text is not null")
     shared = staged(with_lines.groupBy("_key").count().where("count > 1").select("_key"), "line-keys")
     rank = F.row_number().over(Window.partitionBy("_key").orderBy("_hash", "_row")) - 1
