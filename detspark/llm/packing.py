@@ -11,12 +11,13 @@ from __future__ import annotations
 import os
 import zlib
 from collections.abc import Iterator
+from contextlib import contextmanager
 from functools import lru_cache
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -28,8 +29,8 @@ END = 1
 _BUCKETS = 256
 #: runs that are kept, at most, and the bytes of the longest; longer ones are tokenized anew
 _YOUNG, _KEPT = 400_000, 64
-#: bytes of ids in a batch that leaves a task
-_OUT = 1 << 20
+#: bytes of ids in a batch that leaves a task, and rows in one that enters it
+_OUT, _IN = 1 << 20, 256
 _STOPS = b".,!?;:"
 
 
@@ -94,8 +95,8 @@ def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool =
     end = np.array([END], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tx.tidy()
         cache = _cache(tokenizer)
+        tx.tidy()  # after the vocabulary is read, which leaves much behind
         for batch in batches:
             row, piece, start, length, crc, ids, size = [], [], [], [], [], [], 0
 
@@ -123,6 +124,21 @@ def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool =
     return docs.select("doc_id", "text").mapInArrow(run, schema)
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = _IN) -> Iterator[None]:
+    """What runs inside hands its rows to Python in batches of ``rows`` at most; the session's own number comes back after it.
+
+    A batch of texts is held by the executor and by its worker at once, so its size counts twice for each core.
+    """
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, rows)
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def patterns(histogram: np.ndarray, limit: int, frequent: int = 96) -> list[tuple[int, ...]]:
     """Exactly filling patterns of one, two or three lengths that occur; in threes, two are among the most frequent."""
     there = histogram > 0
@@ -227,7 +243,8 @@ def pack(cut: DataFrame, limit: int = LIMIT) -> DataFrame:
     that agree in id, number and checksum may change places; an empty table stays empty.
     """
     spark = cut.sparkSession
-    cut = staged(cut, "pieces")
+    with small_batches(spark):
+        cut = staged(cut, "pieces")
     placed = cut.withColumn("_b", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(_BUCKETS)).cast("int"))
     sizes = staged(placed.groupBy("length", "_b").agg(F.count("*").alias("_n")), "lengths")
     histogram = np.zeros(limit + 1, np.int64)

@@ -7,6 +7,7 @@ import struct
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -491,3 +492,19 @@ def test_pipeline_on_odd_rows(spark, docs_of, table_dir):
     assert corpus_pipeline.run(spark, path).count() > 0
     empty = table_dir(documents=docs.limit(0), labels=labels.limit(0))
     assert corpus_pipeline.run(spark, empty).count() == 0
+
+
+def test_packing_hands_texts_over_in_small_batches_and_leaves_the_setting(spark):
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+
+    def sizes(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([batch.num_rows], pa.int64())], ["n"])
+
+    seen = spark.range(2000, numPartitions=1).mapInArrow(sizes, "n long")
+    with packing.small_batches(spark):
+        assert spark.conf.get(name) == str(packing._IN)
+        found = [r["n"] for r in seen.collect()]
+    assert sum(found) == 2000 and max(found) == packing._IN
+    assert spark.conf.get(name) == before
