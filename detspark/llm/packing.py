@@ -39,15 +39,17 @@ class WordCache(dict):
 
     The tokenizer drops white space and no match spans it, so the ids of a text are those of its runs in order.  It also
     lower-cases character by character and takes letters apart from punctuation, so a run is looked up in ASCII lower case,
-    and stops after a letter or digit are looked up on their own.  Two generations of short runs bound the memory.
+    and stops after a letter or digit are looked up on their own.  Two generations of short runs, of ``young`` each, bound the
+    memory, about 200 bytes a run.
     """
 
-    def __init__(self, path: str) -> None:
+    def __init__(self, path: str, young: int = _YOUNG) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # tasks are the parallelism
         from tokenizers import Tokenizer
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
+        self.young = young
         self.old: dict[bytes, bytes] = {}
 
     def __missing__(self, run: bytes) -> bytes:
@@ -67,7 +69,7 @@ class WordCache(dict):
         if b"<|" not in text:  # names of special tokens count in lower case only
             text = text.lower()
         out = b"".join(map(self.__getitem__, text.split()))
-        if len(self) > _YOUNG:
+        if len(self) > self.young:
             self.old.clear()
             self.old.update(self)
             self.clear()
@@ -75,18 +77,19 @@ class WordCache(dict):
 
 
 @lru_cache(1)
-def _cache(path: str) -> WordCache:
-    return WordCache(path)
+def _cache(path: str, young: int) -> WordCache:
+    return WordCache(path, young)
 
 
 tx.HELD.append(_cache.cache_clear)
 
 
-def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool = False) -> DataFrame:
+def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool = False, young: int = _YOUNG) -> DataFrame:
     """``(doc_id, text)`` → ``doc_id, piece, start, length, ids_crc32`` [, ``ids``]; only documents over ``limit`` are cut.
 
     ``ids`` are little-endian unsigned 32-bit numbers, as training readers map them into memory.  Batches that leave are bounded in
-    bytes, whatever comes in.
+    bytes, whatever comes in.  ``young`` bounds the runs that a worker remembers (twice so many at most) and not the result; a
+    worker keeps them until it turns to another operator.
 
     A null or empty text is the end id alone; null and repeated ids are rows as any.  No shuffle.
     """
@@ -95,7 +98,7 @@ def pieces(docs: DataFrame, tokenizer: str, limit: int = LIMIT, with_ids: bool =
     end = np.array([END], "<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache = _cache(tokenizer)
+        cache = _cache(tokenizer, young)
         tx.tidy()  # after the vocabulary is read, which leaves much behind
         for batch in batches:
             row, piece, start, length, crc, ids, size = [], [], [], [], [], [], 0
