@@ -8,6 +8,10 @@ from detspark.llm import lines, mixture, packing, quality, simhash
 from detspark.plans.scratch import staged
 
 
+#: runs with known token ids in a packing worker: fewer than by default, as workers outlive the stage and other stages need the memory
+REMEMBERED = 100_000
+
+
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier accepts; it learns from the rows of ``labels`` in its training folds.
 
@@ -36,7 +40,7 @@ def mixture_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of documents with their token ids (``ids``) and their places in sequences; a null or empty text is the end id alone."""
-    return packing.pack(packing.pieces(docs, packing.word_tokenizer(), with_ids=True))
+    return packing.pack(packing.pieces(docs, packing.word_tokenizer(), with_ids=True, young=REMEMBERED))
 
 
 STAGES = [
