@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from detspark.functions import bits
 from detspark.functions.ansatz import ClosedForm, Rbm, Tabular, Transformer
 from detspark.functions.schema import ProblemSpec
-from detspark.operators import dedup, exact, excite, generate, infer, metrics, optimize, sampling, space, topk
+from detspark.operators import dedup, dense, exact, excite, generate, infer, metrics, optimize, sampling, space, topk
 from detspark.plans import loop, staging
 from detspark.plans.scratch import Workspace, staged
 from detspark.sources import hamiltonian
@@ -102,13 +102,11 @@ def trajectory_pair(spark: SparkSession, sf_dir: str, steps: int = 110, size: in
 
 
 def medium(spark: SparkSession, sf_dir: str, parts: int = 32) -> DataFrame:
-    """The 64-orbital two-word set: ``sources, generated, unique, rate``, generated and made unique over the cluster."""
+    """The 64-orbital two-word set: ``sources, generated, unique, rate``, generated and made unique over the cluster, by sampled ranges on bitmaps."""
     spec, sources = configuration_set(spark, sf_dir, "emb64")
     sources = staged(sources, "sources")
-    made = generate.moves(sources.repartition(parts), spec)
     n = sources.count()
-    some = sources.where(F.pmod(F.xxhash64(*spec.names), F.lit(1000)) < min(1000, 1 + 20_000 // max(n, 1)))
-    unique = dedup.range_presampled(made, generate.moves(some, spec), parts).agg(F.count("*").alias("unique"))
+    unique = dense.range_unique(sources, spec, parts).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("unique"))
     generated = n * metrics.edge_bound(spec.m, spec.n)
     return unique.select(F.lit(n).cast("long").alias("sources"), F.lit(generated).cast("long").alias("generated"), "unique", (1 - F.col("unique") / F.lit(float(max(generated, 1)))).alias("rate"))
 

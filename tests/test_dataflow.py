@@ -1,5 +1,7 @@
 """Duplicate removal, top-K, remap, measures, staging, streaming and the SQL surface."""
 
+from math import comb
+
 import numpy as np
 import pytest
 from hypothesis import given, settings
@@ -7,8 +9,9 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from detspark import streaming
-from detspark.functions import sqlsurface
-from detspark.operators import baseline, dedup, energy, excite, generate, metrics, remap, space, topk
+from detspark.functions import bits, sqlsurface
+from detspark.functions.schema import ProblemSpec, space_schema
+from detspark.operators import baseline, dedup, dense, energy, excite, generate, metrics, remap, space, topk
 from detspark.plans import staging
 from detspark.plans.scratch import staged
 from detspark.sources import hamiltonian
@@ -256,3 +259,33 @@ def test_sql_surface(spark, sf):
     assert {(r["b"], r["kind"]) for r in rows} >= {("0011", 0), ("1100", 2)}
     assert spark.sql("select config_parse('0110') as w").first()["w"] == 6
     assert spark.sql("select count(*) from t_double").first()[0] == len(t.double["p"])
+
+
+def test_moves_on_bitmaps(spark):
+    """Ranks are those of the moves one by one, copies included; what is left is the distinct moves; no run is larger than the space."""
+    rng = np.random.default_rng(5)
+    for m, n in ((64, 4), (12, 4), (5, 5), (6, 1), (7, 0), (5, 4)):
+        spec = ProblemSpec(m, n)
+        occupied = {tuple(sorted(map(int, rng.permutation(m)[:n]))) for _ in range(30)}
+        words = np.array([bits.mask_words(list(o), m) for o in occupied], np.int64)
+        every = np.arange(min(comb(m, n), 5000))
+        assert dense.rank(space.unrank(every, m, n), spec).tolist() == every.tolist()
+        ranks = np.concatenate([np.zeros(0, np.int64), *dense.moved_ranks(words, spec)])
+        assert len(ranks) == len(words) * metrics.edge_bound(m, n)
+        if m not in (64, 5):
+            continue
+        sources = spark.createDataFrame([tuple(map(int, w)) for w in words], space_schema(spec))
+        made = sorted(map(tuple, generate.moves(sources, spec).collect()))
+        assert sorted(map(tuple, space.unrank(ranks, m, n).tolist())) == made
+        unique = dense.range_unique(sources, spec, 5, 16)
+        got = dense.keys(unique, spec).collect()
+        assert sorted(tuple(r)[:-1] for r in got) == sorted(set(made))
+        assert unique.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0] == len(set(made))
+        edges = sorted((min(k), max(k)) for p in {r.part for r in got} for k in [[tuple(r)[-2::-1] for r in got if r.part == p]])
+        assert all(a[1] < b[0] for a, b in zip(edges, edges[1:], strict=False))  # parts are key ranges
+    spec = ProblemSpec(12, 4)
+    full = space.enumerate_space(spark, spec)
+    pieces = dense.runs(full.unionByName(full).repartition(3), spec)
+    assert pieces.count() == 3 and pieces.agg(F.max("n")).first()[0] <= comb(12, 4)
+    with pytest.raises(ValueError, match="configurations"):
+        dense.range_unique(full, ProblemSpec(84, 6), 2)
