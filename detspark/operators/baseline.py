@@ -9,13 +9,14 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from detspark.functions import bits
-from detspark.functions.schema import edge_schema
+from detspark.functions.schema import BITS, edge_schema
 from detspark.operators.dedup import key_names
 from detspark.operators.excite import Tables
 
 #: the central root holds all rows; beyond this the baseline refuses
 ROOT_ROWS = 200_000_000
+#: edges that row-wise generation holds before it passes them on
+FLUSH = 50_000
 
 
 def dedup_central(frame: DataFrame, parts: int, limit: int = ROOT_ROWS) -> DataFrame:
@@ -48,42 +49,42 @@ def generate_rowwise(space: DataFrame, t: Tables) -> DataFrame:
     spec = t.spec
     m, names = spec.m, spec.names
     schema = edge_schema(spec, T.LongType() if t.exact else T.DoubleType())
-    cast = int if t.exact else float
-    one = {(int(p), int(a)): (t.single["h"][i], t.single["ctx"][i]) for i, (p, a) in enumerate(zip(t.single["p"], t.single["a"], strict=True))}
-    two = {(int(p), int(q), int(a), int(b)): t.double["h"][i] for i, (p, q, a, b) in enumerate(zip(*(t.double[c] for c in "pqab"), strict=True))}
-    held = space.sparkSession.sparkContext.broadcast((one, two, t.diag1, t.diag2, t.shift))
-
-    def hop(occ: list[int], p: int, a: int) -> tuple[list[int], int]:
-        crossed = sum(min(p, a) < k < max(p, a) for k in occ)
-        return sorted([k for k in occ if k != p] + [a]), -1 if crossed % 2 else 1
-
-    def edges(occ: list[int]) -> Iterator[tuple]:
+    one: dict[int, list] = {}
+    for p, a, h, ctx in zip(*(t.single[c].tolist() for c in ("p", "a", "h", "ctx")), strict=True):
+        one.setdefault(p, []).append((a, h, ctx))
+    two: dict[tuple[int, int], list] = {}
+    for p, q, a, b, h in zip(*(t.double[c].tolist() for c in "pqabh"), strict=True):
+        two.setdefault((p, q), []).append((a, b, 1 << a | 1 << b, h))
+    held = space.sparkSession.sparkContext.broadcast((one, two, t.diag1.tolist(), t.diag2.tolist(), int(t.shift) if t.exact else float(t.shift)))
+    gap = [[((1 << max(p, a)) - 1) & ~((1 << (min(p, a) + 1)) - 1) for a in range(m)] for p in range(m)]  # the orbitals strictly between
+
+    def edges(word: int) -> Iterator[tuple]:
         one, two, d1, d2, shift = held.value
-        yield occ, cast(sum(d1[p] for p in occ) + sum(d2[p, q] for i, p in enumerate(occ) for q in occ[i + 1 :]) + shift), 0
-        empty = [a for a in range(m) if a not in occ]
+        occ = [p for p in range(m) if word >> p & 1]
+        yield word, sum(d1[p] for p in occ) + sum(d2[p][q] for i, p in enumerate(occ) for q in occ[i + 1 :]) + shift, 0
         for p in occ:
-            for a in empty:
-                if (p, a) in one:
-                    h, ctx = one[p, a]
-                    v = h + sum(ctx[k] for k in occ)
+            for a, h, ctx in one.get(p, ()):
+                if not word >> a & 1:
+                    v = h + sum([ctx[k] for k in occ])
                     if v:
-                        new, sign = hop(occ, p, a)
-                        yield new, cast(sign * v), 1
+                        yield word ^ 1 << p ^ 1 << a, -v if (word & gap[p][a]).bit_count() & 1 else v, 1
         for i, p in enumerate(occ):
             for q in occ[i + 1 :]:
-                for j, a in enumerate(empty):
-                    for b in empty[j + 1 :]:
-                        if h := two.get((p, q, a, b)):
-                            mid, s1 = hop(occ, p, a)
-                            new, s2 = hop(mid, q, b)
-                            yield new, cast(s1 * s2 * h), 2
+                for a, b, both, h in two.get((p, q), ()):
+                    if not word & both:
+                        mid = word ^ 1 << p ^ 1 << a
+                        crossed = (word & gap[p][a]).bit_count() + (mid & gap[q][b]).bit_count()
+                        yield mid ^ 1 << q ^ 1 << b, -h if crossed & 1 else h, 2
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        shifts, low = [BITS * k for k in range(spec.words)], (1 << BITS) - 1
         for frame in frames:
-            rows = []
-            for words in frame.itertuples(index=False):
-                occ = [p for p in range(m) if words[p // 63] >> (p % 63) & 1]
-                rows += [(*words, *bits.mask_words(new, m), v, kind) for new, v, kind in edges(occ)]
+            rows: list[tuple] = []
+            for words in frame.itertuples(index=False, name=None):
+                rows += [(*words, *[new >> k & low for k in shifts], v, kind) for new, v, kind in edges(sum(w << k for w, k in zip(words, shifts, strict=True)))]
+                if len(rows) >= FLUSH:
+                    yield pd.DataFrame(rows, columns=schema.names)
+                    rows = []
             yield pd.DataFrame(rows, columns=schema.names)
 
     return space.select(*names).mapInPandas(run, schema)

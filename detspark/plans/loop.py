@@ -121,8 +121,12 @@ def _steps(model: Model, words: np.ndarray, h: np.ndarray, m: int, steps: int, o
 
 
 def ablation(spark: SparkSession, space: DataFrame, t: Tables, model: Model, cfg: StageConfig = ENGINE) -> DataFrame:
-    """``variant, stage, seconds, energy``: the hybrid baseline, then with engine generation, then also with engine duplicate removal."""
+    """``variant, stage, seconds, energy``: the hybrid baseline, then with engine generation, then also with engine duplicate removal.
+
+    Sources are dealt out first, as all forms of generation follow the partitions of the space, and a small set is one file.
+    """
     rows = []
+    space = space.repartition(max(cfg.parts, 2 * spark.sparkContext.defaultParallelism))
     for name, config in (("hybrid", HYBRID), ("+generation", replace(HYBRID, generation=cfg.generation)), ("+dedup", cfg)):
         config = replace(config, parts=cfg.parts, batch=cfg.batch, k=cfg.k)
         timer = StageTimer()

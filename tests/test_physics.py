@@ -210,3 +210,21 @@ def test_strategies_give_one_energy(spark, sf):
     rows = loop.ablation(spark, sources.orderBy("w0").limit(20), t, ansatz.Rbm.start(12, 4)).collect()
     values = [r["energy"] for r in rows]
     assert max(values) - min(values) < 1e-9 * abs(values[0]) and {r["variant"] for r in rows} == {"hybrid", "+generation", "+dedup"}
+
+
+def test_ablation_deals_its_sources_out(spark, sf, monkeypatch):
+    """A small set lies in one file, and generation follows its partitions: it must not run in one task."""
+    t = excite.tables(hamiltonian.table(spark, sf, 12, 4))
+    sources = configuration_set(spark, sf, "emb12")[1].coalesce(1)
+    seen, first = [], loop.stage1
+    monkeypatch.setattr(loop, "stage1", lambda space, *a, **b: seen.append(space.rdd.getNumPartitions()) or first(space, *a, **b))
+    assert loop.ablation(spark, sources, t, ansatz.Rbm.start(12, 4), replace(staging.ENGINE, parts=5)).count() == 12
+    assert len(seen) == 3 and min(seen) >= 5
+
+
+def test_rowwise_on_two_words(spark, sf):
+    """The row-wise loop and the batches give the same edges, with a frame for every few sources."""
+    t = excite.tables(hamiltonian.table(spark, sf, 64, 3, orbital="partkey", band=3))
+    frame = spark.createDataFrame([tuple(bits.mask_words(o, 64)) for o in ([0, 5, 63], [1, 62, 63], [10, 11, 12])], "w0 long, w1 long")
+    rowwise = sorted(map(tuple, baseline.generate_rowwise(frame, t).collect()))
+    assert rowwise and rowwise == sorted(map(tuple, generate.by_batch(frame, t).collect()))
