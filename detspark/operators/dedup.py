@@ -57,27 +57,28 @@ def unique_rows(words: np.ndarray) -> np.ndarray:
     return words[keep]
 
 
-def local(frame: DataFrame, rows: int = 1 << 20) -> DataFrame:
-    """Distinct keys within each task, ``rows`` at a time; no shuffle.  What repeats across blocks or tasks stays."""
-    names = key_names(frame)
+def _once(laid: DataFrame, names: list[str]) -> DataFrame:
+    """Rows in key order, of which copies lie side by side in a task, without the copies."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
+        last = None
         for batch in batches:
-            held.append(_matrix(batch))
-            size += batch.num_rows
-            if size >= rows:
-                block = unique_rows(np.concatenate(held))
-                if len(block) > size // 2:  # little repeats: pass it on, else go on collecting
-                    yield _batch(block, names)
-                    held, size = [], 0
-                else:
-                    held, size = [block], len(block)
-        if held:
-            yield _batch(unique_rows(np.concatenate(held)), names)
-
-    keys = frame.select(*names)
-    return keys.mapInArrow(run, keys.schema)
+            rows = _matrix(batch)
+            if len(rows):
+                keep = np.concatenate([[last is None or (rows[0] != last).any()], (rows[1:] != rows[:-1]).any(1)])
+                last = rows[-1]
+                yield _batch(rows[keep], names)
+
+    return laid.mapInArrow(run, laid.schema)
+
+
+def local(frame: DataFrame) -> DataFrame:
+    """Distinct keys within each task, in key order, whatever their number; no shuffle.  What repeats across tasks stays.
+
+    Spark's sort, which goes to disk where it must, brings the copies together.
+    """
+    names = key_names(frame)
+    return _once(frame.select(*names).sortWithinPartitions(*names[::-1]), names)
 
 
 def sorted_runs(frame: DataFrame, distinct: bool = False) -> DataFrame:
@@ -87,17 +88,7 @@ def sorted_runs(frame: DataFrame, distinct: bool = False) -> DataFrame:
     """
     names = key_names(frame)
     laid = frame.select(*names).sortWithinPartitions(*names[::-1])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last = None
-        for batch in batches:
-            rows = _matrix(batch)
-            if len(rows):
-                keep = np.concatenate([[last is None or (rows[0] != last).any()], (rows[1:] != rows[:-1]).any(1)])
-                last = rows[-1]
-                yield _batch(rows[keep], names)
-
-    return staged(laid.mapInArrow(run, laid.schema) if distinct else laid, "runs")
+    return staged(_once(laid, names) if distinct else laid, "runs")
 
 
 def sample_runs(runs: DataFrame, s: int) -> DataFrame:

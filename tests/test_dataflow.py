@@ -78,6 +78,13 @@ def test_local_removal_and_the_sample_it_leaves(spark, sf):
     assert sorted((r.w0, r.weight) for r in dedup.sample_runs(runs, s).collect()) == want
 
 
+def test_local_removal_of_a_large_task(spark):
+    """Copies more than a million rows apart in one task go too."""
+    keys = spark.range(0, 1_200_000, numPartitions=1).select(F.col("id").alias("w0"))
+    once = dedup.local(keys.unionByName(keys).coalesce(1))
+    assert once.agg(F.count("*"), F.countDistinct("w0")).first() == (1_200_000, 1_200_000)
+
+
 def test_a_large_excitation_table_is_shuffled(spark, sf, monkeypatch):
     spec, sources = configuration_set(spark, sf, "emb12")
     t = excite.tables(hamiltonian.table(spark, sf, 12, 4))
