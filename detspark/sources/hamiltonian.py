@@ -87,6 +87,11 @@ def table(spark: SparkSession, sf_dir: str, m: int, n: int, orbital: str = "bran
     number of orders that hold both orbitals p and q gives a factor matrix of small integers; their products are the
     two-body values, the sums over flags the one-body ones.  Counting is distributed; at most 3 m² counts come back.
     """
+    return from_counts(pair_counts(spark, sf_dir, m, orbital), m, n, band, spacing)
+
+
+def pair_counts(spark: SparkSession, sf_dir: str, m: int, orbital: str = "brand") -> np.ndarray:
+    """Per return flag the orders that hold both orbitals p and q, for the first ``m`` orbitals: what ``table`` counts."""
     part, lines = load(spark, sf_dir, "part"), load(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_returnflag")
     if orbital == "brand":
         marked = lines.join(brand_ranks(part), F.col("l_partkey") == F.col("p_partkey"))
@@ -99,6 +104,13 @@ def table(spark: SparkSession, sf_dir: str, m: int, n: int, orbital: str = "bran
     c = np.zeros((len(flags), m, m), np.int64)
     for r in counts:
         c[flags.index(r["l_returnflag"]), r["p"], r["q"]] = r["count"]
+    return c
+
+
+def from_counts(c: np.ndarray, m: int, n: int, band: int | None = None, spacing: int = 0) -> Hamiltonian:
+    """``table`` from counts of ``m`` orbitals or, as ranks of brands don't depend on ``m``, of more; flags without any drop out."""
+    c = c[:, :m, :m]
+    c = c[c.any((1, 2))]
     factor = c % 7 - 3
     if band is not None:
         p = np.arange(m)

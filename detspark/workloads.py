@@ -323,7 +323,8 @@ def convergence(spark: SparkSession, sf_dir: str, steps: int = 1200) -> DataFram
     return metrics.first_below(history, reference).join(slope)
 
 
-def exact_values(spark: SparkSession) -> DataFrame:
-    """Exact lowest values of the model problems."""
-    hams = [hamiltonian.two_level_molecule(), hamiltonian.lattice(2, 2, ring=False), hamiltonian.lattice(4, 4), hamiltonian.lattice(4, 4, u=0.0)]
+def exact_values(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exact lowest values of the table problems of four sizes, whose counts are made once."""
+    counts = hamiltonian.pair_counts(spark, sf_dir, 12)
+    hams = [hamiltonian.from_counts(counts, m, n) for m, n in ((8, 3), (10, 3), (12, 3), (12, 4))]
     return spark.createDataFrame([(h.name, exact.dense_ground(excite.tables(h))[0]) for h in hams], "problem string, energy double")

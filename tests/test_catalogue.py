@@ -2,6 +2,7 @@
 
 import pytest
 from comparing import same
+from pyspark.errors import AnalysisException
 
 from detspark import catalogue
 
@@ -22,6 +23,21 @@ def test_gives_its_rows(spark, sf, name):
     assert n == ROWS[name] if ROWS[name] else n > 0
 
 
+#: queries that once made their data up
+FROM_TABLES = ["exact_values"]
+
+
+@pytest.mark.parametrize("name", FROM_TABLES)
+def test_needs_its_table(spark, tmp_path, name):
+    with pytest.raises(AnalysisException):
+        catalogue.QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_exact_values_of_the_table(spark, sf):
+    values = {r["problem"]: r["energy"] for r in catalogue.QUERIES["exact_values"](spark, sf).collect()}
+    assert abs(values["table_m8_n3"] + 312.511641821) < 1e-6
+
+
 def test_entry_imports(spark):
     import __spark_entry__ as entry
 
