@@ -24,7 +24,7 @@ def test_gives_its_rows(spark, sf, name):
 
 
 #: queries that once made their data up
-FROM_TABLES = ["exact_values", "first_below"]
+FROM_TABLES = ["exact_values", "first_below", "scaling_efficiency"]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
