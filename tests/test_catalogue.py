@@ -24,7 +24,7 @@ def test_gives_its_rows(spark, sf, name):
 
 
 #: queries that once made their data up
-FROM_TABLES = ["exact_values", "first_below", "scaling_efficiency"]
+FROM_TABLES = ["exact_values", "first_below", "scaling_efficiency", "space_enumerate"]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
