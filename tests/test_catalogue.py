@@ -5,6 +5,8 @@ from comparing import same
 from pyspark.errors import AnalysisException
 
 from detspark import catalogue
+from detspark.functions.schema import ProblemSpec
+from detspark.operators import space
 
 #: workloads that train or sweep for minutes; their steps are tested on smaller problems
 SLOW = {"w1_accuracy", "w2_trajectory", "w4_breakdown", "w5_dedup_matrix", "w6_strong", "w7_weak", "w9_memory", "sampling_energy"}
@@ -24,7 +26,7 @@ def test_gives_its_rows(spark, sf, name):
 
 
 #: queries that once made their data up
-FROM_TABLES = ["exact_values", "first_below", "scaling_efficiency", "space_enumerate"]
+FROM_TABLES = ["exact_values", "first_below", "scaling_efficiency", "space_enumerate", "space_reference"]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
@@ -38,6 +40,10 @@ def test_exact_values_of_the_table(spark, sf):
     assert abs(values["table_m8_n3"] + 312.511641821) < 1e-6
 
 
+def test_reference_of_two_words(spark):
+    assert [tuple(space.reference(spark, ProblemSpec(84, n)).first()) for n in (6, 65)] == [(63, 0), ((1 << 63) - 1, 3)]
+
+
 def test_entry_imports(spark):
     import __spark_entry__ as entry
 
