@@ -26,7 +26,7 @@ def test_gives_its_rows(spark, sf, name):
 
 
 #: queries that once made their data up
-FROM_TABLES = ["exact_values", "first_below", "scaling_efficiency", "space_enumerate", "space_reference", "stage_share", "stage_speedup"]
+FROM_TABLES = ["exact_values", "first_below", "scaling_efficiency", "space_enumerate", "space_reference", "stage_share", "stage_speedup", "trajectory_diff"]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
